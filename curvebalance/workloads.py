@@ -1,0 +1,6 @@
+"""Queries over the given tables, one for each method, and the SQL that must give the same rows."""
+
+from __future__ import annotations
+
+QUERIES: dict = {}
+ORACLE_SQL: dict[str, str] = {}
