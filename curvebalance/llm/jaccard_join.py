@@ -6,9 +6,10 @@ difference is at most (1-t)/(1+t) of the two sizes together, so two such documen
 band has its own m. A document need not emit all its blocks: under one global order of (block, content), more set bits first,
 two documents that agree in all but d blocks agree in one of the first d+1 of each. Those blocks are the join keys.
 
-Within a key no pairs are made: each member is tied to the key's smallest member; pairs whose folded sketches are too far apart go, the
-rest are verified on the whole texts, and verified links are contracted to components. Keys whose other members are then still in
-different components (rare) are compared in blocks, sketch against sketch, and what passes is verified too, so no link is lost.
+Within a key no pairs are made: each member is tied to the key's first member in one of a few hashed orders; pairs whose folded
+sketches are too far apart go, the rest are verified on the whole texts, and verified links are contracted to components. Keys whose other
+members are then still in different components are compared in blocks, fine sketch against fine sketch: first each member proposes its
+nearest of another component, round after round while that finds links; then all that the sketches still allow across components is verified, so no link is lost.
 
 Equal sets are one node throughout (`set_id`, a 64-bit hash of the set with its size), so groups of exact copies cost nothing.
 Null or empty texts: no shingle, component of their own. Null ids: never linked, component null. Repeated rows: one node, all returned.
@@ -26,6 +27,8 @@ from . import common as C
 
 BITS = 20
 BLOCK_ROWS = 2000
+#: Hashed orders that choose a key's first member; bits a shingle of the fine sketch; rounds of proposals.
+ORDERS, FINE, ROUNDS = 8, 8, 5
 REMEMBERED = 200_000
 
 
@@ -53,9 +56,9 @@ def set_id(s: np.ndarray) -> int:
     return int(np.sum(C.mix(s, 3), dtype=np.uint64) ^ np.uint64(len(s))) - 2**63 if len(s) else 0
 
 
-def folded(s: np.ndarray) -> bytes:
-    """The parity sketch of about one bit a shingle; a larger one folds to a smaller by XOR of its halves."""
-    bits = max(64, 1 << int(len(s) - 1).bit_length())
+def folded(s: np.ndarray, each: int = 1) -> bytes:
+    """The parity sketch of about `each` bits a shingle; a larger one folds to a smaller by XOR of its halves."""
+    bits = max(64, each << int(len(s) - 1).bit_length())
     return np.packbits(np.bincount((C.mix(s, 5) & np.uint64(bits - 1)).astype(np.int64), minlength=bits).astype(np.uint8) & 1).tobytes()
 
 
@@ -167,13 +170,15 @@ def block_keys(docs: DataFrame, k: int, plan: Plan) -> DataFrame:
     return docs.where("doc_id is not null").select("doc_id", "text").mapInArrow(run, "set_id long, keys array<long>").select(F.explode("keys").alias("key"), "set_id")
 
 
+def texts_of(sets_: DataFrame, nodes: DataFrame, docs: DataFrame) -> DataFrame:
+    """(set_id, text) of stashed set ids. Text is moved only for the documents in question. A repeated id may give a row with another text."""
+    need = C.stash(sets_.join(nodes.select("set_id", "rep"), "set_id").select("set_id", F.col("rep").alias("doc_id")), "need")
+    return docs.select("doc_id", "text").join(C.maybe_broadcast(need, 40), "doc_id").select("set_id", "text")
+
+
 def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, k: int, plan: Plan) -> DataFrame:
-    """Of pairs (a, b) of set ids, those that the whole texts confirm. Text is moved only for the documents in question."""
-    need = pairs.select(F.col("a").alias("set_id")).unionByName(pairs.select(F.col("b").alias("set_id"))).distinct()
-    need = C.stash(need.join(nodes.select("set_id", "rep"), "set_id").select("set_id", F.col("rep").alias("doc_id")), "need")
-    rows = docs.select("doc_id", "text").join(C.maybe_broadcast(need, 40), "doc_id")
-    # a repeated id may carry another text: only that of the wanted set counts
-    texts = rows.select("set_id", "text")
+    """Of pairs (a, b) of set ids, those that the whole texts confirm."""
+    texts = texts_of(pairs.select(F.col("a").alias("set_id")).unionByName(pairs.select(F.col("b").alias("set_id"))).distinct(), nodes, docs)
 
     def run(batches):
         for x in batches:
@@ -207,14 +212,34 @@ def labelled(df: DataFrame, comps: DataFrame, *cols: str) -> DataFrame:
     return df
 
 
-def unresolved_pairs(stars: DataFrame, comps: DataFrame, nodes: DataFrame, plan: Plan) -> DataFrame:
-    """Pairs of different components that share a key but not its smallest member, by sketches compared in blocks of rows."""
+def open_stars(stars: DataFrame, comps: DataFrame) -> DataFrame:
+    """The ties of those first members whose other members are in different components."""
     ties = labelled(stars.select("pivot", "set_id").distinct(), comps, "set_id")
     open_ = C.stash(ties.groupBy("pivot").agg(F.min("c_set_id").alias("x"), F.max("c_set_id").alias("y")).where("x != y").select("pivot"), "open")
-    s = C.stash(labelled(stars.join(C.maybe_broadcast(open_, 24), "pivot", "left_semi"), comps, "set_id"), "rest")
+    return C.stash(stars.join(C.maybe_broadcast(open_, 24), "pivot", "left_semi").select("key", "set_id"), "rest")
+
+
+def fine_sketches(rest: DataFrame, nodes: DataFrame, docs: DataFrame, k: int) -> DataFrame:
+    def run(batches):
+        for x in batches:
+            ids, n, sk = [], [], []
+            for s, i in zip(sets(x.column(1), k), x.column(0).to_pylist()):
+                if set_id(s) == i:
+                    ids.append(i)
+                    n.append(len(s))
+                    sk.append(folded(s, FINE))
+            yield C.batch_of({"set_id": pa.array(ids, pa.int64()), "n": pa.array(n, pa.int64()), "sketch": pa.array(sk, pa.binary())})
+
+    found = texts_of(rest.select("set_id").distinct(), nodes, docs).mapInArrow(run, "set_id long, n long, sketch binary")
+    return C.stash(found.dropDuplicates(["set_id"]), "fine")
+
+
+def unresolved_pairs(rest: DataFrame, comps: DataFrame, fine: DataFrame, plan: Plan, nearest: bool) -> DataFrame:
+    """Pairs of different components that share a key and that the fine sketches allow; of each member and key only the nearest, if asked for."""
+    s = C.stash(labelled(rest, comps, "set_id"), "labels")
     keys = s.groupBy("key").agg(F.min("c_set_id").alias("x"), F.max("c_set_id").alias("y"), F.count("*").alias("size")).where("x != y").select("key", "size")
     m = s.join(keys, "key").withColumn("block", F.floor((F.row_number().over(W.partitionBy("key").orderBy("set_id")) - 1) / BLOCK_ROWS).cast("int"))
-    m = m.join(nodes.select("set_id", "n", "sketch"), "set_id")
+    m = m.join(fine, "set_id")
     m = m.withColumn("other", F.explode(F.sequence(F.lit(0), F.floor((F.col("size") - 1) / BLOCK_ROWS).cast("int"))))
     m = m.select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "set_id", F.col("c_set_id").alias("comp"), "n", "sketch")
 
@@ -227,11 +252,15 @@ def unresolved_pairs(stars: DataFrame, comps: DataFrame, nodes: DataFrame, plan:
         two = g.column("lo")[0].as_py() != g.column("hi")[0].as_py()
         a, b = [], []
         for i in range(len(n)):
-            ok = (comp != comp[i]) & ((block > block[i]) if two else (np.arange(len(n)) > i))
-            ok &= np.minimum(n, n[i]) * plan.den >= np.maximum(n, n[i]) * plan.num
+            ok = (comp != comp[i]) & (np.minimum(n, n[i]) * plan.den >= np.maximum(n, n[i]) * plan.num)
+            if two:
+                ok &= block != block[i]
+            if not nearest:
+                ok[: i + 1] = False
             j = np.flatnonzero(ok)
             if len(j):
-                j = j[np.bitwise_count(bits[j] ^ bits[i]).sum(1) <= (plan.den - plan.num) * (n[j] + n[i]) // (plan.den + plan.num)]
+                room = (plan.den - plan.num) * (n[j] + n[i]) // (plan.den + plan.num) - np.bitwise_count(bits[j] ^ bits[i]).sum(1, dtype=np.int64)
+                j = j[room >= 0] if not nearest else j[[room.argmax()]] if room.max() >= 0 else j[:0]
                 a += [sid[i]] * len(j)
                 b += sid[j].tolist()
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
@@ -248,7 +277,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 1
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     prof = C.stash(profiles(docs, words), "profiles")
     nodes = C.stash(prof.where("n > 0 and doc_id is not null").groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("sketch").alias("sketch")), "nodes")
-    w = W.partitionBy("key").orderBy("set_id")
+    w = W.partitionBy("key").orderBy(F.xxhash64("set_id", F.pmod("key", F.lit(ORDERS))), "set_id")
     stars = block_keys(docs, words, plan).withColumn("pivot", F.first("set_id").over(w.rowsBetween(W.unboundedPreceding, 0))).withColumn("before", F.lag("set_id").over(w))
     stars = C.stash(stars.where("before is not null and before != set_id").select("key", "pivot", "set_id"), "stars")
     cand = C.stash(near_pairs(stars.groupBy(F.col("pivot").alias("a"), F.col("set_id").alias("b")).agg(F.count("*").alias("c")), nodes, plan), "cand")
@@ -256,14 +285,29 @@ def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 1
     first = cand.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
     links = C.stash(verified(first, nodes, docs, words, plan), "links")
     comps = C.stash(C.components(links), "comps")
-    more = C.stash(labelled(cand, comps, "a", "b").where("c_a != c_b").select("a", "b").join(first, ["a", "b"], "left_anti"), "more")
-    if not more.isEmpty():
-        links = C.stash(links.unionByName(verified(more, nodes, docs, words, plan)), "links")
+    tested = cand.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+    def confirm(pairs: DataFrame) -> bool:
+        """Verifies pairs that were not tested yet; whether links were found."""
+        nonlocal links, comps
+        new = C.stash(verified(pairs, nodes, docs, words, plan), "found") if not pairs.isEmpty() else pairs
+        if new.isEmpty():
+            return False
+        links = links.unionByName(new)
         comps = C.stash(C.components(links), "comps")
-    rest = C.stash(unresolved_pairs(stars, comps, nodes, plan).join(cand, ["a", "b"], "left_anti"), "pairs")
+        return True
+
+    confirm(C.stash(labelled(cand, comps, "a", "b").where("c_a != c_b").select("a", "b").join(first, ["a", "b"], "left_anti"), "more"))
+    rest = open_stars(stars, comps)
     if not rest.isEmpty():
-        links = C.stash(links.unionByName(verified(rest, nodes, docs, words, plan)), "links")
-        comps = C.stash(C.components(links), "comps")
+        fine = fine_sketches(rest, nodes, docs, words)
+        more = True
+        for nearest in [True] * ROUNDS + [False]:
+            if nearest and not more:
+                continue
+            pairs = C.stash(unresolved_pairs(rest, comps, fine, plan, nearest).join(tested, ["a", "b"], "left_anti"), "pairs")
+            tested = tested.unionByName(pairs)
+            more = confirm(pairs)
     least = labelled(nodes.select("set_id", "rep"), comps, "set_id")
     least = least.join(least.groupBy("c_set_id").agg(F.min("rep").alias("component_id")), "c_set_id").select("set_id", "component_id")
     # a hot set (many exact copies) is on the large side of this join, where AQE can split it
