@@ -85,6 +85,14 @@ def ordered_buckets(df: DataFrame, col: str, n: int) -> DataFrame:
     return df.withColumn("bucket", expr)
 
 
+def hashed_sample(df: DataFrame, cols: list[str], limit: int) -> DataFrame:
+    """About `limit` rows, never more, chosen by a hash of some columns; all rows, if there are no more than that. Nothing is sorted."""
+    n = df.count()
+    if n <= limit:
+        return df
+    return df.where(F.xxhash64(*cols) < int(-(2**63) + 0.95 * limit / n * 2**64)).limit(limit)
+
+
 def exclusive_prefix(df: DataFrame, order: str, value: str, out: str, n: int = 64) -> DataFrame:
     """Adds the sum of `value` over all rows with a smaller `order` (unique, not null), in two levels: a small table of bucket
     sums gives offsets, a window inside each bucket the rest. No window spans the table."""
