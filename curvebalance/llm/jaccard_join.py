@@ -8,7 +8,7 @@ two documents that agree in all but d blocks agree in one of the first d+1 of ea
 
 Within a key no pairs are made: each member is tied to the key's first member in one of a few hashed orders; pairs whose folded
 sketches are too far apart go, the rest are verified on the whole texts, and verified links are contracted to components. Keys whose other
-members are then still in different components are compared in blocks, fine sketch against fine sketch: first each member proposes its
+members are then still in different components (keys of one first member together) are compared in blocks, fine sketch against fine sketch: first each member proposes its
 nearest of another component, round after round while that finds links; then all that the sketches still allow across components is verified, so no link is lost.
 
 Equal sets are one node throughout (`set_id`, a 64-bit hash of the set with its size), so groups of exact copies cost nothing.
@@ -212,11 +212,11 @@ def labelled(df: DataFrame, comps: DataFrame, *cols: str) -> DataFrame:
     return df
 
 
-def open_stars(stars: DataFrame, comps: DataFrame) -> DataFrame:
+def open_ties(ties: DataFrame, comps: DataFrame) -> DataFrame:
     """The ties of those first members whose other members are in different components."""
-    ties = labelled(stars.select("pivot", "set_id").distinct(), comps, "set_id")
-    open_ = C.stash(ties.groupBy("pivot").agg(F.min("c_set_id").alias("x"), F.max("c_set_id").alias("y")).where("x != y").select("pivot"), "open")
-    return C.stash(stars.join(C.maybe_broadcast(open_, 24), "pivot", "left_semi").select("key", "set_id"), "rest")
+    ends = labelled(ties, comps, "set_id")
+    open_ = C.stash(ends.groupBy("pivot").agg(F.min("c_set_id").alias("x"), F.max("c_set_id").alias("y")).where("x != y").select("pivot"), "open")
+    return C.stash(ties.join(C.maybe_broadcast(open_, 24), "pivot", "left_semi"), "rest")
 
 
 def fine_sketches(rest: DataFrame, nodes: DataFrame, docs: DataFrame, k: int) -> DataFrame:
@@ -235,13 +235,14 @@ def fine_sketches(rest: DataFrame, nodes: DataFrame, docs: DataFrame, k: int) ->
 
 
 def unresolved_pairs(rest: DataFrame, comps: DataFrame, fine: DataFrame, plan: Plan, nearest: bool) -> DataFrame:
-    """Pairs of different components that share a key and that the fine sketches allow; of each member and key only the nearest, if asked for."""
+    """Pairs of different components that are tied to one first member, as any two that share a key are, and that the fine sketches
+    allow; of each member and tie only the nearest, if asked for."""
     s = C.stash(labelled(rest, comps, "set_id"), "labels")
-    keys = s.groupBy("key").agg(F.min("c_set_id").alias("x"), F.max("c_set_id").alias("y"), F.count("*").alias("size")).where("x != y").select("key", "size")
-    m = s.join(keys, "key").withColumn("block", F.floor((F.row_number().over(W.partitionBy("key").orderBy("set_id")) - 1) / BLOCK_ROWS).cast("int"))
+    groups = s.groupBy("pivot").agg(F.min("c_set_id").alias("x"), F.max("c_set_id").alias("y"), F.count("*").alias("size")).where("x != y").select("pivot", "size")
+    m = s.join(groups, "pivot").withColumn("block", F.floor((F.row_number().over(W.partitionBy("pivot").orderBy("set_id")) - 1) / BLOCK_ROWS).cast("int"))
     m = m.join(fine, "set_id")
     m = m.withColumn("other", F.explode(F.sequence(F.lit(0), F.floor((F.col("size") - 1) / BLOCK_ROWS).cast("int"))))
-    m = m.select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "set_id", F.col("c_set_id").alias("comp"), "n", "sketch")
+    m = m.select("pivot", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "set_id", F.col("c_set_id").alias("comp"), "n", "sketch")
 
     def run(g: pa.Table) -> pa.Table:
         n, comp, sid = (g.column(c).to_numpy() for c in ("n", "comp", "set_id"))
@@ -265,7 +266,7 @@ def unresolved_pairs(rest: DataFrame, comps: DataFrame, fine: DataFrame, plan: P
                 b += sid[j].tolist()
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return m.groupBy("key", "lo", "hi").applyInArrow(run, "a long, b long").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return m.groupBy("pivot", "lo", "hi").applyInArrow(run, "a long, b long").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100) -> DataFrame:
@@ -279,8 +280,8 @@ def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 1
     nodes = C.stash(prof.where("n > 0 and doc_id is not null").groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("sketch").alias("sketch")), "nodes")
     w = W.partitionBy("key").orderBy(F.xxhash64("set_id", F.pmod("key", F.lit(ORDERS))), "set_id")
     stars = block_keys(docs, words, plan).withColumn("pivot", F.first("set_id").over(w.rowsBetween(W.unboundedPreceding, 0))).withColumn("before", F.lag("set_id").over(w))
-    stars = C.stash(stars.where("before is not null and before != set_id").select("key", "pivot", "set_id"), "stars")
-    cand = C.stash(near_pairs(stars.groupBy(F.col("pivot").alias("a"), F.col("set_id").alias("b")).agg(F.count("*").alias("c")), nodes, plan), "cand")
+    ties = C.stash(stars.where("before is not null and before != set_id").select("pivot", "set_id").distinct(), "ties")
+    cand = C.stash(near_pairs(ties.select(F.col("pivot").alias("a"), F.col("set_id").alias("b")), nodes, plan), "cand")
     # one tie a set first; most others then lie within a component
     first = cand.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
     links = C.stash(verified(first, nodes, docs, words, plan), "links")
@@ -298,7 +299,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 1
         return True
 
     confirm(C.stash(labelled(cand, comps, "a", "b").where("c_a != c_b").select("a", "b").join(first, ["a", "b"], "left_anti"), "more"))
-    rest = open_stars(stars, comps)
+    rest = open_ties(ties, comps)
     if not rest.isEmpty():
         fine = fine_sketches(rest, nodes, docs, words)
         more = True
