@@ -210,5 +210,12 @@ def word_hashes(data: np.ndarray, off: np.ndarray, lower: bool = True) -> tuple[
     return h, np.searchsorted(s, off), s, e
 
 
+def few(batches, rows: int = 500):
+    """Arrow batches in slices of a few rows, so what is unpacked at a time is small."""
+    for x in batches:
+        for i in range(0, len(x), rows):
+            yield x.slice(i, rows)
+
+
 def batch_of(columns: dict[str, pa.Array]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))

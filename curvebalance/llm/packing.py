@@ -31,7 +31,7 @@ def pieces(docs: DataFrame, encoder: T.ByteBpe, capacity: int, end_id: int, keep
     def run(batches):
         for x in batches:
             ids = x.column(0)
-            for at, texts in T.slices_of(x.column(1).to_pylist()):
+            for at, texts in T.slices_of(x.column(1)):
                 who, rows = [], []
                 for i, a in enumerate(encoder.encode(texts)):
                     a = np.append(a, np.uint32(end_id)).astype("<u4")

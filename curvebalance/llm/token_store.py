@@ -67,7 +67,7 @@ def encoded(docs: DataFrame, encoder: T.WordBpe, end_id: int) -> DataFrame:
         kind = encoder.dtype()
         end = np.array([end_id], kind).tobytes()
         for x in batches:
-            for at, texts in T.slices_of(x.column(1).to_pylist()):
+            for at, texts in T.slices_of(x.column(1)):
                 blobs, lens, names = [], [], []
                 for b in encoder.encode(texts):
                     b += end
@@ -95,7 +95,7 @@ def write(docs: DataFrame, path: str, vocabulary: str, end_id: int = 1) -> None:
     marks = C.stash(many.groupBy("doc_id", "copy").agg(F.collect_list(F.when(F.col("here"), F.col("seq"))).alias("shared"), F.collect_list(F.when(~F.col("here"), F.col("seq"))).alias("absent")), "marks")
 
     def run(batches):
-        for x in batches:
+        for x in C.few(batches):
             cols = x.to_pydict()
             blobs, recipe, roots, counts = [], [], [], []
             for b, w, lens, names, shared, absent in zip(*(cols[c] for c in ("ids", "width", "lens", "digests", "shared", "absent"))):
@@ -130,7 +130,7 @@ def write(docs: DataFrame, path: str, vocabulary: str, end_id: int = 1) -> None:
 
 def _rebuild(batches):
     """Checks every chunk and root; gives the whole ids. Fetched bytes, if any, come as (seq, bytes) in `got`."""
-    for x in batches:
+    for x in C.few(batches):
         cols = x.to_pydict()
         out = []
         for b, w, recipe, root, got in zip(cols["bytes"], cols["width"], cols["recipe"], cols["root"], cols.get("got") or [None] * len(x)):
@@ -157,7 +157,7 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     packs = spark.read.parquet(f"{path}/packs")
 
     def lent(batches):
-        for x in batches:
+        for x in C.few(batches):
             names, parts = [], []
             for b, w, recipe in zip(*(x.column(c).to_pylist() for c in ("bytes", "width", "recipe"))):
                 at = 0
@@ -183,7 +183,7 @@ def digests(ids: DataFrame) -> DataFrame:
     """doc_id, copy, n_tokens and the crc32 of the ids as unsigned 32-bit integers."""
 
     def run(batches):
-        for x in batches:
+        for x in C.few(batches):
             crc = [zlib.crc32(np.frombuffer(b, f"<u{w}").astype("<u4").tobytes()) for b, w in zip(x.column("ids").to_pylist(), x.column("width").to_pylist())]
             n = [len(b) // w for b, w in zip(x.column("ids").to_pylist(), x.column("width").to_pylist())]
             yield C.batch_of({"doc_id": x.column("doc_id"), "copy": x.column("copy"), "n_tokens": pa.array(n, pa.int64()), "ids_crc32": pa.array(crc, pa.int64())})

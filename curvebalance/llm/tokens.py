@@ -2,7 +2,7 @@
 
 Both encoders give exactly the ids of the tokenizers library for the vocabulary file. What most texts consist of goes a faster way: the
 byte-level vocabulary by the same vocabulary's ranks, the word vocabulary by a bounded memo of white-space-separated pieces (that
-vocabulary never joins across white space). A text with any character on which Unicode versions or libraries may differ, or with the string of a special
+vocabulary never joins across white space) in front of the library's own merge model. A text with any character on which Unicode versions or libraries may differ, or with the string of a special
 token, goes to the library as a whole.
 """
 
@@ -16,9 +16,11 @@ from functools import lru_cache
 import numpy as np
 
 #: Characters on which all libraries agree; others send the text to the library as a whole.
-PLAIN = re.compile("[\t\n\r\x20-\x7e¡-Ɂ‐-‧‰-⁞€]*")
-#: Entries of a worker's memo; when it is full, further pieces are encoded per batch.
-MEMO = 400_000
+PLAIN = re.compile("[\t\n\r\x20-\x7e¡-įı-Ɂ‐-‧‰-⁞€]*")
+#: Entries of a worker's memos; when one is full, what it lacks is encoded anew each time.
+MEMO, PIECES = 400_000, 200_000
+#: The word vocabulary's split of a lower-cased text (a fixed value of that file).
+WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
 
 def vocabulary(name: str) -> str:
@@ -61,7 +63,27 @@ class ByteBpe:
         return [np.array(fast.encode_ordinary(x) if fast and plain(x) else slow.encode(x, add_special_tokens=False).ids, np.uint32) for x in texts]
 
 
-_memos: dict[str, dict[str, bytes]] = {}
+def byte_letters() -> list[str]:
+    """The character that stands for each byte in byte-level vocabularies: visible Latin-1 ones for themselves, others from 256 up."""
+    seen = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in seen]
+    return [chr(b) if b in seen else chr(256 + rest.index(b)) for b in range(256)]
+
+
+@lru_cache(4)
+def _splitter(path: str):
+    """The vocabulary's word pattern, if the file has the one that is known here; else None, and all goes to the library."""
+    import json
+
+    import regex
+
+    with open(path, encoding="utf-8") as f:
+        pre = json.load(f)["pre_tokenizer"]
+    known = any(p.get("pattern") == {"Regex": WORDS} for p in pre.get("pretokenizers", ()))
+    return regex.compile(WORDS) if known else None
+
+
+_memos: dict[str, tuple[dict[str, bytes], dict[str, bytes]]] = {}
 
 
 class WordBpe:
@@ -74,28 +96,46 @@ class WordBpe:
         return np.dtype("<u2" if library(self.path).get_vocab_size() <= 1 << 16 else "<u4")
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        lib, kind, memo = library(self.path), self.dtype(), _memos.setdefault(self.path, {})
-        words = [x.split() if plain(x) else None for x in texts]
-        new = list({w for ws in words if ws for w in ws if w not in memo})
-        found = {w: np.array(e.ids, kind).tobytes() for w, e in zip(new, lib.encode_batch(new, add_special_tokens=False))}
-        if len(memo) + len(found) <= MEMO:
-            memo.update(found)
-            found = memo
-            get = memo.__getitem__
-        else:
-            get = lambda w: memo[w] if w in memo else found[w]
-        return [b"".join(map(get, ws)) if ws is not None else np.array(lib.encode(x, add_special_tokens=False).ids, kind).tobytes() for x, ws in zip(texts, words)]
-
-
-def slices_of(texts: list[str | None], most: int = 4 << 20):
-    """(first, texts) in runs of about `most` characters; a null text is empty."""
-    i, n, at = 0, 0, 0
+        lib, kind, split = library(self.path), self.dtype(), _splitter(self.path)
+        memo, pieces = _memos.setdefault(self.path, ({}, {}))
+        model, table, size = lib.model, str.maketrans(dict(enumerate(byte_letters()))), kind.itemsize
+
+        def piece(p: str) -> bytes:
+            b = pieces.get(p)
+            if b is None:
+                spelt = p if p.isascii() else p.encode().decode("latin-1").translate(table)
+                b = b"".join(t.id.to_bytes(size, "little") for t in model.tokenize(spelt))
+                if len(pieces) < PIECES:
+                    pieces[p] = b
+            return b
+
+        out = []
+        for x in texts:
+            if split is None or not plain(x):
+                out.append(np.array(lib.encode(x, add_special_tokens=False).ids, kind).tobytes())
+                continue
+            ids = []
+            for w in x.split():
+                b = memo.get(w)
+                if b is None:
+                    b = b"".join(map(piece, split.findall(w.lower())))
+                    if len(memo) < MEMO:
+                        memo[w] = b
+                ids.append(b)
+            out.append(b"".join(ids))
+        return out
+
+
+def slices_of(column, most: int = 1 << 20, rows: int = 64):
+    """(first row, texts) of an Arrow column in runs of about `most` characters, taken a few rows at a time; a null text is empty."""
     out: list[str] = []
-    for i, x in enumerate(texts):
-        out.append(x or "")
-        n += len(out[-1])
+    at = n = 0
+    for i in range(0, len(column), rows):
+        for x in column.slice(i, rows).to_pylist():
+            out.append(x or "")
+            n += len(out[-1])
         if n >= most:
             yield at, out
-            at, out, n = i + 1, [], 0
+            at, out, n = at + len(out), [], 0
     if out:
         yield at, out
