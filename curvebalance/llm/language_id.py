@@ -16,16 +16,16 @@ from __future__ import annotations
 
 import bisect
 import unicodedata
-import zlib
 from collections import Counter
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import Column, DataFrame, functions as F
 
-from . import common as C
+from . import common as C, tokens as T
 
-TRAIN, BUCKETS, SWITCH, MEMO = 20_000, 1 << 16, 12.0, 300_000
+TRAIN, BUCKETS, SWITCH, MEMO = 20_000, 1 << 16, 40.0, 400_000
 #: First code points of script ranges (fixed values of Unicode's blocks), with a name for each.
 SCRIPTS = (
     (0x0000, "latin"), (0x0370, "greek"), (0x0400, "cyrillic"), (0x0530, "armenian"), (0x0590, "hebrew"), (0x0600, "arabic"), (0x0700, "other"), (0x0750, "arabic"), (0x0780, "other"),
@@ -40,21 +40,36 @@ _STARTS = [s for s, _ in SCRIPTS]
 
 def script(word: str) -> str:
     """The script of most of a word's letters."""
+    if word.isascii() or max(word) < "\u0370":
+        return "latin" if any(map(str.isalpha, word)) else ""
     n = Counter(SCRIPTS[bisect.bisect_right(_STARTS, ord(c)) - 1][1] for c in word if c.isalpha())
     return min(n, key=lambda s: (-n[s], s)) if n else ""
 
 
-def letters(word: str) -> str:
-    """A word as it is scored: its letters and marks, composed and in lower case."""
-    if word.isascii() and word.isalpha():
-        return word.lower()
-    return "".join(c for c in unicodedata.normalize("NFC", word.lower()) if c.isalpha() or unicodedata.category(c)[0] == "M")
+_NO_LETTER = {i: None for i in range(128) if not chr(i).isalpha()}
+_MARKED = regex.compile(r"[^\p{L}\p{M}]+")
 
 
-def grams(word: str) -> list[int]:
-    w = f"<{word}>"
-    b = w.encode("utf-32-le")
-    return [zlib.crc32(b[4 * i : 4 * (i + n)]) % BUCKETS for n in (1, 2, 3, 4) for i in range(len(w) - n + 1)]
+def letters(word: str) -> str:
+    """A word as it is scored: its letters and marks, composed and in lower case."""
+    if word.isascii():
+        return word.lower() if word.isalpha() else word.translate(_NO_LETTER).lower()
+    return _MARKED.sub("", unicodedata.normalize("NFC", word.lower()))
+
+
+def grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of the n-grams of non-empty words, with their bounds marked, all words together; and the word of each n-gram."""
+    cp = np.frombuffer("".join([f"<{w}>" for w in words]).encode("utf-32-le"), "<u4").astype(np.uint64)
+    size = np.fromiter(map(len, words), np.int64, len(words)) + 2
+    word = np.repeat(np.arange(len(words)), size)
+    left = np.repeat(np.cumsum(size), size) - np.arange(len(cp))  # characters from here to the word's end
+    h, buckets, owners = np.zeros(len(cp), np.uint64), [], []
+    for n in range(1, 5):
+        h = h * C._M3 + np.concatenate((cp[n - 1 :], np.zeros(min(n - 1, len(cp)), np.uint64)))[: len(cp)] + np.uint64(n)
+        ok = left >= n
+        buckets.append((C.mix(h[ok], 60 + n) & np.uint64(BUCKETS - 1)).astype(np.int64))
+        owners.append(word[ok])
+    return np.concatenate(buckets), np.concatenate(owners)
 
 
 class Model:
@@ -68,63 +83,92 @@ class Model:
         self.scripts = scripts
         self._forget()
 
+    @property
+    def narrow(self) -> bool:
+        """Whether any script is not shared by all languages; if all are, a word's script decides nothing."""
+        return any(len(v) < len(self.langs) for v in self.scripts.values())
+
     def _forget(self) -> None:
         self.memo: dict[str, int] = {}
         self.rows = np.zeros((1024, len(self.langs)))
         self.sizes = np.zeros(1024, np.int64)
 
-    def _score(self, word: str) -> tuple[np.ndarray, int]:
-        w = letters(word)
-        if not w:
-            return np.zeros(len(self.langs)), 0
-        s = self.logp[grams(w)].mean(0) * min(len(w), 12)
-        may = self.scripts.get(script(w))
-        if may is not None and len(may) < len(self.langs):
-            s = np.where(np.isin(np.arange(len(s)), may), s, s.min() - SWITCH)
-        return s, len(w)
-
-    def scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Scores (words, languages) and letters of each word."""
+    def _learn(self, words: list[str]) -> None:
+        """Scores new words, all together."""
+        clean = list(map(letters, words))
+        at = [i for i, w in enumerate(clean) if w]
+        first, need = len(self.memo), len(self.memo) + len(words)
+        while need > len(self.rows):
+            self.rows, self.sizes = np.concatenate((self.rows, self.rows)), np.concatenate((self.sizes, self.sizes))
+        self.rows[first:need], self.sizes[first:need] = 0, 0
+        if at:
+            some = [clean[i] for i in at]
+            bucket, owner = grams(some)
+            size = np.fromiter(map(len, some), np.int64, len(some))
+            n = np.bincount(owner, minlength=len(some))
+            s = np.stack([np.bincount(owner, weights=self.logp[bucket, g], minlength=len(some)) for g in range(len(self.langs))], 1)
+            s *= (np.minimum(size, 12) / n)[:, None]
+            for i, w in enumerate(some) if self.narrow else ():
+                may = self.scripts.get(script(w))
+                if may is not None and len(may) < len(self.langs):
+                    s[i] = np.where(np.isin(np.arange(len(self.langs)), may), s[i], s[i].min() - SWITCH)
+            self.rows[first + np.array(at)] = s
+            self.sizes[first + np.array(at)] = size
+        for i, w in enumerate(words):
+            self.memo[w] = first + i
+
+    def ready(self, texts: list[str]) -> list[list[str]]:
+        """Words of texts, all of them known to the memo."""
+        split = [t.split() for t in texts]
         if len(self.memo) > MEMO:
             self._forget()
-        memo = self.memo
-        for w in words:
-            if w not in memo:
-                i = memo[w] = len(memo)
-                if i == len(self.rows):
-                    self.rows, self.sizes = np.concatenate((self.rows, self.rows)), np.concatenate((self.sizes, self.sizes))
-                self.rows[i], self.sizes[i] = self._score(w)
-        at = np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
+        new = {w for ws in split for w in ws if w not in self.memo}
+        if new:
+            self._learn(list(new))
+        return split
+
+    def scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Scores (words, languages) and letters of each word that `ready` has seen."""
+        at = np.fromiter(map(self.memo.__getitem__, words), np.int64, len(words))
         return self.rows[at], self.sizes[at]
 
-    def path(self, s: np.ndarray) -> np.ndarray:
-        """The best sequence of languages for the words' scores."""
+    def path(self, s: np.ndarray) -> np.ndarray | None:
+        """The best sequence of languages for the words' scores; None, if it is one language throughout."""
         best = int(s.sum(0).argmax())
         c = np.vstack([np.zeros(s.shape[1]), np.cumsum(s - s[:, [best]], 0)])
         if (c - np.minimum.accumulate(c, 0)).max() <= SWITCH / 2:
-            return np.full(len(s), best)
-        v, back = s[0].copy(), np.zeros(s.shape, np.int32)
-        own = np.arange(s.shape[1])
-        for t in range(1, len(s)):
-            top = int(v.argmax())
-            move = v[top] - SWITCH > v
-            back[t] = np.where(move, top, own)
-            v = np.where(move, v[top] - SWITCH, v) + s[t]
-        out = np.empty(len(s), np.int64)
-        out[-1] = v.argmax()
-        for t in range(len(s) - 1, 0, -1):
-            out[t - 1] = back[t, out[t]]
-        return out
+            return None
+        rows = s.tolist()
+        v, back = rows[0], []
+        for r in rows[1:]:
+            top = max(v)
+            at, cut = v.index(top), top - SWITCH
+            back.append([at if cut > x else i for i, x in enumerate(v)])
+            v = [(cut if cut > x else x) + y for x, y in zip(v, r)]
+        out = [v.index(max(v))]
+        for b in reversed(back):
+            out.append(b[out[-1]])
+        return np.array(out[::-1])
 
     def label(self, text: str | None) -> tuple[str, float, list[tuple[int, int, str]]]:
         """Language, score (the share of letters it has, 0 to 1) and spans (first word, end, language) of a whole text."""
-        ws = (text or "").split()
-        if not ws or not self.langs:
+        return self.labels([text or ""])[0]
+
+    def labels(self, texts: list[str]) -> list[tuple[str, float, list[tuple[int, int, str]]]]:
+        if not self.langs:
+            return [("und", 0.0, [])] * len(texts)
+        return [self._label(ws) for ws in self.ready(texts)]
+
+    def _label(self, ws: list[str]) -> tuple[str, float, list[tuple[int, int, str]]]:
+        if not ws:
             return "und", 0.0, []
         s, n = self.scores(ws)
         if not n.any():
             return "und", 0.0, []
         p = self.path(s)
+        if p is None:
+            best = int(s.sum(0).argmax())
+            return self.langs[best], 1.0, [(0, len(ws), self.langs[best])]
         share = np.bincount(p, weights=n, minlength=len(self.langs))
         best = int(share.argmax())
         at = np.flatnonzero(np.diff(p)) + 1
@@ -143,10 +187,13 @@ def train(labelled: DataFrame, limit: int = TRAIN) -> Model:
         for x in batches:
             for text, lang in zip(x.column(0).to_pylist(), x.column(1).to_pylist()):
                 c = grams_of.setdefault(lang, np.zeros(BUCKETS, np.int64))
-                words = Counter(letters(w) for w in text.split())
+                words = Counter(map(letters, text.split()))
                 words.pop("", None)
+                if words:
+                    bucket, owner = grams(list(words))
+                    times = np.fromiter(words.values(), np.int64, len(words))
+                    c += np.bincount(bucket, weights=times[owner], minlength=BUCKETS).astype(np.int64)
                 for w, n in words.items():
-                    np.add.at(c, grams(w), n)
                     scripts[lang, script(w)] += n
         for lang, c in grams_of.items():
             own = {s: n for (g, s), n in scripts.items() if g == lang}
@@ -181,7 +228,7 @@ def predict(docs: DataFrame, model: Model, spans: bool = False) -> DataFrame:
         m.langs, m.logp, m.scripts = sent.value
         m._forget()
         for x in batches:
-            found = [m.label(t) for t in x.column("text").to_pylist()]
+            found = [f for _, texts in T.slices_of(x.column("text")) for f in m.labels(texts)]
             out = {c: x.column(c) for c in keep} | {"lang_pred": pa.array([f[0] for f in found], pa.string()), "score": pa.array([f[1] for f in found], pa.float64())}
             if spans:
                 out["spans"] = pa.array([[{"first": a, "end": b, "lang": g} for a, b, g in f[2]] for f in found], pa.list_(pa.struct([("first", pa.int32()), ("end", pa.int32()), ("lang", pa.string())])))
