@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 #: A table is broadcast only when it has been counted and holds no more than this many bytes; above it, joins shuffle.
 BROADCAST_BYTES = 24 << 20
 #: Text is hashed in slices of about this many bytes, so a worker's memory does not depend on the batch size.
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 19
 
 _shipped: set[str] = set()
 
@@ -166,10 +166,11 @@ def _powers(n: int) -> np.ndarray:
 def utf8(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """The bytes of all values and the offsets of each; a null counts as empty."""
     col = col.combine_chunks() if isinstance(col, pa.ChunkedArray) else col
-    if not pa.types.is_large_string(col.type):
-        col = col.cast(pa.large_string())
     col = col.fill_null("") if col.null_count else col
-    off = np.frombuffer(col.buffers()[1], np.int64, len(col) + 1, col.offset * 8) if len(col) else np.zeros(1, np.int64)
+    if not len(col):
+        return np.zeros(0, np.uint8), np.zeros(1, np.int64)
+    kind = np.int64 if pa.types.is_large_string(col.type) else np.int32
+    off = np.frombuffer(col.buffers()[1], kind, len(col) + 1, col.offset * np.dtype(kind).itemsize).astype(np.int64)
     buf = col.buffers()[2]
     data = np.frombuffer(buf, np.uint8) if buf is not None and buf.size else np.zeros(0, np.uint8)
     return data[off[0] : off[-1]], off - off[0]
@@ -210,9 +211,28 @@ def word_hashes(data: np.ndarray, off: np.ndarray, lower: bool = True) -> tuple[
     return h, np.searchsorted(s, off), s, e
 
 
+def release() -> None:
+    """Gives freed memory back to the system: workers are reused, and what one stage held would count against the next."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def freed(batches):
+    """Arrow batches; after each has been worked on, freed memory is released."""
+    for x in batches:
+        yield x
+        del x
+        release()
+
+
 def few(batches, rows: int = 500):
     """Arrow batches in slices of a few rows, so what is unpacked at a time is small."""
-    for x in batches:
+    for x in freed(batches):
         for i in range(0, len(x), rows):
             yield x.slice(i, rows)
 

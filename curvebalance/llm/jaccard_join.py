@@ -129,7 +129,7 @@ def profiles(docs: DataFrame, k: int) -> DataFrame:
     """doc_id, n, set_id and folded sketch of every row."""
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             n, ids, sk = [], [], []
             for s in sets(x.column(1), k):
                 n.append(len(s))
@@ -145,7 +145,7 @@ def block_keys(docs: DataFrame, k: int, plan: Plan) -> DataFrame:
 
     def run(batches):
         seen: set[int] = set()
-        for x in batches:
+        for x in C.freed(batches):
             ids, keys = [], []
             for s in sets(x.column(1), k):
                 if not len(s):
@@ -181,7 +181,7 @@ def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, k: int, plan:
     texts = texts_of(pairs.select(F.col("a").alias("set_id")).unionByName(pairs.select(F.col("b").alias("set_id"))).distinct(), nodes, docs)
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             keep = []
             for s, t, i, j in zip(sets(x.column(2), k), sets(x.column(3), k), x.column(0).to_pylist(), x.column(1).to_pylist()):
                 keep.append(set_id(s) == i and set_id(t) == j and plan.linked(s, t))
@@ -196,7 +196,7 @@ def near_pairs(pairs: DataFrame, nodes: DataFrame, plan: Plan) -> DataFrame:
     """Of candidate pairs, those whose folded sketches allow a link, with the distance left to the bound."""
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             cols = [x.column(i).to_pylist() for i in range(2, 6)]
             keep = [plan.near(a, s, b, t) for a, s, b, t in zip(*cols)]
             yield C.batch_of({"a": x.column(0), "b": x.column(1)}).filter(pa.array(keep, pa.bool_()))
@@ -221,7 +221,7 @@ def open_ties(ties: DataFrame, comps: DataFrame) -> DataFrame:
 
 def fine_sketches(rest: DataFrame, nodes: DataFrame, docs: DataFrame, k: int) -> DataFrame:
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             ids, n, sk = [], [], []
             for s, i in zip(sets(x.column(1), k), x.column(0).to_pylist()):
                 if set_id(s) == i:

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from . import common as C, tokens as T
 
-TRAIN, BUCKETS, SWITCH, MEMO = 20_000, 1 << 16, 40.0, 400_000
+TRAIN, BUCKETS, SWITCH, MEMO = 20_000, 1 << 16, 40.0, 200_000
 #: First code points of script ranges (fixed values of Unicode's blocks), with a name for each.
 SCRIPTS = (
     (0x0000, "latin"), (0x0370, "greek"), (0x0400, "cyrillic"), (0x0530, "armenian"), (0x0590, "hebrew"), (0x0600, "arabic"), (0x0700, "other"), (0x0750, "arabic"), (0x0780, "other"),
@@ -184,7 +184,7 @@ def train(labelled: DataFrame, limit: int = TRAIN) -> Model:
     def count(batches):
         grams_of: dict[str, np.ndarray] = {}
         scripts: Counter = Counter()
-        for x in batches:
+        for x in C.freed(batches):
             for text, lang in zip(x.column(0).to_pylist(), x.column(1).to_pylist()):
                 c = grams_of.setdefault(lang, np.zeros(BUCKETS, np.int64))
                 words = Counter(map(letters, text.split()))
@@ -227,7 +227,7 @@ def predict(docs: DataFrame, model: Model, spans: bool = False) -> DataFrame:
         m = Model.__new__(Model)
         m.langs, m.logp, m.scripts = sent.value
         m._forget()
-        for x in batches:
+        for x in C.freed(batches):
             found = [f for _, texts in T.slices_of(x.column("text")) for f in m.labels(texts)]
             out = {c: x.column(c) for c in keep} | {"lang_pred": pa.array([f[0] for f in found], pa.string()), "score": pa.array([f[1] for f in found], pa.float64())}
             if spans:

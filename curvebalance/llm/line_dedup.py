@@ -56,7 +56,7 @@ def occurrences(docs: DataFrame, least: int) -> DataFrame:
     """doc_id, line, words, full (hash) and the half hashes of every line of at least `least` words."""
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             ids = x.column(0)
             data, off = C.utf8(x.column(1))
             for i, j in C.slices(off):
@@ -88,7 +88,7 @@ def variants(rows: DataFrame) -> DataFrame:
     """variant, at (-1: the line itself) and full of every line in (full, content)."""
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             data, off = C.utf8(x.column(1))
             for i, j in C.slices(off, 1 << 18):
                 h, at, _, _ = C.word_hashes(data[off[i] : off[j]], off[i : j + 1] - off[i])
@@ -133,7 +133,7 @@ def near_lines(distinct: DataFrame, docs: DataFrame, near_words: int) -> DataFra
     where = C.stash(where, "near-where")
 
     def fetch(batches):
-        for x in batches:
+        for x in C.freed(batches):
             full, content = [], []
             for text, wanted in zip(x.column(0).to_pylist(), x.column(1).to_pylist()):
                 rows = (text or "").split("\n")
@@ -190,7 +190,7 @@ def dedup(docs: DataFrame, **how) -> DataFrame:
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in keep) + ", n_lines int, dropped array<int>"
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             text, n, lists = [], [], []
             for t, gone_ in zip(x.column("text").to_pylist(), x.column("dropped").to_pylist()):
                 rows_ = t.split("\n") if t is not None else []

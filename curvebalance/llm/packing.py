@@ -29,7 +29,7 @@ def pieces(docs: DataFrame, encoder: T.ByteBpe, capacity: int, end_id: int, keep
     """doc_id, piece, start, length, ids_crc32 (and ids, unsigned 32-bit little-endian) of every piece."""
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             ids = x.column(0)
             for at, texts in T.slices_of(x.column(1)):
                 who, rows = [], []
@@ -128,7 +128,7 @@ def pack(items: DataFrame, capacity: int) -> DataFrame:
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in items.schema if f.name != "bucket") + ", sequence_id long, offset long"
 
     def run(batches):
-        for x in batches:
+        for x in C.freed(batches):
             length, r = x.column("length").to_numpy(), x.column("rank").to_numpy()
             i = np.searchsorted(key, length << 40 | r, "right") - 1
             yield C.batch_of({c: x.column(c) for c in keep} | {"sequence_id": pa.array(seq[i] + r - low[i]), "offset": pa.array(off[i])})

@@ -66,7 +66,7 @@ def encoded(docs: DataFrame, encoder: T.WordBpe, end_id: int) -> DataFrame:
     def run(batches):
         kind = encoder.dtype()
         end = np.array([end_id], kind).tobytes()
-        for x in batches:
+        for x in C.freed(batches):
             for at, texts in T.slices_of(x.column(1)):
                 blobs, lens, names = [], [], []
                 for b in encoder.encode(texts):
@@ -122,7 +122,7 @@ def write(docs: DataFrame, path: str, vocabulary: str, end_id: int = 1) -> None:
     index.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "copy").write.parquet(f"{path}/index")
 
     def roots(batches):
-        for x in batches:
+        for x in C.freed(batches):
             yield C.batch_of({"first": x.column(0).slice(0, 1), "docs": pa.array([len(x)], pa.int64()), "root": pa.array([merkle(x.column(1).to_pylist())], pa.binary())})
 
     docs.sparkSession.read.parquet(f"{path}/index").select("doc_id", "root").mapInArrow(roots, "first long, docs long, root binary").write.parquet(f"{path}/manifest")

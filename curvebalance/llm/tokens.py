@@ -18,7 +18,7 @@ import numpy as np
 #: Characters on which all libraries agree; others send the text to the library as a whole.
 PLAIN = re.compile("[\t\n\r\x20-\x7e¡-įı-Ɂ‐-‧‰-⁞€]*")
 #: Entries of a worker's memos; when one is full, what it lacks is encoded anew each time.
-MEMO, PIECES = 400_000, 200_000
+MEMO, PIECES = 300_000, 150_000
 #: The word vocabulary's split of a lower-cased text (a fixed value of that file).
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
@@ -59,8 +59,7 @@ class ByteBpe:
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         fast = ranked(self.ranks) if self.ranks else None
-        slow = library(self.path)
-        return [np.array(fast.encode_ordinary(x) if fast and plain(x) else slow.encode(x, add_special_tokens=False).ids, np.uint32) for x in texts]
+        return [np.array(fast.encode_ordinary(x) if fast and plain(x) else library(self.path).encode(x, add_special_tokens=False).ids, np.uint32) for x in texts]
 
 
 def byte_letters() -> list[str]:
