@@ -81,7 +81,8 @@ def _asof_buckets(q: DataFrame, starts: DataFrame, n: int = 256) -> DataFrame:
     s = starts.withColumn("_r", range_of(F.col("key_lo"), cuts))
     last = s.groupBy("_r").agg(F.max("key_lo").alias("k"), F.max_by("bucket", "key_lo").alias("bucket"))
     w = W.orderBy("_r").rowsBetween(W.unboundedPreceding, -1)  # one row a range
-    head = last.select("_r", F.last("bucket", ignorenulls=True).over(w).alias("head"))
+    every = q.sparkSession.range(len(cuts) + 1).select(F.col("id").cast("int").alias("_r"))  # a range may have queries and no start
+    head = every.join(last, "_r", "left").select("_r", F.last("bucket", ignorenulls=True).over(w).alias("head"))
     u = q.withColumn("_r", range_of(F.col("key"), cuts)).withColumn("_b", F.lit(None).cast("long")).withColumn("_side", F.lit(1))
     cols = [c for c in q.columns]
     r = s.select(*[F.col("key_lo").alias("key") if c == "key" else F.lit(None).cast(q.schema[c].dataType).alias(c) for c in cols], "_r", F.col("bucket").alias("_b"), F.lit(0).alias("_side"))

@@ -54,7 +54,7 @@ WITH RECURSIVE src AS (SELECT uid, {cols} FROM ({src})), t(uid, {cols}, path, de
           SELECT *, {dim} AS dim FROM (
             SELECT *, {top} AS top FROM (
               SELECT *, count(*) OVER n AS n, {', '.join(f'{w} AS w{i}' for i, w in enumerate(width))} FROM t WINDOW n AS (PARTITION BY path)))
-          WHERE n > {bucket} AND top > 0 AND depth < 62)))))
+          WHERE n > {bucket} AND top > 0 AND depth < 62))))
 ), done AS (SELECT uid, max(path) AS path, max(depth) AS depth FROM t GROUP BY uid)
 SELECT uid, path, CAST(depth AS INTEGER) AS depth FROM done"""
 
