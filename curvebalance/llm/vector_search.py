@@ -23,6 +23,8 @@ from pyspark.sql import DataFrame, Window as W, functions as F
 from . import common as C
 
 TRAIN, BLOCK, ITERATIONS = 20_000, 20_000, 12
+#: Scores that a task holds at a time.
+SCORES = 1 << 22
 
 
 def valid(vectors: DataFrame, column: str) -> DataFrame:
@@ -81,9 +83,10 @@ def matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1) if len(column) else np.zeros((0, 0))
 
 
-def search(vectors: DataFrame, column: str, is_query: str, k: int = 20, centroids: int = 32, candidates: int = 10_000, share: float = 0.0) -> DataFrame:
+def search(vectors: DataFrame, column: str, is_query: str, k: int = 20, centroids: int = 64, candidates: int = 10_000, share: float = 0.45) -> DataFrame:
     """query_id, rank, vec_id and score of the k entries of largest inner product found for each row that meets `is_query`. A query looks at
-    `candidates` entries or that share of all, whichever is more."""
+    `candidates` entries or that share of all, whichever is more. The given vectors have hardly any structure, so a large share is needed for a
+    recall of 0.9 (measured: 0.70 at a fifth, 0.91 at two fifths of 51,000); clustered ones do with far less."""
     spark = vectors.sparkSession
     C.ship(spark)
     schema = "query_id long, rank int, vec_id long, score double"
@@ -130,17 +133,20 @@ def search(vectors: DataFrame, column: str, is_query: str, k: int = 20, centroid
             m, j, ids = matrix(e.column("vector")), e.column("j").to_numpy(), e.column("vec_id").to_numpy()
             order = np.lexsort((ids, j))
             m, j, ids = m[order], j[order], ids[order]
-            lo, hi = np.searchsorted(j, np.arange(len(two))), np.searchsorted(j, np.arange(len(two)), "right")
-            qm = matrix(q.column("vector"))
-            for n, (qid, js) in enumerate(zip(q.column("vec_id").to_pylist(), q.column("js").to_pylist())):
-                at = np.concatenate([np.arange(lo[c], hi[c]) for c in js])
-                at = at[ids[at] != qid]
-                s = m[at] @ qm[n]
-                if len(at) > k:  # all that tie with the k-th stay
-                    keep = s >= np.partition(s, -k)[-k]
-                    at, s = at[keep], s[keep]
-                top = np.lexsort((ids[at], -s))[:k]
-                out += [(qid, int(ids[at[t]]), float(s[t])) for t in top]
+            qm, qid = matrix(q.column("vector")), q.column("vec_id").to_numpy()
+            allow = np.zeros((len(qm), len(two)), bool)
+            for n, js in enumerate(q.column("js").to_pylist()):
+                allow[n, js] = True
+            step = max(1, SCORES // len(m))
+            for i in range(0, len(qm), step):
+                s = qm[i : i + step] @ m.T
+                s[~allow[i : i + step][:, j]] = -np.inf
+                s[qid[i : i + step, None] == ids] = -np.inf
+                kth = np.partition(s, -k, 1)[:, -k] if len(m) > k else np.full(len(s), -np.inf)
+                for n, row in enumerate(s):  # all that tie with the k-th are compared
+                    at = np.flatnonzero((row >= kth[n]) & (row > -np.inf))
+                    top = at[np.lexsort((ids[at], -row[at]))[:k]]
+                    out += zip([int(qid[i + n])] * len(top), ids[top].tolist(), row[top].tolist())
         cols = list(zip(*out)) if out else ((),) * 3
         return pa.table({"query_id": pa.array(cols[0], pa.int64()), "vec_id": pa.array(cols[1], pa.int64()), "score": pa.array(cols[2], pa.float64())})
 
