@@ -14,6 +14,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents in which a language is found; those without letters go. Learns from the labelled rows of its input."""
     keep = docs.columns
     model = language_id.train(docs)
+    if not model.langs:  # nothing to learn from: only texts without letters are rejected
+        return docs.where(F.col("text").rlike(r"\p{L}"))
     return language_id.predict(docs, model).where("lang_pred != 'und'").select(*keep)
 
 

@@ -79,7 +79,8 @@ class Model:
         self.langs = langs
         c = counts + 0.1
         self.logp = np.log(c / c.sum(0)).astype(np.float64)
-        self.logp -= self.logp.mean(1, keepdims=True)
+        if langs:
+            self.logp -= self.logp.mean(1, keepdims=True)
         self.scripts = scripts
         self._forget()
 

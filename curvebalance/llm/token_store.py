@@ -29,17 +29,27 @@ CUT_BITS = 9
 _GEAR = C.mix(np.arange(1 << 17, dtype=np.uint64), 77)
 
 
-def cuts(ids: np.ndarray) -> list[int]:
-    """Ends of the chunks. The rolling hash at i depends on the 16 ids up to i alone, so equal passages are cut alike."""
-    n = len(ids)
-    if n <= LEAST:
-        return [n]
+def candidates(ids: np.ndarray) -> np.ndarray:
+    """Places where the rolling hash, which at i depends on the 16 ids up to i alone, asks for a cut; so equal passages are cut alike.
+
+    Documents may stand one after another: no cut is taken within the first `LEAST` ids of one, and so none that saw ids of its predecessor.
+    """
     h = _GEAR[ids.astype(np.uint32) & np.uint32(0x1FFFF)]
     for k in range(WINDOW_STEPS):
         step = 1 << k
         h[step:] = h[step:] + (h[:-step] << np.uint64(step))
+    return np.flatnonzero(h >> np.uint64(64 - CUT_BITS) == 0) + 1
+
+
+def cuts(ids: np.ndarray) -> list[int]:
+    """Ends of the chunks of one document."""
+    return bounded(candidates(ids).tolist(), len(ids))
+
+
+def bounded(wanted: list[int], n: int) -> list[int]:
+    """The wanted cuts of a document of n ids, so that chunks hold LEAST to MOST ids; the last may be shorter."""
     out, last = [], 0
-    for c in (np.flatnonzero(h >> np.uint64(64 - CUT_BITS) == 0) + 1).tolist():
+    for c in wanted:
         while c - last > MOST:
             last += MOST
             out.append(last)
@@ -68,13 +78,14 @@ def encoded(docs: DataFrame, encoder: T.WordBpe, end_id: int) -> DataFrame:
         end = np.array([end_id], kind).tobytes()
         for x in C.freed(batches):
             for at, texts in T.slices_of(x.column(1)):
-                blobs, lens, names = [], [], []
-                for b in encoder.encode(texts):
-                    b += end
-                    e = cuts(np.frombuffer(b, kind))
+                blobs, lens, names = [b + end for b in encoder.encode(texts)], [], []
+                wanted = candidates(np.frombuffer(b"".join(blobs), kind))
+                first = np.cumsum([0, *[len(b) // kind.itemsize for b in blobs]])
+                split = np.searchsorted(wanted, first, "right")
+                for i, b in enumerate(blobs):
+                    e = bounded((wanted[split[i] : split[i + 1]] - first[i]).tolist(), len(b) // kind.itemsize)
                     lens.append(np.diff([0, *e]).tolist())
                     names.append([digest(b[s * kind.itemsize : t * kind.itemsize]) for s, t in zip([0, *e], e)])
-                    blobs.append(b)
                 yield C.batch_of({"doc_id": x.column(0).slice(at, len(texts)), "n_tokens": pa.array([len(b) // kind.itemsize for b in blobs], pa.int64()), "width": pa.array([kind.itemsize] * len(blobs), pa.int32()), "ids": pa.array(blobs, pa.binary()), "lens": pa.array(lens, pa.list_(pa.int32())), "digests": pa.array(names, pa.list_(pa.binary()))})
 
     return docs.mapInArrow(run, "doc_id long, n_tokens long, width int, ids binary, lens array<int>, digests array<binary>")
@@ -84,7 +95,7 @@ def write(docs: DataFrame, path: str, vocabulary: str, end_id: int = 1) -> None:
     """Writes the store of all documents (doc_id, text) under `path`."""
     C.ship(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null")
-    enc = C.stash(encoded(docs, T.WordBpe(vocabulary), end_id), "encoded")
+    enc = C.stash(encoded(docs, T.WordBpe(vocabulary), end_id), "encoded", "lz4")
     if enc.groupBy("doc_id").count().where("count > 1").isEmpty():
         rows = enc.withColumn("copy", F.lit(0))
     else:

@@ -17,8 +17,8 @@ import numpy as np
 
 #: Characters on which all libraries agree; others send the text to the library as a whole.
 PLAIN = re.compile("[\t\n\r\x20-\x7e¡-įı-Ɂ‐-‧‰-⁞€]*")
-#: Entries of a worker's memos; when one is full, what it lacks is encoded anew each time.
-MEMO, PIECES = 300_000, 150_000
+#: Entries of a worker's memo; when it is full, what it lacks is encoded anew each time.
+MEMO = 600_000
 #: The word vocabulary's split of a lower-cased text (a fixed value of that file).
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
@@ -29,7 +29,13 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+#: The ASCII part of these characters.
+ASCII = bytes([9, 10, 13, *range(32, 127)])
+
+
 def plain(text: str) -> bool:
+    if text.isascii():  # much faster than the pattern
+        return "<|" not in text and not text.encode().translate(None, ASCII)
     return "<|" not in text and PLAIN.fullmatch(text) is not None
 
 
@@ -82,7 +88,38 @@ def _splitter(path: str):
     return regex.compile(WORDS) if known else None
 
 
-_memos: dict[str, tuple[dict[str, bytes], dict[str, bytes]]] = {}
+class Memo(dict):
+    """Ids (bytes) of lower-cased pieces between white space. What it lacks is split into words, which go to the library's merge model."""
+
+    def __init__(self, path: str, size: int):
+        super().__init__()
+        self.model, self.split, self.size = library(path).model, _splitter(path).findall, size
+        self.ids = [i.to_bytes(size, "little") for i in range(library(path).get_vocab_size())]
+        self.table = str.maketrans(dict(enumerate(byte_letters())))
+        self.marks: dict[str, bytes] = {}
+
+    def word(self, w: str) -> bytes:
+        spelt = w if w.isascii() else w.encode().decode("latin-1").translate(self.table)
+        return b"".join([self.ids[t.id] for t in self.model.tokenize(spelt)])
+
+    def __missing__(self, w: str) -> bytes:
+        if w.isalpha():
+            b = self.word(w)
+        elif w[-1] in ".,;:!?" and w[:-1].isalpha():  # letters and what follows them are words of their own
+            mark = self.marks.get(w[-1])
+            if mark is None:
+                mark = self.marks[w[-1]] = self.word(w[-1])
+            b = (self.get(w[:-1]) or self.word(w[:-1])) + mark
+        else:
+            b = b"".join(map(self.word, self.split(w)))
+        if len(self) < MEMO:
+            self[w] = b
+        return b
+
+
+@lru_cache(4)
+def memo(path: str, size: int) -> Memo:
+    return Memo(path, size)
 
 
 class WordBpe:
@@ -95,34 +132,9 @@ class WordBpe:
         return np.dtype("<u2" if library(self.path).get_vocab_size() <= 1 << 16 else "<u4")
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        lib, kind, split = library(self.path), self.dtype(), _splitter(self.path)
-        memo, pieces = _memos.setdefault(self.path, ({}, {}))
-        model, table, size = lib.model, str.maketrans(dict(enumerate(byte_letters()))), kind.itemsize
-
-        def piece(p: str) -> bytes:
-            b = pieces.get(p)
-            if b is None:
-                spelt = p if p.isascii() else p.encode().decode("latin-1").translate(table)
-                b = b"".join(t.id.to_bytes(size, "little") for t in model.tokenize(spelt))
-                if len(pieces) < PIECES:
-                    pieces[p] = b
-            return b
-
-        out = []
-        for x in texts:
-            if split is None or not plain(x):
-                out.append(np.array(lib.encode(x, add_special_tokens=False).ids, kind).tobytes())
-                continue
-            ids = []
-            for w in x.split():
-                b = memo.get(w)
-                if b is None:
-                    b = b"".join(map(piece, split.findall(w.lower())))
-                    if len(memo) < MEMO:
-                        memo[w] = b
-                ids.append(b)
-            out.append(b"".join(ids))
-        return out
+        kind, known = self.dtype(), _splitter(self.path) is not None
+        get = memo(self.path, kind.itemsize).__getitem__ if known else None
+        return [b"".join(map(get, x.lower().split())) if known and plain(x) else np.array(library(self.path).encode(x, add_special_tokens=False).ids, kind).tobytes() for x in texts]
 
 
 def slices_of(column, most: int = 1 << 20, rows: int = 64):
