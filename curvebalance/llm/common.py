@@ -14,6 +14,8 @@ from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 
 #: A table is broadcast only when it has been counted and holds no more than this many bytes; above it, joins shuffle.
 BROADCAST_BYTES = 24 << 20
+#: Rows of an Arrow batch.
+BATCH_ROWS = 1000
 #: Text is hashed in slices of about this many bytes, so a worker's memory does not depend on the batch size.
 SLICE_BYTES = 1 << 19
 
@@ -21,8 +23,11 @@ _shipped: set[str] = set()
 
 
 def ship(spark: SparkSession) -> None:
-    """Sends this package to the executors once per application, so that nothing relies on a shared source folder."""
+    """Sends this package to the executors once per application, so that nothing relies on a shared source folder. Where Arrow batches have
+    Spark's default of 10,000 rows, they get fewer: rows are whole texts here, and a batch is held several times over."""
     sc = spark.sparkContext
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     if sc.applicationId in _shipped:
         return
     _shipped.add(sc.applicationId)
