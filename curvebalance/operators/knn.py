@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import islice
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window as W, functions as F
@@ -61,18 +63,29 @@ def by_subtree(tree: kdtree.Tree, q: DataFrame, k: int, radius: float) -> DataFr
     return _rank(routed.join(p, "top_id").withColumn("d2", d2).where(F.col("d2") <= radius * radius).select("qid", "uid", "d2"), k)
 
 
-#: Queries that the exact search takes; it is the accuracy reference, on samples.
+#: Queries that one pass of the exact search takes; more are answered block by block.
 EXACT_QUERIES = 5000
 
 
 def exact(points: DataFrame, q: DataFrame, dims: int, k: int = 3, exclude_self: bool = False) -> DataFrame:
-    """qid, rn, uid, d2 by comparing every point with a bounded set of queries, in blocks; each task returns its best k a query."""
-    tables.ship(points.sparkSession)
+    """qid, rn, uid, d2 by comparing every point with every query. Queries go in blocks of EXACT_QUERIES, one pass over the points each, whose answers
+    are added to a table; the driver and the tasks hold one block."""
+    spark = points.sparkSession
+    tables.ship(spark)
     cols = [f"c{i}" for i in range(dims)]
-    rows = q.select("qid", *cols).limit(EXACT_QUERIES + 1).collect()
-    if len(rows) > EXACT_QUERIES:
-        raise ValueError(f"the exact search is for at most {EXACT_QUERIES} queries")
-    qid, qc = np.array([r["qid"] for r in rows], np.int64), np.array([[r[c] for c in cols] for r in rows], float).reshape(-1, dims)
+    rows = q.select("qid", *cols).toLocalIterator()
+    blocks = iter(lambda: list(islice(rows, EXACT_QUERIES)), [])
+    best = _nearest(points, next(blocks, []), cols, k, exclude_self)
+    path = tables.shared_path(spark, "exact")
+    best.write.parquet(path)
+    for block in blocks:
+        _nearest(points, block, cols, k, exclude_self).write.mode("append").parquet(path)
+    return spark.read.schema(best.schema).parquet(path)
+
+
+def _nearest(points: DataFrame, rows: list, cols: list[str], k: int, exclude_self: bool) -> DataFrame:
+    """One block of queries; each task returns its best k a query."""
+    qid, qc = np.array([r["qid"] for r in rows], np.int64), np.array([[r[c] for c in cols] for r in rows], float).reshape(-1, len(cols))
 
     def run(batches):
         best: dict[int, list] = {}
@@ -81,7 +94,7 @@ def exact(points: DataFrame, q: DataFrame, dims: int, k: int = 3, exclude_self:
             for i in range(len(qid)):
                 d = p[:, 0] - qc[i, 0]
                 d2 = d * d
-                for t in range(1, dims):  # the same order of additions as the expression
+                for t in range(1, len(cols)):  # the same order of additions as the expression
                     d = p[:, t] - qc[i, t]
                     d2 = d2 + d * d
                 ok = np.flatnonzero(uid != qid[i]) if exclude_self else np.arange(len(uid))

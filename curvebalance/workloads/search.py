@@ -96,7 +96,7 @@ def _(spark, d):
 @query("knn_exact", f"WITH pts AS ({_BUCKETS}) {_EXACT}")
 def _(spark, d):
     k = _bucketed(spark, d)
-    return knn.exact(k, _asked(k).limit(knn.EXACT_QUERIES), 3, K)
+    return knn.exact(k, _asked(k), 3, K)
 
 
 def _recall_sql(c: int) -> str:
@@ -108,7 +108,7 @@ def _(spark, d):
     """Recall rises with the number of buckets searched on each side."""
     k = _bucketed(spark, d)
     q = tables.snapshot(_asked(k).select("qid", "c0", "c1", "c2", "bucket"), "queries")
-    e = tables.snapshot(knn.exact(k, q, 3, K), "exact")
+    e = knn.exact(k, q, 3, K)
     out = None
     for c in (0, 1, 2):
         r = metrics.knn_recall(knn.by_curve(k, q, 3, K, c), e, K).select(F.lit(c).alias("cutoff"), "k", "recall")

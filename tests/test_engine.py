@@ -4,10 +4,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+import oracle
 from curvebalance.functions import curves, geometry
 from curvebalance.operators import amortise, balance, dynamic, graph, kdtree, knn, locate, metrics, migrate, ranges, slicing, spmv
 from curvebalance.plans.specs import PointSpec, TreeConfig
 from curvebalance.sources import datagen
+from curvebalance.workloads import ORACLE_SQL, QUERIES
 
 
 def points(spark, rows, dims=1):
@@ -266,6 +268,25 @@ def test_recall_rises_to_one(spark):
     assert r[0] < r[1] <= r[2] == 1.0 and r[1] > 0.8
 
 
+def test_exact_search_answers_more_queries_than_a_block(spark, monkeypatch):
+    monkeypatch.setattr(knn, "EXACT_QUERIES", 7)
+    r = np.random.default_rng(3)
+    xy, ask = r.random((300, 2)), r.random((40, 2))
+    p = spark.createDataFrame([(i, float(x), float(y)) for i, (x, y) in enumerate(xy)], "uid long, c0 double, c1 double")
+    q = spark.createDataFrame([(i, float(x), float(y)) for i, (x, y) in enumerate(ask)], "qid long, c0 double, c1 double")
+    got = {(x["qid"], x["rn"]): x["uid"] for x in knn.exact(p, q, 2, 3).collect()}
+    d2 = ((ask[:, None] - xy[None]) ** 2).sum(2)
+    assert got == {(i, n + 1): int(u) for i in range(40) for n, u in enumerate(np.argsort(d2[i])[:3])}
+    assert knn.exact(p, q.limit(0), 2, 3).count() == 0
+
+
+def test_exact_queries_leave_none_out(spark, sf, monkeypatch):
+    monkeypatch.setattr(knn, "EXACT_QUERIES", 40)
+    con = oracle.connect(sf)
+    for name in ("knn_exact", "knn_recall"):
+        assert oracle.compare(QUERIES[name](spark, sf), ORACLE_SQL[name], con) is None
+
+
 def test_key_ranges_cover_a_box_exactly():
     spans = ranges.key_ranges([3, 5], [12, 9], 4, most=1000)
     def morton(x, y):
