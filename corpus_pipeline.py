@@ -21,8 +21,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Removes lines that an earlier line repeats, exactly or within one word; documents of which nothing is left go."""
-    left = line_dedup.dedup(docs)
-    left = left.where((F.size("dropped") == 0) | F.coalesce(F.length(F.trim("text")), F.lit(0)).cast("boolean"))
+    left = line_dedup.dedup(docs, least_words=1)
+    left = left.where((F.size("dropped") == 0) | F.coalesce(F.col("text").rlike(r"\S"), F.lit(False)))
     return left.select(*[F.when(F.size("dropped") > 0, F.length("text").cast("long")).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
 
 

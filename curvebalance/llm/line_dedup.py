@@ -1,7 +1,8 @@
 """Line deduplication over a corpus, with an edit bound, by a deletion-neighbourhood join.
 
 A line's words (lower-cased A-Z, split at white space) decide. An occurrence of a line goes if an earlier one, by (doc_id, line), has the same words
-or, for lines of at least `near_words` words, words within one insertion, deletion or substitution. Lines of fewer than `least_words` words stay.
+or, for lines of at least `near_words` words, words within one insertion, deletion or substitution. Lines of fewer than `least_words` words stay; the queries
+take 1, so that blank lines alone do.
 
 Equal lines are merged first, by a partial aggregate, so a common line is one row. Two lines within one edit share, by the pigeonhole
 principle, their first or second half; lines that share neither half with another line go no further. The others emit their deletion
@@ -52,8 +53,8 @@ def run_hash(p: np.ndarray, inv: np.ndarray, a: np.ndarray, b: np.ndarray, salt:
     return C.mix((p[b] - p[a]) * inv[a] + (b - a).astype(np.uint64) * C._M2, salt)
 
 
-def occurrences(docs: DataFrame, least: int) -> DataFrame:
-    """doc_id, line, words, full (hash) and the half hashes of every line of at least `least` words."""
+def occurrences(docs: DataFrame, least: int, near: int) -> DataFrame:
+    """doc_id, line, words and full (hash) of every line of at least `least` words, with the half hashes of those that may be near another."""
 
     def run(batches):
         for x in C.freed(batches):
@@ -73,13 +74,16 @@ def occurrences(docs: DataFrame, least: int) -> DataFrame:
                 if not len(doc):
                     continue
                 p, inv = sequence_hash(h, C._powers(len(h))), _inverse(len(h) + 1)
+                full, words = run_hash(p, inv, a, b, 20), b - a
+                far = words >= near - 1
+                a, b = a[far], b[far]
                 n = b - a
                 half, less = n // 2, (n - 1) // 2
                 # the halves of a line of n words, and those that a line of n - 1 words would have
                 keys = [run_hash(p, inv, a, a + half, 21), run_hash(p, inv, a + half, b, 22), run_hash(p, inv, a, a + less, 21), run_hash(p, inv, b - (n - 1 - less), b, 22)]
                 tags = [n, n, n - 1, n - 1]
                 halves = np.stack([C.mix(k + t.astype(np.uint64) * C._M1, 23) for k, t in zip(keys, tags)], 1).ravel()
-                yield C.batch_of({"doc_id": ids.take(pa.array(doc)), "line": pa.array(line, pa.int32()), "words": pa.array(n, pa.int32()), "full": pa.array(run_hash(p, inv, a, b, 20).view(np.int64)), "halves": pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1) * 4, pa.int32()), pa.array(halves.view(np.int64)))})
+                yield C.batch_of({"doc_id": ids.take(pa.array(doc)), "line": pa.array(line, pa.int32()), "words": pa.array(words, pa.int32()), "full": pa.array(full.view(np.int64)), "halves": pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(far) * 4)), pa.int32()), pa.array(halves.view(np.int64)))})
 
     return docs.where("doc_id is not null").select("doc_id", "text").mapInArrow(run, "doc_id long, line int, words int, full long, halves array<long>")
 
@@ -174,7 +178,7 @@ def dropped_lines(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: i
     """doc_id, line (from 0) of every occurrence that goes."""
     C.ship(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    occ = C.stash(occurrences(docs, least_words), "lines")
+    occ = C.stash(occurrences(docs, least_words, near_words), "lines")
     distinct = occ.groupBy("full").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("c"), F.first("words").alias("words"), F.first("halves").alias("halves"))
     distinct = C.stash(distinct, "distinct-lines")
     near = C.stash(near_lines(distinct, docs, near_words), "near")

@@ -23,7 +23,7 @@ def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_dedup.dedup(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return line_dedup.dedup(_table(spark, sf_dir, "documents").select("doc_id", "text"), least_words=1)
 
 
 def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from curvebalance.llm import common as C, jaccard_join, language_id, line_dedup, mixing, packing, token_store, tokens, url_filter, vector_search, warc, webp
+from curvebalance.llm import common as C, jaccard_join, language_id, line_dedup, mixing, packing, registry, token_store, tokens, url_filter, vector_search, warc, webp
 
 BYTES, RANKS, WORDS = tokens.vocabulary("byte_bpe_50k.json"), tokens.vocabulary("byte_bpe_50k.tiktoken"), tokens.vocabulary("word_bpe_49k.json")
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
@@ -219,6 +219,23 @@ def test_line_dedup_edges(spark, odd):
     assert line_dedup.dedup(odd.where("doc_id < 0")).count() == 0
 
 
+def test_line_dedup_has_no_floor_in_the_queries(spark, tmp_path):
+    corpus_pipeline = pytest.importorskip("corpus_pipeline")
+    r = random.Random(5)
+    short = ["Yes", "no more", "one two three", "a b c d", "x", "", " \t", "Über uns"]
+    near = [sentence(r, n) for n in (8, 9, 10, 11)]
+    texts = {d: "\n".join(r.choice(short + near + [f"only {d}"]).upper() if r.random() < 0.3 else r.choice(short + near) for _ in range(6)) for d in range(30)}
+    df = docs(spark, [texts[i] for i in range(30)])
+    df.write.parquet(f"{tmp_path}/documents.parquet")
+    gone = brute_lines(texts, least=1)
+    assert any(len(line_dedup.words_of(texts[d].split("\n")[n])) == 1 for d, n in gone)
+    got = {x["doc_id"]: x["text"] for x in registry.QUERIES["op3_line_dedup"](spark, str(tmp_path)).collect()}
+    want = {d: "\n".join(x for i, x in enumerate(t.split("\n")) if (d, i) not in gone) for d, t in texts.items()}
+    assert got == want
+    got = {x["doc_id"]: x["text"] for x in corpus_pipeline.lines(spark, df, "").collect()}
+    assert got == {d: t for d, t in want.items() if t.strip() or t == texts[d]}
+
+
 # ---- token store ----
 
 
