@@ -231,7 +231,7 @@ def _(spark, d):
         old = p.where(h % 20 == step).withColumn("op", F.lit("delete"))
         return new.unionByName(old).withColumn("op_ts", F.lit(step)).withColumn("op_id", F.lit(0))
 
-    _, trace = dynamic.run(start, 3, TreeConfig.of("midpoint"), 8, source, 6, adjust_every=3)
+    _, trace = dynamic.run(start, 3, TreeConfig.of("midpoint"), 8, source, 10, adjust_every=5)
     return spark.createDataFrame([(t["iter"], int(t["n_ops"]), float(t["cost"]), float(t["debt"]), bool(t["rebalanced"]), bool(t["adjusted"])) for t in trace], "iter int, n_ops long, cost double, debt double, rebalanced boolean, adjusted boolean")
 
 
@@ -288,7 +288,7 @@ def _(spark, d):
     p = tables.snapshot(curves.keyed(P.unit(P.lineitem(spark, d), 3), 3, 16, box=[(0.0, 1.0)] * 3), "keyed")
     rows = []
     for policy in ("never", "amortised", "always"):
-        t = amr.run(p, 3, 16, 6, 0.3, policy, balance_cost=0.5)
+        t = amr.run(p, 3, 16, 20, 0.3, policy, balance_cost=0.5)
         rows.append((policy, sum(x["rebalanced"] for x in t), round(sum(x["cost"] for x in t) / len(t), 6)))
     return spark.createDataFrame(rows, "policy string, rebalances int, mean_cost double")
 

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 import oracle
 from curvebalance.functions import curves, geometry
-from curvebalance.operators import amortise, balance, dynamic, graph, kdtree, knn, locate, metrics, migrate, ranges, slicing, spmv
+from curvebalance.operators import amortise, amr, balance, dynamic, graph, kdtree, knn, locate, metrics, migrate, ranges, slicing, spmv
 from curvebalance.plans.specs import PointSpec, TreeConfig
 from curvebalance.sources import datagen
 from curvebalance.workloads import ORACLE_SQL, QUERIES
@@ -287,6 +287,15 @@ def test_exact_queries_leave_none_out(spark, sf, monkeypatch):
         assert oracle.compare(QUERIES[name](spark, sf), ORACLE_SQL[name], con) is None
 
 
+def test_traces_have_all_stated_steps(spark, sf, monkeypatch):
+    t = QUERIES["dyn_trace"](spark, sf).collect()
+    assert len(t) == 10 and sum(x["adjusted"] for x in t) == 2 and all(x["n_ops"] for x in t)
+    steps = []
+    monkeypatch.setattr(amr, "run", lambda p, dims, parts, n, *rest, **kw: steps.append(n) or [{"rebalanced": False, "cost": 1.0}])
+    QUERIES["amr_policy_compare"](spark, sf)
+    assert steps == [20, 20, 20]
+
+
 def test_key_ranges_cover_a_box_exactly():
     spans = ranges.key_ranges([3, 5], [12, 9], 4, most=1000)
     def morton(x, y):
