@@ -29,8 +29,7 @@ def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = C.new_path(spark, "token-store")
     token_store.write(_table(spark, sf_dir, "documents"), path, tokens.vocabulary("word_bpe_49k.json"), end_id=1)
-    starts = spark.read.parquet(f"{path}/index").select("doc_id", "copy", "start")
-    return token_store.digests(token_store.read(spark, path)).join(starts, ["doc_id", "copy"]).select("doc_id", "start", "n_tokens", "ids_crc32")
+    return token_store.digests(token_store.read(spark, path)).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
 def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -259,6 +259,55 @@ def test_token_store_round_trip(spark, odd):
     token_store.write(df.where("doc_id < -5"), C.new_path(spark, "test-store"), WORDS)
 
 
+def test_token_store_query_equals_the_library(spark, sf, tmp_path, odd):
+    """Over a whole table, with null and repeated ids beside it: ids, places in ascending doc_id order and digests as the library gives them."""
+    df = spark.read.parquet(sf.replace("0.001", "0.01") + "/documents.parquet")
+    extra = odd.select(*df.columns).unionByName(odd.select(*df.columns).where("doc_id is null or doc_id = 5").withColumn("text", F.lit("another text")))
+    df = df.withColumn("doc_id", F.col("doc_id") + 100).unionByName(extra)
+    df.write.parquet(f"{tmp_path}/documents.parquet")
+    got = sorted(registry.QUERIES["op4_token_store"](spark, str(tmp_path)).collect(), key=lambda r: r["start"])
+    lib, want = tokens.library(WORDS), Counter()
+    for r in df.select("doc_id", "text").collect():
+        a = np.array(lib.encode(r["text"] or "", add_special_tokens=False).ids + [1], "<u4")
+        want[r["doc_id"], len(a), zlib.crc32(a.tobytes())] += 1
+    assert Counter((r["doc_id"], r["n_tokens"], r["ids_crc32"]) for r in got) == want
+    assert [r["start"] for r in got] == np.cumsum([0] + [r["n_tokens"] for r in got])[:-1].tolist()
+    ids = [r["doc_id"] for r in got]
+    assert ids == sorted(ids, key=lambda i: (i is None, i))
+
+
+@pytest.mark.parametrize("what", ["manifest", "index", "lost", "doubled", "bytes"])
+def test_token_store_finds_what_was_altered(spark, what):
+    r = random.Random(14)
+    df = docs(spark, [sentence(r, 300) for _ in range(40)])
+    path = C.new_path(spark, "test-store")
+    token_store.write(df, path, WORDS)
+    assert token_store.read(spark, path).count() == 40
+    name = {"manifest": "manifest", "index": "index"}.get(what, "packs")
+    rows = spark.read.parquet(f"{path}/{name}")
+    if what == "manifest":
+        rows = rows.withColumn("root", F.expr("unhex(md5(root))"))
+    elif what == "index":
+        rows = rows.withColumn("start", F.when(F.col("doc_id") == 7, F.col("start") + 1).otherwise(F.col("start")))
+    elif what == "bytes":
+        rows = rows.withColumn("bytes", F.when(F.col("doc_id") == 7, F.expr("reverse(bytes)")).otherwise(F.col("bytes")))
+    else:
+        rows = rows.where("doc_id != 7") if what == "lost" else rows.unionByName(rows.where("doc_id = 7"))
+    rows.write.parquet(f"{path}/altered")
+    spark.read.parquet(f"{path}/altered").write.mode("overwrite").parquet(f"{path}/{name}")
+    with pytest.raises(Exception, match="differ"):
+        token_store.read(spark, path).collect()
+
+
+def test_token_store_fetches_chunks_by_digest(spark):
+    r = random.Random(15)
+    path = C.new_path(spark, "test-store")
+    token_store.write(docs(spark, [sentence(r, 900) for _ in range(6)]), path, WORDS)
+    names = spark.read.parquet(f"{path}/packs").select(F.explode("recipe.digest").alias("digest"))
+    got = token_store.fetch(spark, path, names).collect()
+    assert len(got) == names.distinct().count() and all(token_store.digest(bytes(x["bytes"])) == bytes(x["digest"]) for x in got)
+
+
 def test_chunks_of_equal_passages_are_equal():
     r = np.random.default_rng(0)
     a, b = r.integers(0, 49000, 20000).astype(np.uint16), r.integers(0, 49000, 300).astype(np.uint16)
