@@ -4,9 +4,13 @@ A rule is an action, a host and a path prefix; it fits its host and all subdomai
 and path wins. What the rules block, of all keys (host and path) in the corpus, is the list that the cascade encodes: level 1 holds the
 listed keys, level 2 those other keys of the corpus that level 1 accepts, level 3 the listed keys that level 2 accepts, and so on until
 no key is left. A key of that universe is listed exactly if the last level
-that accepts it, after which one rejects it or none follows, is an odd one (counted from 1), so a lookup is exact and needs no join. Keys are split by hash into shards of bounded size, each with its own small cascade, built in one task. Together they are
+that accepts it, after which one rejects it or none follows, is an odd one (counted from 1), so a lookup is exact and needs no join. A key is named by two
+64-bit hashes. Keys are split by hash into shards of bounded size, each with its own small cascade, built in one task. Together they are
 broadcast if their size allows; otherwise urls are brought to their shard.
 
+Where pages are judged, the verdict is what the cascade says: listed is block, all else allow. The rules are consulted where the list is made and to
+name the rule that fits.
+
 Null urls, or urls without `://`, have empty host and path, fit no rule and are not listed. Repeated rows are judged alike.
 """
 
@@ -62,20 +66,21 @@ def fitting(rules: list[Rule], host: Column, path: Column, what: str) -> Column:
 
 
 class Cascade:
-    """Levels of Bloom filters over 64-bit key hashes. A key goes down as long as levels accept it; where it stops says whether it is listed."""
+    """Levels of Bloom filters over key hashes (one or two 64-bit numbers a key). A key goes down as long as levels accept it; where it stops says whether it is listed."""
 
     def __init__(self, levels: list[tuple[int, int, bytes]]):
         self.levels = [(hashes, salt, np.frombuffer(b, np.uint8)) for hashes, salt, b in levels]
 
     @staticmethod
     def _at(keys: np.ndarray, bits: int, hashes: int, salt: int) -> np.ndarray:
-        a, b = C.mix(keys, 2 * salt), C.mix(keys, 2 * salt + 1) | np.uint64(1)
+        one, two = (keys[:, 0], keys[:, 1]) if keys.ndim > 1 else (keys, keys)
+        a, b = C.mix(one, 2 * salt), C.mix(two, 2 * salt + 1) | np.uint64(1)
         return ((a[:, None] + np.arange(hashes, dtype=np.uint64) * b[:, None]) % np.uint64(bits)).astype(np.int64)
 
     @classmethod
     def build(cls, listed: np.ndarray, others: np.ndarray) -> Cascade:
-        """The first level has few false positives for the number of other keys, later ones a half."""
-        levels, inside, outside = [], np.unique(listed), np.setdiff1d(others, listed)
+        """Of distinct keys. The first level has few false positives for the number of other keys, later ones a half."""
+        levels, inside, outside = [], listed, others
         while len(inside):
             rate = 0.5 if levels else min(0.5, max(1e-6, len(inside) * 0.7 / max(1, len(outside))))
             hashes = max(1, round(-np.log2(rate)))
@@ -101,11 +106,15 @@ class Cascade:
         return found
 
 
+def hashes_of(x) -> np.ndarray:
+    return np.stack([x.column(c).to_numpy().view(np.uint64) for c in ("key", "key2")], 1)
+
+
 def build(keys: DataFrame, shards: int) -> DataFrame:
-    """The cascades of distinct keys (shard, key, listed): shard, level, hashes, salt, bits."""
+    """The cascades of distinct keys (shard, key, key2, listed): shard, level, hashes, salt, bits."""
 
     def run(g: pa.Table) -> pa.Table:
-        k, listed = g.column("key").to_numpy().view(np.uint64), g.column("listed").to_numpy()
+        k, listed = hashes_of(g), g.column("listed").to_numpy()
         c = Cascade.build(k[listed], k[~listed])
         n = len(c.levels)
         return pa.table({"shard": pa.array([g.column("shard")[0].as_py()] * n, pa.int32()), "level": pa.array(range(n), pa.int32()), "hashes": pa.array([x[0] for x in c.levels], pa.int32()), "salt": pa.array([x[1] for x in c.levels], pa.int32()), "bits": pa.array([x[2].tobytes() for x in c.levels], pa.binary())})
@@ -119,10 +128,11 @@ def judge(pages: DataFrame, rules: list[Rule], shard_keys: int = SHARD_KEYS, bro
     C.ship(spark)
     host, path = host_and_path(F.col("url"))
     rows = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string")).select("page_id", host.alias("host"), path.alias("path"))
-    rows = rows.withColumn("rule", fitting(rules, F.col("host"), F.col("path"), "name")).withColumn("key", F.xxhash64("host", "path"))
+    rows = rows.withColumn("rule", fitting(rules, F.col("host"), F.col("path"), "name"))
+    rows = rows.withColumn("key", F.xxhash64("host", "path")).withColumn("key2", F.xxhash64(F.lit(1), "path", "host"))
     # equal keys are merged before the shuffle, so a hot host or url is a few rows
-    keys = rows.groupBy("key").agg(F.first("host").alias("host"), F.first("path").alias("path"))
-    keys = C.stash(keys.select("key", (F.coalesce(fitting(rules, F.col("host"), F.col("path"), "action"), F.lit("allow")) == "block").alias("listed")), "urls")
+    keys = rows.groupBy("key", "key2").agg(F.first("host").alias("host"), F.first("path").alias("path"))
+    keys = C.stash(keys.select("key", "key2", (F.coalesce(fitting(rules, F.col("host"), F.col("path"), "action"), F.lit("allow")) == "block").alias("listed")), "urls")
     shards = max(8, keys.count() // shard_keys + 1)
     shard = F.pmod(F.xxhash64("key"), F.lit(shards)).cast("int")
     levels = C.stash(build(keys.withColumn("shard", shard), shards), "cascade")
@@ -143,23 +153,22 @@ def judge(pages: DataFrame, rules: list[Rule], shard_keys: int = SHARD_KEYS, bro
         def run(batches):
             at = {s: Cascade(v) for s, v in sent.value.items()}
             for x in batches:
-                k, s = x.column("key").to_numpy().view(np.uint64), x.column("shard").to_numpy()
+                k, s = hashes_of(x), x.column("shard").to_numpy()
                 found = np.zeros(len(k), bool)
                 for i in np.unique(s):
                     if i in at:
                         found[s == i] = at[i].has(k[s == i])
                 yield C.batch_of(answer(x, found))
 
-        judged = rows.select(*cols, "key", "shard").mapInArrow(run, schema)
+        judged = rows.select(*cols, "key", "key2", "shard").mapInArrow(run, schema)
     else:
         # distinct keys are judged at their shard, then meet their rows again
 
         def at_shard(k: pa.Table, c: pa.Table) -> pa.Table:
             own = Cascade([tuple(r[n] for n in ("hashes", "salt", "bits")) for r in sorted(c.to_pylist(), key=lambda r: r["level"])])
-            return pa.table({"key": k.column("key"), "listed": pa.array(own.has(k.column("key").to_numpy().view(np.uint64)))})
+            return pa.table({"key": k.column("key"), "key2": k.column("key2"), "listed": pa.array(own.has(hashes_of(k)))})
 
-        near = keys.select("key", shard.alias("shard")).groupBy("shard").cogroup(levels.groupBy("shard"))
-        judged = rows.join(C.stash(near.applyInArrow(at_shard, "key long, listed boolean"), "listed"), "key").select(*cols, "listed")
-    verdict = F.coalesce(fitting(rules, F.col("host"), F.col("path"), "action"), F.when(F.col("listed"), "block").otherwise("allow"))
-    return judged.select(*cols, "listed", verdict.alias("verdict"))
+        near = keys.select("key", "key2", shard.alias("shard")).groupBy("shard").cogroup(levels.groupBy("shard"))
+        judged = rows.join(C.stash(near.applyInArrow(at_shard, "key long, key2 long, listed boolean"), "listed"), ["key", "key2"]).select(*cols, "listed")
+    return judged.select(*cols, "listed", F.when(F.col("listed"), "block").otherwise("allow").alias("verdict"))
 
