@@ -25,6 +25,8 @@ from . import common as C
 #: Fixed values of the seekable format: the skippable frame's and the seek table's magic numbers.
 SKIPPABLE, SEEKABLE = 0x184D2A5E, 0x8F92EAB1
 FRAME_BYTES, BUNDLE_BYTES = 1 << 20, 128 << 20
+#: Frames that one task reads from a bundle at a stretch.
+FRAMES_TOGETHER = 16
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
 
@@ -169,8 +171,10 @@ def read(index: DataFrame, folder: str, payloads: bool = False) -> DataFrame:
     """Every record of the bundles that the index names: page_id, url, record_type, refers_to, payload_bytes, payload_digest and, if
     asked for, the payload (null for revisits). A response's digest is computed from what is read and must equal its header."""
     C.ship(index.sparkSession)
+    # runs of frames of a bundle are dealt to tasks of about as many bytes each; an expression keeps this shuffle apart from that of the distinct
     frames = index.select("bundle", "frame").distinct()
-    frames = frames.repartition(C.partitions(index), "bundle", "frame").sortWithinPartitions("bundle", "frame")
+    tasks = C.partitions(index, -(-frames.count() * FRAME_BYTES // BUNDLE_BYTES))
+    frames = frames.repartition(tasks, F.xxhash64("bundle", F.floor(F.col("frame") / FRAMES_TOGETHER))).sortWithinPartitions("bundle", "frame")
 
     def run(batches):
         name, reader = None, None
