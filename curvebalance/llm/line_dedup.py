@@ -18,7 +18,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window as W, functions as F
+from pyspark.sql import DataFrame, functions as F
 
 from . import common as C
 
@@ -152,8 +152,9 @@ def near_lines(distinct: DataFrame, docs: DataFrame, near_words: int) -> DataFra
     order = C.stash(cand.select("full", "first"), "near-order")
     v = C.stash(variants(rows).join(order, "full"), "variants")
     # substitutions: equal variants without the same word, each tied to the earliest
-    w = W.partitionBy("variant", "at").orderBy("first")
-    sub = v.where("at >= 0").withColumn("to", F.first("full").over(w.rowsBetween(W.unboundedPreceding, 0))).where("full != to").select("full", "to")
+    earliest = v.where("at >= 0").groupBy("variant", "at").agg(F.min(F.struct("first", "full")).alias("m"), F.max("full").alias("x"), F.min("full").alias("y")).where("x != y")
+    earliest = C.maybe_broadcast(C.stash(earliest.select("variant", "at", F.col("m.full").alias("to")), "earliest"), 40)
+    sub = v.where("at >= 0").join(earliest, ["variant", "at"]).where("full != to").select("full", "to")
     # insertions: a line equal to another's variant, either way round
     whole = v.where("at = -1").select("variant", F.col("full").alias("short"), F.col("first").alias("f"))
     long_ = v.where("at >= 0").select("variant", "full", "first").distinct()
