@@ -4,9 +4,10 @@ A source's share of the tokens is raised to an exponent and normalised to its we
 equal. The exponent is found by repeated sectioning (a bisection with many points a round, one aggregate over the sources each): the
 largest that meets a target entropy, or larger where a source would otherwise be repeated more often than a limit.
 
-The weights are realised in block permutations. A source's documents are dealt by hash to blocks; an epoch takes all blocks, in an order of
-its own; a last, partial epoch takes blocks in its order while the token budget lasts and, of the block where it ends, documents in hashed order
-while they fit. So no source, however hot, is sorted or summed as a whole: only its blocks are, and the one block that is cut.
+The weights are realised in block permutations. A source's documents are dealt by hash to blocks; an epoch takes all blocks, by their
+`turn`, a hash of epoch and block, so that each has an order of its own, and in a block documents by `order`; a last, partial epoch takes blocks by their
+turn while the token budget lasts and, of the block where it ends, documents in hashed order while they fit. So no source, however hot, is sorted or
+summed as a whole: only its blocks are, in `RANGES` ranges of their turns, and the one block that is cut.
 The budget is the smallest for which every source is used at least once (`keep_all`), or a number of tokens.
 
 Tokens are white-space-separated words. A null source is a source of its own. Documents without tokens are in all full epochs.
@@ -21,7 +22,7 @@ from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from . import common as C
 
-BLOCK_DOCS, SECTIONS, STEPS = 2000, 32, 6
+BLOCK_DOCS, SECTIONS, STEPS, RANGES = 2000, 32, 6, 1024
 
 
 def words(text: Column) -> Column:
@@ -94,11 +95,10 @@ def weights(sources: DataFrame, power: float, budget: int | None = None) -> Data
 
 
 def mix(docs: DataFrame, entropy: float | None = 0.95, most_epochs: float | None = 2.0, budget: int | None = None, seed: int = 0) -> DataFrame:
-    """Rows of `docs` (doc_id, source, text and others) as often as the mixture has them, with tokens, epoch, block and order (its place in
-    its block is by `order`)."""
+    """Rows of `docs` (doc_id, source, text and others) as often as the mixture has them, with tokens, epoch, block, turn and order: an epoch
+    of a source takes its blocks by (turn, block), a block's documents by order. Columns of `docs` with these five names are left out."""
     spark = docs.sparkSession
-    taken = {"tokens", "epoch", "block", "order"} & set(docs.columns)
-    docs = docs.drop(*taken)
+    docs, names = C.apart(docs.select(*[c for c in docs.columns if c.lower() not in ("tokens", "epoch", "block", "turn", "order")]), ("doc_id", "source", "text"))
     size = docs.withColumn("tokens", words(F.col("text")))
     src = C.stash(shares(size), "sources")
     plan = C.stash(weights(src, exponent(src, entropy, most_epochs), budget), "mixture")
@@ -108,10 +108,15 @@ def mix(docs: DataFrame, entropy: float | None = 0.95, most_epochs: float | None
     w = C.maybe_broadcast(C.stash(w, "mixture"), 200)
     key = F.xxhash64(F.lit(seed), "doc_id", "text")
     rows = size.select("*", *same).join(w, ["s0", "s1"]).withColumn("hash", key).withColumn("block", F.pmod("hash", F.col("blocks")).cast("long"))
-    narrow = rows.where("rest > 0").select("s0", "s1", "block", "hash", "tokens", "rest", "doc_id")
-    part = F.lit(-1)
-    sums = narrow.groupBy("s0", "s1", "block").agg(F.sum("tokens").alias("n"), F.first("rest").alias("rest"))
-    before = F.coalesce(F.sum("n").over(W.partitionBy("s0", "s1").orderBy(F.xxhash64(F.lit(seed), part, "block"), "block").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    narrow = rows.where("rest > 0").select("s0", "s1", "block", "hash", "tokens", "rest", "epochs", "doc_id")
+    turn = lambda epoch: F.xxhash64(F.lit(seed), F.col(epoch), "block")
+    sums = narrow.groupBy("s0", "s1", "block").agg(F.sum("tokens").alias("n"), F.first("rest").alias("rest"), F.first("epochs").alias("epochs")).withColumn("turn", turn("epochs"))
+    sums = C.stash(sums.withColumn("range", F.floor((F.col("turn").cast("double") / 2.0**64 + 0.5) * RANGES).cast("int")), "block-sums")
+    earlier = lambda of, *by: F.coalesce(F.sum("n").over(W.partitionBy(*of).orderBy(*by).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    # a source has as many rows here as there are ranges, at most
+    ranges = sums.groupBy("s0", "s1", "range").agg(F.sum("n").alias("n")).withColumn("first", earlier(("s0", "s1"), "range")).select("s0", "s1", "range", "first")
+    sums = sums.join(C.maybe_broadcast(C.stash(ranges, "ranges"), 60), ["s0", "s1", "range"])
+    before = F.col("first") + earlier(("s0", "s1", "range"), "turn", "block")
     sums = sums.withColumn("left", F.col("rest") - before).where(F.col("left") > 0)
     sums = C.maybe_broadcast(C.stash(sums.select("s0", "s1", "block", "n", "left"), "blocks"), 200)
     full = sums.select("s0", "s1", "block", (F.col("n") <= F.col("left")).alias("whole"), "left")
@@ -124,4 +129,5 @@ def mix(docs: DataFrame, entropy: float | None = 0.95, most_epochs: float | None
     extra = (F.coalesce("whole", F.lit(False)) | F.coalesce(F.struct("hash", "doc_id") <= F.col("last"), F.lit(False))).cast("int")
     times = F.col("epochs") + extra
     out = rows.withColumn("n", times).where("n > 0").withColumn("epoch", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
-    return out.select(*docs.columns, "tokens", "epoch", "block", F.xxhash64(F.lit(seed), "epoch", "hash").alias("order"))
+    own = [F.col(v).alias(k) for v, k in names.items()]
+    return out.select(*own, "tokens", "epoch", "block", turn("epoch").alias("turn"), F.xxhash64(F.lit(seed), "epoch", "hash").alias("order"))
