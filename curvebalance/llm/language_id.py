@@ -8,6 +8,8 @@ with the largest sum of scores less a penalty for each switch; runs of a languag
 Most texts have one language, and a bound shows it: if no run of words prefers another language to the best one by more than half a
 penalty, no switch can pay, and the best constant path is the optimum. Only the others go through the recursion.
 
+A word of a script that no learned language uses says nothing of languages; its letters count against the score.
+
 Null or empty texts, and texts without any letter, are `und` with score 0. Words without letters carry no score. If there is nothing to
 learn from, all texts are `und`.
 """
@@ -93,6 +95,7 @@ class Model:
         self.memo: dict[str, int] = {}
         self.rows = np.zeros((1024, len(self.langs)))
         self.sizes = np.zeros(1024, np.int64)
+        self.known = np.zeros(1024, bool)
 
     def _learn(self, words: list[str]) -> None:
         """Scores new words, all together."""
@@ -100,8 +103,8 @@ class Model:
         at = [i for i, w in enumerate(clean) if w]
         first, need = len(self.memo), len(self.memo) + len(words)
         while need > len(self.rows):
-            self.rows, self.sizes = np.concatenate((self.rows, self.rows)), np.concatenate((self.sizes, self.sizes))
-        self.rows[first:need], self.sizes[first:need] = 0, 0
+            self.rows, self.sizes, self.known = (np.concatenate((x, x)) for x in (self.rows, self.sizes, self.known))
+        self.rows[first:need], self.sizes[first:need], self.known[first:need] = 0, 0, True
         if at:
             some = [clean[i] for i in at]
             bucket, owner = grams(some)
@@ -109,8 +112,11 @@ class Model:
             n = np.bincount(owner, minlength=len(some))
             s = np.stack([np.bincount(owner, weights=self.logp[bucket, g], minlength=len(some)) for g in range(len(self.langs))], 1)
             s *= (np.minimum(size, 12) / n)[:, None]
-            for i, w in enumerate(some) if self.narrow else ():
+            for i, w in enumerate(some):
+                if not self.narrow and w < "\u0250":  # Latin letters first, and all languages share what scripts there are
+                    continue
                 may = self.scripts.get(script(w))
+                self.known[first + at[i]] = may is not None
                 if may is not None and len(may) < len(self.langs):
                     s[i] = np.where(np.isin(np.arange(len(self.langs)), may), s[i], s[i].min() - SWITCH)
             self.rows[first + np.array(at)] = s
@@ -128,10 +134,11 @@ class Model:
             self._learn(list(new))
         return split
 
-    def scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Scores (words, languages) and letters of each word that `ready` has seen."""
+    def scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Scores (words, languages), letters, and those of learned scripts, of each word that `ready` has seen."""
         at = np.fromiter(map(self.memo.__getitem__, words), np.int64, len(words))
-        return self.rows[at], self.sizes[at]
+        n = self.sizes[at]
+        return self.rows[at], n, n * self.known[at]
 
     def path(self, s: np.ndarray) -> np.ndarray | None:
         """The best sequence of languages for the words' scores; None, if it is one language throughout."""
@@ -152,7 +159,7 @@ class Model:
         return np.array(out[::-1])
 
     def label(self, text: str | None) -> tuple[str, float, list[tuple[int, int, str]]]:
-        """Language, score (the share of letters it has, 0 to 1) and spans (first word, end, language) of a whole text."""
+        """Language, score (the share of letters it has, 0 to 1; letters of scripts that no learned language uses are nobody's) and spans (first word, end, language) of a whole text."""
         return self.labels([text or ""])[0]
 
     def labels(self, texts: list[str]) -> list[tuple[str, float, list[tuple[int, int, str]]]]:
@@ -163,18 +170,18 @@ class Model:
     def _label(self, ws: list[str]) -> tuple[str, float, list[tuple[int, int, str]]]:
         if not ws:
             return "und", 0.0, []
-        s, n = self.scores(ws)
+        s, n, own = self.scores(ws)
         if not n.any():
             return "und", 0.0, []
         p = self.path(s)
         if p is None:
             best = int(s.sum(0).argmax())
-            return self.langs[best], 1.0, [(0, len(ws), self.langs[best])]
-        share = np.bincount(p, weights=n, minlength=len(self.langs))
+            return self.langs[best], float(own.sum() / n.sum()), [(0, len(ws), self.langs[best])]
+        share = np.bincount(p, weights=own, minlength=len(self.langs))
         best = int(share.argmax())
         at = np.flatnonzero(np.diff(p)) + 1
         spans = [(int(a), int(b), self.langs[p[a]]) for a, b in zip([0, *at], [*at, len(p)])]
-        return self.langs[best], float(share[best] / share.sum()), spans
+        return self.langs[best], float(share[best] / n.sum()), spans
 
 
 def train(labelled: DataFrame, limit: int = TRAIN) -> Model:
