@@ -40,9 +40,11 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share; a fresh temporary one only where the session names none."""
+    """The folder that the driver and all executors share; a temporary one only where the session names none and all run on one machine."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + os.path.join(tempfile.gettempdir(), "curvebalance-shared")
     return base.rstrip("/") + "/llm"
 
@@ -69,6 +71,17 @@ def discard(df: DataFrame) -> None:
             p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def apart(df: DataFrame, used: tuple[str, ...]) -> tuple[DataFrame, dict[str, str]]:
+    """Gives all columns but the used ones private names, so none clashes with an operator's; and the names by which `restored` undoes it."""
+    names = {c: c if c in used else f"_own{i}" for i, c in enumerate(df.columns)}
+    return df.toDF(*names.values()), {v: k for k, v in names.items()}
+
+
+def restored(df: DataFrame, names: dict[str, str]) -> DataFrame:
+    """The columns that `apart` saw, in their order and under their names, and no others."""
+    return df.select(*[F.col(v).alias(k) for v, k in names.items()])
+
+
 def maybe_broadcast(df: DataFrame, row_bytes: int, limit: int = BROADCAST_BYTES) -> DataFrame:
     """Marks a stashed table for broadcast after counting it; too large a table is left to a shuffled join."""
     return F.broadcast(df) if df.count() * row_bytes <= limit else df

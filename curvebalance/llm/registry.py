@@ -51,7 +51,7 @@ def op8_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(_table(spark, sf_dir, "documents"), entropy=0.95, most_epochs=2.0).select("doc_id", "source", "tokens", "epoch", "block", "order")
+    return mixing.mix(_table(spark, sf_dir, "documents"), entropy=0.95, most_epochs=2.0).select("doc_id", "source", "tokens", "epoch", "block", "turn", "order")
 
 
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
