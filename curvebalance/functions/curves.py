@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from functools import reduce
+from functools import lru_cache, reduce
 
 from pyspark.sql import Column, DataFrame, functions as F
 
@@ -74,8 +74,8 @@ def morton_cell(key: Column, dims: int, bits: int) -> list[Column]:
     return [_compact(key, dims, i, bits) for i in range(dims)]
 
 
-def hilbert_key(cells: list[Column], bits: int) -> Column:
-    """Hilbert key of a cell in any number of dimensions, by the published transform of transposed coordinates: one fold over (bit,
+def _folded_key(cells: list[Column], bits: int) -> Column:
+    """Hilbert key in any number of dimensions, by the published transform of transposed coordinates: one fold over (bit,
     dimension) undoes the rotations, then a Gray decoding. Built-in functions only."""
     d = len(cells)
     if d == 1:
@@ -103,24 +103,132 @@ def hilbert_key(cells: list[Column], bits: int) -> Column:
     return F.element_at(keyed, 1)
 
 
-def hilbert_key_2d(x: Column, y: Column, bits: int) -> Column:
-    """The two-dimensional Hilbert key from the state machine of the curve: a fold over the bits, highest first. State: 0 and 1 keep or swap
-    the axes, 2 and 3 do so on complemented bits."""
-    levels = F.array(*[F.lit(k) for k in range(bits - 1, -1, -1)])
-    one = F.lit(1).cast("long")
+#: Entries of a step's table; as many levels are taken in one step as its table can hold.
+TABLE = 4096
+#: Dimensions up to which Hilbert keys come from tables of states; above, from a fold over arrays.
+TABLE_DIMS = 4
+
+
+def _plane_step(state: tuple, bits: list[int]) -> tuple[list[int], tuple]:
+    """One level of the two-dimensional curve. State: whether the axes are swapped, and whether bits are complemented."""
+    swapped, flipped = state
+    p, q = (b ^ flipped for b in (reversed(bits) if swapped else bits))
+    digit = 3 * p ^ q
+    return [digit >> 1, digit & 1], (swapped ^ (not q), flipped ^ (p and not q))
+
+
+def _space_step(state: tuple, bits: list[int]) -> tuple[list[int], tuple]:
+    """One level in more dimensions. State: which axis each place has, whether it is complemented, and the carry of the last place."""
+    axis, flip, carry = list(state[0]), list(state[1]), state[2]
+    own = [bits[a] ^ f for a, f in zip(axis, flip)]
+    for i, up in enumerate(own):  # how the levels below are turned
+        if up:
+            flip[0] ^= 1
+        else:
+            axis[0], axis[i], flip[0], flip[i] = axis[i], axis[0], flip[i], flip[0]
+    seen, out = 0, []
+    for v in own:
+        seen ^= v
+        out.append(seen ^ carry)
+    return out, (tuple(axis), tuple(flip), carry ^ seen)
+
+
+@lru_cache(None)
+def machine(d: int) -> tuple[list[list[int]], list[list[int]]]:
+    """The curve as a machine: for each state and Morton digit, the Hilbert digit and the next state. State 0 is the start."""
+    step, first = (_plane_step, (0, 0)) if d == 2 else (_space_step, (tuple(range(d)), (0,) * d, 0))
+    states, digits, nexts, i = [first], [], [], 0
+    while i < len(states):
+        row, to = [], []
+        for m in range(1 << d):
+            out, new = step(states[i], [m >> d - 1 - k & 1 for k in range(d)])
+            new = tuple(int(v) if isinstance(v, bool) else v for v in new)
+            if new not in states:
+                states.append(new)
+            row.append(reduce(lambda a, b: a << 1 | int(b), out, 0))
+            to.append(states.index(new))
+        digits.append(row)
+        nexts.append(to)
+        i += 1
+    return digits, nexts
+
+
+@lru_cache(None)
+def _table(d: int, levels: int, inverse: bool) -> list[int]:
+    """Digits of several levels and the state after them (digits << 16 | state), by state << d * levels | digits."""
+    digits, nexts = machine(d)
+    if inverse:
+        back = [sorted(range(1 << d), key=row.__getitem__) for row in digits]
+        digits, nexts = back, [[to[m] for m in row] for to, row in zip(nexts, back)]
+    out = []
+    for s in range(len(digits)):
+        for m in range(1 << d * levels):
+            at, v = s, 0
+            for k in range(levels - 1, -1, -1):
+                one = m >> d * k & (1 << d) - 1
+                v, at = v << d | digits[at][one], nexts[at][one]
+            out.append(v << 16 | at)
+    return out
+
+
+def _constant(numbers: list[int]) -> Column:
+    """A constant array, folded by the optimizer: one expression however long it is."""
+    return F.split(F.lit(",".join(map(str, numbers))), ",").cast("array<int>")
+
+
+def _by_table(code: Column, d: int, bits: int, inverse: bool) -> Column:
+    """Runs the machine over a code, highest digits first: a fold of few steps, each one lookup in a constant array for several levels."""
+    states = len(machine(d)[0])
+    per = max(k for k in range(1, bits + 1) if k == 1 or states << d * k <= TABLE)
+    first, long = bits % per or per, "long"
+    steps = (bits - first) // per
+
+    def step(rest: Column, state: Column, key: Column, levels: int) -> Column:
+        """`rest` has its next digits on top."""
+        at = F.shiftleft(state, d * levels).bitwiseOR(F.shiftrightunsigned(rest, d * (bits - levels)).bitwiseAND(F.lit((1 << d * levels) - 1)).cast("int"))
+        e = F.get(_constant(_table(d, levels, inverse)), at)
+        below = F.shiftleft(rest, d * levels).bitwiseAND(F.lit((1 << d * bits) - 1))
+        return F.struct(below.alias("rest"), e.bitwiseAND(F.lit(0xFFFF)).alias("state"), F.shiftleft(key, d * levels).bitwiseOR(F.shiftright(e, 16).cast(long)).alias("key"))
+
+    start = step(code, F.lit(0), F.lit(0).cast(long), first)
+    if not steps:
+        return start["key"]
+    return F.aggregate(F.array(*[F.lit(i) for i in range(steps)]), start, lambda a, _: step(a["rest"], a["state"], a["key"], per), lambda a: a["key"])
+
+
+def with_hilbert(df: DataFrame, code: str, d: int, bits: int, out: str = "key") -> DataFrame:
+    """Adds the Hilbert key of interleaved bits. Each step of the machine is a column of its own, used twice, so the steps stay apart in the plan and
+    run one after another in generated code."""
+    states = len(machine(d)[0])
+    per = max(k for k in range(1, bits + 1) if k == 1 or states << d * k <= TABLE)
+    left, parts, state = bits, [], F.lit(0)
+    for k, levels in enumerate([bits % per] * (bits % per > 0) + [per] * (bits // per)):
+        left -= levels
+        digits = F.shiftrightunsigned(F.col(code), d * left).bitwiseAND(F.lit((1 << d * levels) - 1)).cast("int")
+        df = df.withColumn(f"_step{k}", F.get(_constant(_table(d, levels, False)), F.shiftleft(state, d * levels).bitwiseOR(digits)))
+        state = F.col(f"_step{k}").bitwiseAND(F.lit(0xFFFF))
+        parts.append(F.shiftleft(F.shiftright(F.col(f"_step{k}"), 16).cast("long"), d * left))
+    return df.withColumn(out, _or(parts)).drop(*[f"_step{k}" for k in range(len(parts))])
+
+
+def hilbert_key(cells: list[Column], bits: int) -> Column:
+    """Hilbert key of a cell. In two to four dimensions by tables of states, several levels a step; above by a fold over bits and arrays."""
+    d = len(cells)
+    if d == 1:
+        return cells[0].cast("long")
+    return _by_table(interleave(cells, bits), d, bits, False) if d <= TABLE_DIMS else _folded_key(cells, bits)
+
+
+def hilbert_cell(key: Column, dims: int, bits: int) -> list[Column]:
+    """Inverse of the Hilbert key, in up to four dimensions."""
+    if dims > TABLE_DIMS:
+        raise ValueError("the inverse has tables for four dimensions at most")
+    return [key] if dims == 1 else morton_cell(_by_table(key, dims, bits, True), dims, bits)
 
-    def step(a: Column, k: Column) -> Column:
-        u = F.call_function("shiftright", a["x"], k).bitwiseAND(one)
-        v = F.call_function("shiftright", a["y"], k).bitwiseAND(one)
-        flip = F.when(a["f"], one).otherwise(F.lit(0).cast("long"))
-        p = F.when(a["s"], v).otherwise(u).bitwiseXOR(flip)
-        q = F.when(a["s"], u).otherwise(v).bitwiseXOR(flip)
-        digit = (p * 3).bitwiseXOR(q)
-        low = q == 0
-        return F.struct(a["x"].alias("x"), a["y"].alias("y"), (F.shiftleft(a["key"], 2) + digit).alias("key"), F.when(low, ~a["s"]).otherwise(a["s"]).alias("s"), F.when(low & (p == 1), ~a["f"]).otherwise(a["f"]).alias("f"))
 
-    zero = F.struct(x.cast("long").alias("x"), y.cast("long").alias("y"), F.lit(0).cast("long").alias("key"), F.lit(False).alias("s"), F.lit(False).alias("f"))
-    return F.aggregate(levels, zero, step)["key"]
+def gray_cell(key: Column, dims: int, bits: int) -> list[Column]:
+    """Inverse of the Gray key."""
+    return morton_cell(key.bitwiseXOR(F.shiftrightunsigned(key, 1)), dims, bits)
 
 
 def key_of(cells: list[Column], bits: int, curve: str) -> Column:
@@ -129,7 +237,7 @@ def key_of(cells: list[Column], bits: int, curve: str) -> Column:
     if curve == "gray":
         return gray_key(cells, bits)
     if curve == "hilbert":
-        return hilbert_key_2d(*cells, bits) if len(cells) == 2 else hilbert_key(cells, bits)
+        return hilbert_key(cells, bits)
     raise ValueError(f"unknown curve: {curve}")
 
 
@@ -138,4 +246,6 @@ def keyed(points: DataFrame, dims: int, bits: int = 16, curve: str = "morton", b
     from .geometry import bounding_box, quantise
 
     box = box or bounding_box(points, dims)
+    if curve == "hilbert" and 2 <= dims <= TABLE_DIMS:  # the interleaved bits are a column of their own, made by generated code
+        return with_hilbert(points.withColumn("_code", interleave(quantise(points, dims, box, bits), bits)), "_code", dims, bits).drop("_code")
     return points.withColumn("key", key_of(quantise(points, dims, box, bits), bits, curve))

@@ -6,6 +6,7 @@ import time
 
 from pyspark.sql import Column, DataFrame, functions as F
 
+from curvebalance.functions import curves
 from curvebalance.plans import tables
 
 from . import amortise, balance, slicing
@@ -26,13 +27,62 @@ def moving_ball(points: DataFrame, dims: int, centre: float, radius: float, leve
     return points.withColumn("w", w)
 
 
-def stencil(blocks: DataFrame, dims: int) -> DataFrame:
-    """uid, g0.., v: the mean of a block (g0.., v) and its face neighbours. The value is sent to the 2d neighbours and itself, then
+def stencil(blocks: DataFrame, dims: int, keep: tuple[str, ...] = ()) -> DataFrame:
+    """uid, g0.., v and the columns to keep: the mean of a block (g0.., v) and its face neighbours. The value is sent to the 2d neighbours and itself, then
     one aggregate: no join, one shuffle."""
     offsets = [tuple(0 for _ in range(dims))] + [tuple(s if k == i else 0 for k in range(dims)) for i in range(dims) for s in (-1, 1)]
-    sent = blocks.select("v", F.explode(F.array(*[F.struct(*[(F.col(f"g{k}") + o[k]).alias(f"g{k}") for k in range(dims)], F.lit(not any(o)).alias("own"), *([F.col("uid")] if not any(o) else [F.lit(None).cast("long").alias("uid")])) for o in offsets])).alias("t"))
-    g = sent.groupBy(*[F.col(f"t.g{k}").alias(f"g{k}") for k in range(dims)]).agg(F.max("t.uid").alias("uid"), F.avg("v").alias("v"), F.max(F.col("t.own").cast("int")).alias("own"))
-    return g.where("own = 1").select("uid", *[f"g{k}" for k in range(dims)], "v")
+    sent = blocks.select("v", F.explode(F.array(*[F.struct(*[(F.col(f"g{k}") + o[k]).alias(f"g{k}") for k in range(dims)], F.lit(not any(o)).alias("own"), *[F.col(c) if not any(o) else F.lit(None).cast(blocks.schema[c].dataType).alias(c) for c in ("uid", *keep)]) for o in offsets])).alias("t"))
+    g = sent.groupBy(*[F.col(f"t.g{k}").alias(f"g{k}") for k in range(dims)]).agg(*[F.max(f"t.{c}").alias(c) for c in ("uid", *keep)], F.avg("v").alias("v"), F.max(F.col("t.own").cast("int")).alias("own"))
+    return g.where("own = 1").select("uid", *[f"g{k}" for k in range(dims)], "v", *keep)
+
+
+def adapt(blocks: DataFrame, dims: int, side: int, centre: float, radius: float) -> DataFrame:
+    """Blocks (uid, level, g0.., v, part) of a mesh of side**dims, of which those whose own centre is in the ball have 2**dims children: coarse blocks
+    that it has reached are split (children take value and part), and children that it has left become their block again (the mean, the least part)."""
+    one = 1 << dims
+    mid = [(F.floor(F.col(f"g{i}") / F.when(F.col("level") == 0, 1).otherwise(2)) + 0.5) / side - F.lit(centre) for i in range(dims)]
+    b = blocks.withColumn("inside", sum((m * m for m in mid[1:]), mid[0] * mid[0]) <= F.lit(radius * radius))
+    stay = b.where((F.col("level") == 1) == F.col("inside")).drop("inside")
+    cols = blocks.columns
+    split = b.where((F.col("level") == 0) & F.col("inside")).withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(one - 1))))
+    split = split.select((F.col("uid") * one + F.col("k") + side**dims).alias("uid"), F.lit(1).alias("level"), *[(F.col(f"g{i}") * 2 + F.shiftright("k", dims - 1 - i).bitwiseAND(F.lit(1))).cast("long").alias(f"g{i}") for i in range(dims)], "v", "part").select(*cols)
+    left = b.where((F.col("level") == 1) & ~F.col("inside")).withColumn("uid", F.floor((F.col("uid") - side**dims) / one).cast("long"))
+    joined = left.groupBy("uid").agg(F.lit(0).alias("level"), *[F.floor(F.min(f"g{i}") / 2).cast("long").alias(f"g{i}") for i in range(dims)], F.avg("v").alias("v"), F.min("part").alias("part")).select(*cols)
+    return stay.unionByName(split).unionByName(joined)
+
+
+def mesh_run(mesh: DataFrame, dims: int, side: int, parts: int, steps: int, radius: float, policy: str = "amortised", balance_cost: float = 0.5, clock: str = "model") -> tuple[DataFrame, list[dict]]:
+    """The whole loop on a mesh (uid, g0.., v): blocks are refined and coarsened as the ball crosses, the stencil runs over the neighbours of equal level, and
+    the blocks are cut again when the policy says so. Returns the last blocks and a row a step: blocks, refined ones, heaviest load over the mean, rebalances
+    and seconds of refinement, stencil and balancing."""
+    bits, far = max(1, (2 * side - 1).bit_length()), 4 * side  # levels lie apart, so a stencil does not mix them
+
+    def cut(b: DataFrame) -> DataFrame:
+        corner = [F.col(f"g{i}") * F.when(F.col("level") == 0, 2).otherwise(1) for i in range(dims)]
+        keyed = tables.snapshot(b.withColumn("key", curves.interleave(corner, bits)).withColumn("w", F.lit(1).cast("long")).select("uid", "key", "w"), "keyed")
+        return tables.snapshot(b.drop("part").join(slicing.slice_curve(keyed, parts).select("uid", "part"), "uid").select(*b.columns), "blocks")
+
+    blocks = mesh.select("uid", F.lit(0).alias("level"), *[f"g{i}" for i in range(dims)], "v", F.lit(0).alias("part"))
+    ctl, out = amortise.Controller(balance_cost, mode="compute", policy=policy), []
+    for s in range(steps):
+        t = [time.perf_counter()]
+        blocks = tables.snapshot(adapt(blocks, dims, side, ball_centre(s, steps), radius), "blocks")
+        if not s:
+            blocks = cut(blocks)
+        t.append(time.perf_counter())
+        apart = blocks.withColumn("g0", F.col("g0") + F.col("level") * far)
+        blocks = stencil(apart, dims, ("level", "part")).withColumn("g0", F.col("g0") - F.col("level") * far).select(*blocks.columns)
+        blocks = tables.snapshot(blocks, "blocks")
+        t.append(time.perf_counter())
+        load = blocks.groupBy("part").agg(F.count("*").alias("n"), F.sum("level").alias("fine")).agg(F.max("n").alias("hi"), F.sum("n").alias("n"), F.sum("fine").alias("fine")).first()
+        now = ctl.observe(load["hi"] * parts / load["n"] if clock == "model" else t[2] - t[1])
+        t.append(time.perf_counter())
+        if now:
+            blocks = cut(blocks)
+            ctl.rebalanced(ctl.balance_cost if clock == "model" else time.perf_counter() - t[3])
+        t.append(time.perf_counter())
+        out.append({"step": s, "blocks": load["n"], "fine": load["fine"], "cost": ctl.trace[-1]["cost"], "rebalanced": now, "refine_s": t[1] - t[0], "stencil_s": t[2] - t[1], "balance_s": t[4] - t[3]})
+    return blocks, out
 
 
 def step_loads(keyed: DataFrame, dims: int, parts: int, steps: int, radius: float, levels: int = 1) -> DataFrame:
@@ -47,8 +97,9 @@ def step_loads(keyed: DataFrame, dims: int, parts: int, steps: int, radius: floa
 
 
 def run(keyed: DataFrame, dims: int, parts: int, steps: int, radius: float, policy: str = "amortised", levels: int = 1, balance_cost: float | None = None, clock: str = "model") -> list[dict]:
-    """The loop: refine, apply the stencil, rebalance if the policy says so. The model clock charges a step its heaviest load over the mean, and a rebalance
-    `balance_cost`; the wall clock measures refinement, stencil and balancing apart."""
+    """The loop on weighted points, which stand for the blocks of their place: new weights, loads, and a rebalance if the policy says so. `mesh_run` has real
+    blocks and the stencil. The model clock charges a step its heaviest load over the mean, and a rebalance
+    `balance_cost`; the wall clock measures refinement, loads and balancing apart."""
     cut = None
     ctl = amortise.Controller(balance_cost if balance_cost is not None else 1.0, mode="compute", policy=policy)
     out = []

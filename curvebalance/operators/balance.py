@@ -52,17 +52,6 @@ def auto(points: DataFrame, prev: DataFrame, weights: DataFrame, dims: int, part
     return full(points, dims, parts, cfg) if misshapen(shape(b.assigned), last_shape, limit) else b
 
 
-def diffuse(loads: list[int], rounds: int = 100, share: float = 0.25) -> list[float]:
-    """First-order diffusion of loads along a chain of parts, a stand-in for iterative refinement methods."""
-    x = [float(v) for v in loads]
-    for _ in range(rounds):
-        flow = [share * (a - b) for a, b in zip(x, x[1:])]
-        for i, f in enumerate(flow):
-            x[i] -= f
-            x[i + 1] += f
-    return x
-
-
 def moved(before: DataFrame, after: DataFrame) -> DataFrame:
     """step_size (new part less old), n of all ids in both."""
     j = before.select("uid", F.col("part").alias("a")).join(after.select("uid", F.col("part").alias("b")), "uid")

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, Window as W, functions as F
 from curvebalance.plans import tables
 from curvebalance.plans.specs import TreeConfig
 
-from . import amortise, balance, kdtree
+from . import amortise, balance, kdtree, slicing
 
 
 def route(ops: DataFrame, top: kdtree.TopTree) -> DataFrame:
@@ -112,67 +112,94 @@ def model_time(members: DataFrame, ops: DataFrame) -> DataFrame:
 
 
 def run(points: DataFrame, dims: int, cfg: TreeConfig, parts: int, source: Callable[[int], DataFrame | None], steps: int, adjust_every: int = 5, clock: str = "model", policy: str = "amortised", mode: str = "full") -> tuple[DataFrame, list[dict]]:
-    """Steps of operations on a tree, adjustments every few steps, and a rebalance when the controller says so. Returns members and the trace.
+    """Steps of operations on a tree, adjustments every few steps, and a rebalance when the controller says so. Returns members (uid, c0.., w, top_id,
+    path, depth, part) and the trace.
 
-    A rebalance builds the tree anew (full), or only re-cuts the curve (incremental). Lineage ends at every step in a snapshot.
+    A rebalance builds the tree anew and cuts its curve (full), or only re-cuts the curve that is there (incremental). A new point gets the part of
+    its leaf's first point, or of its top cell's, until then. Lineage ends at every step in a snapshot. The trace has counts, the heaviest and mean load after
+    each step, and wall seconds of deletion, insertion, adjustment and balancing.
     """
+    cols = [f"c{i}" for i in range(dims)]
     t0 = time.perf_counter()
-    tree = kdtree.build(points, dims, cfg)
-    members = tables.snapshot(tree.members, "members")
-    buckets = members.select("path").distinct().count()
-    n = members.count()
+
+    def built(p: DataFrame):
+        tree = kdtree.build(p.select("uid", *cols, "w"), dims, cfg)
+        m = tables.snapshot(tree.members, "members")
+        return tree, cut(m), tables.snapshot(kdtree.split_planes(m, dims, cfg), "planes")
+
+    def cut(m: DataFrame) -> DataFrame:
+        keyed = tables.snapshot(m.withColumn("key", kdtree.leaf_key(F.col("path"), F.col("depth"))).select("uid", "key", "w"), "keyed")
+        part = balance.incremental(keyed, None, parts).assigned.select("uid", "part")
+        return tables.snapshot(m.drop("part").join(part, "uid"), "members")
+
+    tree, members, planes = built(points)
+    buckets, n = members.select("path").distinct().count(), members.count()
     spent = time.perf_counter() - t0
     ctl = amortise.Controller(balance_cost=float(n) / 100 if clock == "model" else spent, buckets=buckets, policy=policy)
     for step in range(steps):
-        t0 = time.perf_counter()
-        ops = source(step)
-        n_ops = 0
+        t = [time.perf_counter()]
+        ops, n_in, n_out, moved = source(step), 0, 0, 0
         if ops is not None:
             ops = tables.snapshot(route(last_ops(ops), tree.top), "ops")
-            n_ops = ops.count()
-            stay = members.join(ops.select("uid"), "uid", "left_anti")
-            new = ops.where("op != 'delete'").select("uid", *[f"c{i}" for i in range(dims)], "w", "top_id")
-            members = tables.snapshot(stay.unionByName(locate_leaf(new, members, dims)), "members")
+            n_out, n_in = ops.where("op = 'delete'").count(), ops.where("op != 'delete'").count()
+            members = tables.snapshot(members.join(ops.select("uid"), "uid", "left_anti"), "members")
+        t.append(time.perf_counter())
+        if ops is not None:
+            new = ops.where("op != 'delete'").select("uid", *cols, "w", "top_id")
+            new = locate_leaf(new, members, planes, dims)
+            near = members.groupBy("path").agg(F.min_by("part", "uid").alias("a"))
+            wide = members.groupBy("top_id").agg(F.min_by("part", "uid").alias("b"))
+            new = new.join(near, "path", "left").join(wide, "top_id", "left").withColumn("part", F.coalesce("a", "b", F.lit(0))).select(*members.columns)
+            members = tables.snapshot(members.unionByName(new), "members")
+        t.append(time.perf_counter())
         adjusted = (step + 1) % adjust_every == 0
         if adjusted:
-            members = tables.snapshot(adjust(members, dims, cfg), "members")
+            planes = tables.snapshot(planes.unionByName(heavy_planes(members, dims, cfg)).dropDuplicates(["path"]), "planes")
+            members = tables.snapshot(adjust(members, dims, cfg).join(members.select("uid", "part"), "uid"), "members")
+        t.append(time.perf_counter())
         per = model_time(members, ops) if ops is not None else None
         row = per.agg(F.max("time").alias("t"), F.max("buckets").alias("b")).first() if per is not None else None
-        wall = time.perf_counter() - t0
-        now = ctl.observe(row["t"] if clock == "model" and row else wall, max(1, n_ops), row["b"] if row else None)
+        now = ctl.observe(row["t"] if clock == "model" and row else t[-1] - t[0], max(1, n_in + n_out), row["b"] if row else None)
         if now:
-            t0 = time.perf_counter()
+            t1, before = time.perf_counter(), members.select("uid", F.col("part").alias("old"))
             if mode == "full":
-                tree = kdtree.build(members.select("uid", *[f"c{i}" for i in range(dims)], "w"), dims, cfg)
-                members = tables.snapshot(tree.members, "members")
+                tree, members, planes = built(members)
             else:
-                balance.incremental(members.withColumn("key", kdtree.leaf_key(F.col("path"), F.col("depth"))), None, parts).assigned.write.format("noop").mode("overwrite").save()
-            ctl.rebalanced(float(members.count()) / 100 if clock == "model" else time.perf_counter() - t0)
-        ctl.trace[-1] |= {"n_ops": n_ops, "adjusted": adjusted, "buckets_max": row["b"] if row else None, "time_max": row["t"] if row else wall}
+                members = cut(members)
+            moved = members.join(before, "uid").where("part != old").count()
+            ctl.rebalanced(float(members.count()) / 100 if clock == "model" else time.perf_counter() - t1)
+        t.append(time.perf_counter())
+        load = slicing.loads(members, parts).agg(F.max("w").alias("hi"), F.avg("w").alias("mean")).first()
+        ctl.trace[-1] |= {"n_ops": n_in + n_out, "inserted": n_in, "deleted": n_out, "adjusted": adjusted, "moved": moved, "load_max": load["hi"], "load_mean": load["mean"], "buckets_max": row["b"] if row else None, "time_max": row["t"] if row else t[-1] - t[0]}
+        ctl.trace[-1] |= dict(zip(("delete_s", "insert_s", "adjust_s", "balance_s"), (y - x for x, y in zip(t, t[1:])))) | {"build_s": spent}
     return members, ctl.trace
 
 
-def locate_leaf(new: DataFrame, members: DataFrame, dims: int) -> DataFrame:
-    """New points with the leaf of their top cell that is nearest by box distance (0 inside): one task a cell, as an insertion's descent."""
+def heavy_planes(members: DataFrame, dims: int, cfg: TreeConfig) -> DataFrame:
+    """The planes of the splits that `adjust` makes of heavy buckets."""
+    heavy = members.groupBy("path").agg(F.count("*").alias("n")).where(F.col("n") > 2 * cfg.bucket_size).select(F.col("path").alias("root"))
+    rows = members.join(tables.maybe_broadcast(heavy, 16), members["path"] == heavy["root"]).select("root", "uid", *[f"c{i}" for i in range(dims)], "top_id")
+    tops = rows.select("root", "top_id").distinct()
+    return kdtree.split_planes(rows, dims, cfg, "root").join(tops, "root").select("top_id", "path", "dim", "value")
+
+
+def locate_leaf(new: DataFrame, members: DataFrame, planes: DataFrame, dims: int) -> DataFrame:
+    """New points (uid, c0.., w, top_id) with the leaf that the descent from their top cell ends at: a present leaf, or a node without a plane, whose points
+    had all gone. One task a top cell."""
     cols = [f"c{i}" for i in range(dims)]
     tables.ship(members.sparkSession)
-    boxes = members.groupBy("top_id", "path", "depth").agg(*[f(c).alias(f"{k}{i}") for i, c in enumerate(cols) for k, f in (("lo", F.min), ("hi", F.max))])
+    leaves = members.select("top_id", "path").distinct().select("top_id", "path", F.lit(-1).alias("dim"), F.lit(0.0).alias("value"))
+    nodes = planes.select("top_id", "path", "dim", "value").unionByName(leaves)
 
     def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         if not len(a):
             return a.assign(path=np.zeros(0, np.int64), depth=np.zeros(0, np.int32))
-        if not len(b):
-            top = int(a["top_id"].iloc[0])
-            return a.assign(path=top, depth=np.int32(kdtree.depth_of(top)))
-        x = a[cols].to_numpy()
-        lo, hi = b[[f"lo{i}" for i in range(dims)]].to_numpy(), b[[f"hi{i}" for i in range(dims)]].to_numpy()
-        at = []
-        for i in range(0, len(x), 256):
-            y = x[i : i + 256, None]
-            d = (np.maximum(0, np.maximum(lo - y, y - hi)) ** 2).sum(2)
-            at.append(d.argmin(1))
-        at = np.concatenate(at)
-        return a.assign(path=b["path"].to_numpy()[at], depth=b["depth"].to_numpy()[at].astype(np.int32))
+        top, is_leaf = int(a["top_id"].iloc[0]), b["dim"] < 0
+        ends = set(b["path"][is_leaf].tolist())
+        inner = {kdtree._below(int(p), top): (int(d), float(v)) for p, d, v in zip(*(b.loc[~is_leaf, c] for c in ("path", "dim", "value"))) if int(p) not in ends}
+        at = kdtree.TopTree(dims, inner, {}).assign_np(a[cols].to_numpy()) if inner else np.ones(len(a), np.int64)
+        path = np.array([_above(int(p), top) for p in at], np.int64)
+        return a.assign(path=path, depth=np.array([kdtree.depth_of(int(p)) for p in path], np.int32))
 
     schema = "uid long, " + ", ".join(f"{c} double" for c in cols) + ", w long, top_id long, path long, depth int"
-    return new.groupBy("top_id").cogroup(boxes.groupBy("top_id")).applyInPandas(run, schema)
+    return new.select("uid", *cols, "w", "top_id").groupBy("top_id").cogroup(nodes.groupBy("top_id")).applyInPandas(run, schema)

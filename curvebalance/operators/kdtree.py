@@ -328,6 +328,21 @@ def build_local(assigned: DataFrame, dims: int, cfg: TreeConfig) -> DataFrame:
     return assigned.select("uid", *cols, "w", "top_id").groupBy("top_id").applyInPandas(run, schema)
 
 
+def split_planes(members: DataFrame, dims: int, cfg: TreeConfig, by: str = "top_id") -> DataFrame:
+    """by, path, dim, value of every inner node below the top cells (or other roots, named by `by`): the splits that `build_local` makes, which it
+    need not keep. Members: uid, c0.., and the root."""
+    cols = [f"c{i}" for i in range(dims)]
+    tables.ship(members.sparkSession)
+
+    def run(g: pd.DataFrame) -> pd.DataFrame:
+        p = int(g[by].iloc[0])
+        b = build_subtree(g["uid"].to_numpy(), g[cols].to_numpy(), cfg, p, depth_of(p), want_nodes=True, cell=_cell(p, dims) if cfg.box == "cell" else None)
+        rows = [(p, int(q), int(d), float(m)) for q, _, d, m, leaf, *_ in b.nodes if not leaf]
+        return pd.DataFrame(rows, columns=[by, "path", "dim", "value"]).astype({by: "int64", "path": "int64", "dim": "int32", "value": "float64"})
+
+    return members.select(by, "uid", *cols).groupBy(by).applyInPandas(run, f"{by} long, path long, dim int, value double")
+
+
 def _cell(path: int, dims: int) -> list[tuple[float, float]]:
     """The cell of a path in a cyclic-midpoint tree over the unit box."""
     box = [(0.0, 1.0)] * dims
@@ -382,7 +397,11 @@ def node_table(tree: Tree) -> DataFrame:
     up = roll_up(leaves, {"n": F.sum, "w": F.sum, **{f"lo{i}": F.min for i in range(dims)}, **{f"hi{i}": F.max for i in range(dims)}})
     is_leaf = leaves.select(F.col("path").alias("leaf"))
     up = up.join(is_leaf, up["path"] == is_leaf["leaf"], "left").withColumn("is_leaf", F.col("leaf").isNotNull()).drop("leaf")
-    return up.withColumn("parent", F.shiftright("path", 1)).withColumn("box", F.array(*[F.struct(F.col(f"lo{i}").alias("lo"), F.col(f"hi{i}").alias("hi")) for i in range(dims)])).select("path", "depth", "parent", "is_leaf", "n", "w", "box")
+    planes = split_planes(m, dims, tree.cfg).select("path", F.col("dim").alias("split_dim"), F.col("value").alias("split_val"))
+    if tree.top.inner:
+        planes = planes.unionByName(m.sparkSession.createDataFrame([(int(p), int(d), float(v)) for p, (d, v) in tree.top.inner.items()], planes.schema))
+    up = up.join(planes, "path", "left")
+    return up.withColumn("parent", F.shiftright("path", 1)).withColumn("box", F.array(*[F.struct(F.col(f"lo{i}").alias("lo"), F.col(f"hi{i}").alias("hi")) for i in range(dims)])).select("path", "depth", "parent", "split_dim", "split_val", "is_leaf", "n", "w", "box")
 
 
 def roll_up(leaves: DataFrame, how: dict[str, Callable]) -> DataFrame:
@@ -391,11 +410,6 @@ def roll_up(leaves: DataFrame, how: dict[str, Callable]) -> DataFrame:
     return up.groupBy("path", "depth").agg(*[f(c).alias(c) for c, f in how.items()])
 
 
-def leaves_only(nodes: DataFrame) -> DataFrame:
-    """The space-saving form of a static tree."""
-    return nodes.where("is_leaf")
-
-
 # ---- curves on trees ----
 
 

@@ -105,7 +105,7 @@ def degree_and_messages(messages: DataFrame, parts: int) -> DataFrame:
     return a.crossJoin(b).crossJoin(c)
 
 
-def speedup(seconds: dict[int, float]) -> dict[int, float]:
-    """Strong scaling: the time of the smallest configuration over each one's."""
-    base = seconds[min(seconds)]
-    return {k: base / v for k, v in sorted(seconds.items())}
+def speedup(times: DataFrame) -> DataFrame:
+    """size, time and speedup of a table (size, time): the time of the smallest configuration over each one's."""
+    base = times.agg(F.min_by("time", "size").alias("base"))  # one row
+    return times.crossJoin(F.broadcast(base)).select("size", "time", (F.col("base") / F.col("time")).alias("speedup"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window as W, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from curvebalance.plans.prefix import with_prefix
 
@@ -13,7 +13,7 @@ def total_weight(df: DataFrame) -> int:
     return df.agg(F.sum("w")).first()[0] or 0
 
 
-def order_points(keyed: DataFrame, n: int = 64) -> DataFrame:
+def order_points(keyed: DataFrame, n: int | None = None) -> DataFrame:
     """uid, key, rank (from 0) in curve order, ties by uid."""
     return with_prefix(keyed.withColumn("_one", F.lit(1)), "key", "_one", "uid", "rank", n).select("uid", "key", F.col("rank").cast("long").alias("rank"))
 
@@ -30,7 +30,7 @@ def _sql(c: Column) -> str:
     return c._jc.toString()
 
 
-def slice_curve(keyed: DataFrame, parts: int, rule: str = "prefix", n: int = 64) -> DataFrame:
+def slice_curve(keyed: DataFrame, parts: int, rule: str = "prefix", n: int | None = None) -> DataFrame:
     """Adds prefix and part to keyed points (uid, key, w). prefix: by the weight before a point; midweight: by its middle; close: a slice ends
     once it has its share of what is left; refined: the cuts of `prefix`, moved until loads differ by the heaviest point at most."""
     if rule not in RULES or parts < 1:
@@ -100,7 +100,7 @@ def slice_cells(cells: list[tuple[int, int]], parts: int) -> dict[int, int]:
     return out
 
 
-def slice_buckets(members: DataFrame, parts: int, n: int = 64) -> DataFrame:
+def slice_buckets(members: DataFrame, parts: int, n: int | None = None) -> DataFrame:
     """Slices of whole buckets: key, n, w, prefix, part of each bucket (rows with one key)."""
     b = members.groupBy("key").agg(F.count("*").alias("n"), F.sum("w").alias("w"), F.min("uid").alias("uid"))
     return slice_curve(b, parts, "prefix", n)
@@ -116,8 +116,3 @@ def loads(assigned: DataFrame, parts: int) -> DataFrame:
 def slice_table(assigned: DataFrame) -> DataFrame:
     return assigned.groupBy("part").agg(F.count("*").alias("n"), F.sum("w").alias("w"), F.min("key").alias("key_lo"), F.max("key").alias("key_hi"))
 
-
-def greedy_by_gap(assigned: DataFrame) -> DataFrame:
-    """Largest step between neighbours within each slice, a check on the order."""
-    w = W.partitionBy("part").orderBy("key", "uid")
-    return assigned.withColumn("_d", F.col("key") - F.lag("key").over(w)).groupBy("part").agg(F.max("_d").alias("gap"))

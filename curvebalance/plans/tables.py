@@ -29,8 +29,12 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
-    """A new path in the folder that the cluster names in spark.checkpoint.dir; a temporary folder only where it names none."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + os.path.join(tempfile.gettempdir(), "curvebalance-shared")
+    """A new path in the folder that the cluster names in spark.checkpoint.dir; a temporary folder only where it names none and all run on one machine."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = "file://" + os.path.join(tempfile.gettempdir(), "curvebalance-shared")
     return f"{base.rstrip('/')}/curve/{name}-{uuid.uuid4().hex}"
 
 

@@ -32,10 +32,6 @@ def write_bucketed(df: DataFrame, name: str, by: str, buckets: int) -> None:
     df.write.bucketBy(buckets, by).sortBy(by).mode("overwrite").saveAsTable(name)
 
 
-def timed_noop(df: DataFrame) -> None:
-    df.write.format("noop").mode("overwrite").save()
-
-
 def write_daily(events: DataFrame, path: str, ts: str = "ts") -> None:
     """One file a day, to be replayed as a stream."""
     events.withColumn("day", F.to_date(ts)).repartition("day").sortWithinPartitions(ts).write.partitionBy("day").parquet(path)

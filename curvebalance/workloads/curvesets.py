@@ -72,12 +72,16 @@ def _(spark, d):
     return curves.keyed(P.orders(spark, d), 2, BITS, "hilbert").select("uid", "key")
 
 
-@query("hilbert_lineitem_3d")
+@query("hilbert_lineitem_3d", f"SELECT uid, key FROM {P.hilbert3_sql(P.cells_sql(P.LINES_SQL, 3, BITS), BITS)}")
 def _(spark, d):
     return curves.keyed(P.lineitem(spark, d), 3, BITS, "hilbert").select("uid", "key")
 
 
-@query("hilbert_mesh", "SELECT CAST(32767 AS BIGINT) AS steps, CAST(1.0 AS DOUBLE) AS unit_share, CAST(1.0 AS DOUBLE) AS mean_step")
+def _on_hilbert(side: int, bits: int) -> str:
+    return f"(SELECT q0, q1, q2, key FROM {P.mesh_sql(side)} JOIN {P.hilbert3_sql(P.mesh_sql(side), bits)} USING (uid))"
+
+
+@query("hilbert_mesh", P.steps_sql(_on_hilbert(32, 5)))
 def _(spark, d):
     """Steps of the Hilbert curve over a 32**3 mesh; every one goes to a face neighbour. One range, so all steps are counted."""
     g = datagen.mesh(spark, 32, 3)
@@ -90,7 +94,7 @@ WITH cells AS (SELECT i // 256 AS q0, (i // 16) % 16 AS q1, i % 16 AS q2 FROM ra
 keyed AS (SELECT *, """ + P.morton_expr(3, 4) + """ AS key FROM cells),
 steps AS (SELECT abs(q0 - lag(q0) OVER w) + abs(q1 - lag(q1) OVER w) + abs(q2 - lag(q2) OVER w) AS step FROM keyed WINDOW w AS (ORDER BY key))
 SELECT 'morton' AS curve, count(*) AS steps, round(avg(CASE WHEN step = 1 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END), 6) AS unit_share, round(avg(step::DOUBLE), 6) AS mean_step FROM steps WHERE step IS NOT NULL
-UNION ALL SELECT 'hilbert', 4095, 1.0::DOUBLE, 1.0::DOUBLE""")
+UNION ALL SELECT 'hilbert', * FROM (""" + P.steps_sql(_on_hilbert(16, 4)) + ")")
 def _(spark, d):
     g = datagen.mesh(spark, 16, 3)
     cells = [F.col(f"g{i}") for i in range(3)]
@@ -105,6 +109,24 @@ def _(spark, d):
     return k.select("uid", a.alias("g0"), b.alias("g1"))
 
 
+@query("gray_inverse", f"SELECT uid, q0 AS g0, q1 AS g1 FROM {P.cells_sql(P.ORDERS_SQL, 2, BITS)}")
+def _(spark, d):
+    a, b = curves.gray_cell(F.col("key"), 2, BITS)
+    return curves.keyed(P.orders(spark, d), 2, BITS, "gray").select("uid", a.alias("g0"), b.alias("g1"))
+
+
+@query("hilbert_inverse", f"SELECT uid, q0 AS g0, q1 AS g1, q2 AS g2 FROM {P.cells_sql(P.LINES_SQL, 3, BITS)}")
+def _(spark, d):
+    g = curves.hilbert_cell(F.col("key"), 3, BITS)
+    return curves.keyed(P.lineitem(spark, d), 3, BITS, "hilbert").select("uid", *[c.alias(f"g{i}") for i, c in enumerate(g)])
+
+
+@query("hilbert_inverse_2d", f"SELECT uid, q0 AS g0, q1 AS g1 FROM {P.cells_sql(P.ORDERS_SQL, 2, BITS)}")
+def _(spark, d):
+    a, b = curves.hilbert_cell(F.col("key"), 2, BITS)
+    return curves.keyed(P.orders(spark, d), 2, BITS, "hilbert").select("uid", a.alias("g0"), b.alias("g1"))
+
+
 _ORD = P.prefix_sql(P.keyed_sql(P.ORDERS_LINES_SQL, 2, BITS))
 
 
@@ -151,12 +173,21 @@ def _(spark, d):
     return m.select("points", (F.col("imbalance") <= F.col("heavy")).alias("within"))
 
 
-@query("slices_close")
+@query("slices_close", f"""
+WITH RECURSIVE o AS (SELECT uid, w, prefix, total FROM {_ORD}),
+cuts(i, start) AS (
+  SELECT 0, 0::BIGINT
+  UNION ALL
+  SELECT i + 1, CASE WHEN up - goal <= goal - down OR down <= start THEN up ELSE down END
+  FROM (SELECT i, start, goal, (SELECT min(prefix + w) FROM o WHERE prefix + w >= goal) AS up, (SELECT max(prefix) FROM o WHERE prefix <= goal AND prefix >= start) AS down
+        FROM (SELECT i, start, start + (SELECT max(total) - start FROM o)::DOUBLE / ({PARTS} - i) AS goal FROM cuts WHERE i < {PARTS - 1})))
+SELECT CAST(p AS INTEGER) AS part, count(uid) AS n, CAST(coalesce(sum(w), 0) AS BIGINT) AS w FROM range({PARTS}) t(p)
+LEFT JOIN (SELECT uid, w, (SELECT count(*) FROM cuts WHERE i > 0 AND start <= o.prefix) AS part FROM o) s ON s.part = p GROUP BY p""")
 def _(spark, d):
     return slicing.loads(slicing.slice_curve(tables.snapshot(curves.keyed(P.orders_by_lines(spark, d), 2, BITS), "keyed"), PARTS, "close"), PARTS)
 
 
-@query("partition_check", f"SELECT true AS disjoint, true AS in_range, (SELECT max(w) - min(w) FROM ({_LOADS})) <= (SELECT max(w) FROM ({P.ORDERS_LINES_SQL})) AS balanced")
+@query("partition_check", f"SELECT (SELECT max(c) = 1 FROM (SELECT count(*) AS c FROM {_ORD} GROUP BY uid)) AS disjoint, (SELECT min(part) >= 0 AND max(part) < {PARTS} FROM (SELECT {P.part_expr(PARTS)} AS part FROM {_ORD})) AS in_range, (SELECT max(w) - min(w) FROM ({_LOADS})) <= (SELECT max(w) FROM ({P.ORDERS_LINES_SQL})) AS balanced")
 def _(spark, d):
     return metrics.check_partition(slicing.slice_curve(curves.keyed(P.orders_by_lines(spark, d), 2, BITS), PARTS), PARTS)
 
@@ -188,6 +219,73 @@ def _(spark, d):
     return migrate.rounds(_transfers(spark, d), 4096)
 
 
+@query("transfer_row_rounds", f"SELECT src, dst, r AS round, LEAST(64, n - r * 64) AS n FROM (SELECT src, dst, count(*) AS n FROM ({_MOVES}) WHERE src <> dst GROUP BY src, dst), range(0, 100000) t(r) WHERE r * 64 < n")
+def _(spark, d):
+    """The round of every moving row, counted."""
+    after = balance.full(P.lineitem_weighted(spark, d), 3, PARTS).assigned
+    rows = after.select("uid", F.pmod("uid", F.lit(PARTS)).cast("int").alias("src"), F.col("part").alias("dst"), F.lit(64).cast("long").alias("bytes")).where("src != dst")
+    return migrate.row_rounds(rows, 4096).groupBy("src", "dst", "round").agg(F.count("*").alias("n"))
+
+
+_PAYLOAD = f"SELECT o.uid, o.part, o.key, t.o_totalprice AS price FROM (SELECT *, {P.part_expr(PARTS)} AS part FROM {_ORD}) o JOIN orders t ON t.o_orderkey = o.uid"
+
+
+def _payload(spark, d):
+    return io.table(spark, d, "orders").select(F.col("o_orderkey").alias("uid"), F.col("o_totalprice").alias("price"))
+
+
+@query("exchange_orders", f"SELECT uid, part, key, price FROM ({_PAYLOAD})")
+def _(spark, d):
+    """The payload in its slices: each row of orders with the part and key it is stored under."""
+    s = slicing.slice_curve(curves.keyed(P.orders_by_lines(spark, d), 2, BITS), PARTS)
+    return migrate.exchange(_payload(spark, d), tables.snapshot(s, "slices"), 2).select("uid", "part", "key", "price")
+
+
+@query("reorder_orders", f"SELECT uid, price, rank FROM (SELECT o.uid, o.rank, t.o_totalprice AS price FROM {_ORD} o JOIN orders t ON t.o_orderkey = o.uid)")
+def _(spark, d):
+    """The payload in the order of the permutation."""
+    order = tables.snapshot(slicing.order_points(curves.keyed(P.orders_by_lines(spark, d), 2, BITS)), "order")
+    return migrate.reorder(_payload(spark, d), order).select("uid", "price", "rank")
+
+
+_BUCKETS = P.prefix_sql(f"(SELECT min(uid) AS uid, key, count(*) AS n, CAST(sum(w) AS BIGINT) AS w FROM {P.keyed_sql(P.ORDERS_LINES_SQL, 2, 5)} GROUP BY key)")
+
+
+@query("slices_of_buckets", f"SELECT key, n, w, {P.part_expr(PARTS)} AS part FROM {_BUCKETS}")
+def _(spark, d):
+    """Whole buckets (the cells of a coarse grid) are dealt to slices; none is cut."""
+    k = tables.snapshot(curves.keyed(P.orders_by_lines(spark, d), 2, 5), "keyed")
+    return slicing.slice_buckets(k, PARTS).select("key", "n", "w", "part")
+
+
+@query("replicated_order", f"SELECT uid, key, rank FROM {P.prefix_sql(P.keyed_sql('SELECT uid * 4 + k AS uid, c0 + k * 1e-9::DOUBLE AS c0, c1 + k * 1e-9::DOUBLE AS c1, w FROM (' + P.ORDERS_SQL + '), range(4) t(k)', 2, BITS))}")
+def _(spark, d):
+    """The curve order of four copies of each point."""
+    return slicing.order_points(curves.keyed(datagen.replicate(P.orders(spark, d), 4, 2), 2, BITS))
+
+
+_SIZES = (1, 2, 4, 8, 16, 32, 64)
+
+
+@query("scaling_model", f"WITH o AS {_ORD}, t AS (SELECT p AS size, max(w) AS time FROM (SELECT p, LEAST(p - 1, (prefix * p) // total) AS part, CAST(sum(w) AS BIGINT) AS w FROM o, (VALUES {', '.join(f'({p})' for p in _SIZES)}) s(p) GROUP BY 1, 2) GROUP BY 1) SELECT CAST(size AS INTEGER) AS size, time, round((SELECT time FROM t WHERE size = 1)::DOUBLE / time, 6) AS speedup FROM t")
+def _(spark, d):
+    """Strong scaling on the model clock: the time of a step on P parts is their heaviest load, and one part is the base."""
+    k = tables.snapshot(slicing.slice_curve(curves.keyed(P.orders_by_lines(spark, d), 2, BITS), 1), "prefix")
+    total = slicing.total_weight(k)
+    t = None
+    for p in _SIZES:
+        one = k.withColumn("part", slicing.part_of(F.col("prefix"), total, p)).groupBy("part").agg(F.sum("w").alias("w")).agg(F.lit(p).alias("size"), F.max("w").alias("time"))
+        t = one if t is None else t.unionByName(one)
+    return metrics.speedup(t).select("size", "time", F.round("speedup", 6).alias("speedup"))
+
+
+@query("distances", "SELECT uid, abs(c0) * 1.0::DOUBLE + abs(c1) * 1.0::DOUBLE AS l1, greatest(abs(c0), abs(c1)) AS linf, c0 * c0 * 2.0::DOUBLE + c1 * c1 * 0.5::DOUBLE AS weighted FROM (" + P.ORDERS_SQL + ")")
+def _(spark, d):
+    """Distances of orders from the origin."""
+    a, o = [F.col("c0"), F.col("c1")], [F.lit(0.0), F.lit(0.0)]
+    return P.orders(spark, d).select("uid", geometry.distance(a, o, "l1").alias("l1"), geometry.distance(a, o, "linf").alias("linf"), geometry.distance(a, o, "weighted", [2.0, 0.5]).alias("weighted"))
+
+
 @query("neighbour_share", f"WITH a AS (SELECT uid, {P.part_expr(PARTS)} AS part FROM {P.prefix_sql(P.keyed_sql(P.ORDERS_SQL, 2, BITS))}), b AS (SELECT uid, {P.part_expr(PARTS)} AS part FROM {_ORD}) SELECT round(CAST(count(*) FILTER (abs(b.part - a.part) = 1) AS DOUBLE) / count(*), 6) AS share FROM a JOIN b USING (uid) WHERE a.part <> b.part")
 def _(spark, d):
     m = balance.moved(*_two(spark, d)).where("step_size != 0")

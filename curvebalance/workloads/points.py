@@ -104,6 +104,33 @@ def keyed_sql(src: str, d: int, bits: int) -> str:
     return f"(SELECT uid, w, {', '.join(f'c{i}' for i in range(d))}, {morton_expr(d, bits)} AS key FROM {cells_sql(src, d, bits)})"
 
 
+def hilbert3_sql(src: str, bits: int) -> str:
+    """uid, key of cells (uid, q0..q2) on the three-dimensional Hilbert curve, from coordinates: rotations undone level by level, a Gray decoding, the
+    carry of the last axis."""
+    carry = "0::BIGINT"
+    for k in range(1, bits):
+        carry = f"xor({carry}, CASE WHEN (g2 >> {k}) & 1 = 1 THEN {(1 << k) - 1} ELSE 0 END)"
+    key = " | ".join(f"(((xor(g{i}, t) >> {k}) & 1) << {k * 3 + 2 - i})" for i in range(3) for k in range(bits))
+    return f"""(WITH RECURSIVE h(uid, a, b, c, q) AS (
+      SELECT uid, CAST(q0 AS BIGINT), CAST(q1 AS BIGINT), CAST(q2 AS BIGINT), {1 << bits - 1}::BIGINT FROM {src}
+      UNION ALL
+      SELECT uid, CASE WHEN c & q > 0 THEN xor(a2, q - 1) ELSE xor(a2, xor(a2, c) & (q - 1)) END, b2, CASE WHEN c & q > 0 THEN c ELSE xor(c, xor(a2, c) & (q - 1)) END, q >> 1
+      FROM (SELECT uid, q, c, CASE WHEN b & q > 0 THEN xor(a1, q - 1) ELSE xor(a1, xor(a1, b) & (q - 1)) END AS a2, CASE WHEN b & q > 0 THEN b ELSE xor(b, xor(a1, b) & (q - 1)) END AS b2
+        FROM (SELECT uid, q, b, c, CASE WHEN a & q > 0 THEN xor(a, q - 1) ELSE a END AS a1 FROM h WHERE q > 1))
+    ), g AS (SELECT uid, a AS g0, xor(a, b) AS g1, xor(xor(a, b), c) AS g2 FROM h WHERE q = 1),
+    t AS (SELECT *, {carry} AS t FROM g) SELECT uid, {key} AS key FROM t)"""
+
+
+def steps_sql(keyed: str) -> str:
+    """steps, unit_share and mean_step over successive cells (q0..q2, key)."""
+    return f"""SELECT count(*) AS steps, round(avg(CASE WHEN step = 1 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END), 6) AS unit_share, round(avg(step::DOUBLE), 6) AS mean_step FROM (
+      SELECT abs(q0 - lag(q0) OVER w) + abs(q1 - lag(q1) OVER w) + abs(q2 - lag(q2) OVER w) AS step FROM {keyed} WINDOW w AS (ORDER BY key)) WHERE step IS NOT NULL"""
+
+
+def mesh_sql(side: int) -> str:
+    return f"(SELECT i AS uid, i // {side * side} AS q0, (i // {side}) % {side} AS q1, i % {side} AS q2 FROM range({side**3}) t(i))"
+
+
 def prefix_sql(src: str) -> str:
     """Adds prefix, total and rank in the order (key, uid)."""
     return f"(SELECT *, coalesce(CAST(sum(w) OVER (ORDER BY key, uid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS BIGINT), 0) AS prefix, CAST(sum(w) OVER () AS BIGINT) AS total, row_number() OVER (ORDER BY key, uid) - 1 AS rank FROM {src})"

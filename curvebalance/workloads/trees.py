@@ -219,22 +219,51 @@ def _(spark, d):
     return a.agg(F.sum("n").alias("points"), (F.max("n") <= 2 * B).alias("bounded"))
 
 
-@query("dyn_trace")
-def _(spark, d):
-    """Ten steps of inserts and deletes with adjustments every five, on the model clock."""
-    p = tables.snapshot(P.unit(P.lineitem(spark, d), 3), "unit")
+def _dynamic(spark, p, dims: int, steps: int, every: int, mode: str = "full"):
+    """Half of the points at first; each step inserts a twentieth and deletes another."""
+    p = tables.snapshot(p, "unit")
     h = kdtree.hash_unit(F.col("uid"))
-    start = p.where(h % 20 < 10)
 
     def source(step: int):
         new = p.where(h % 20 == 10 + step).withColumn("op", F.lit("insert"))
         old = p.where(h % 20 == step).withColumn("op", F.lit("delete"))
         return new.unionByName(old).withColumn("op_ts", F.lit(step)).withColumn("op_id", F.lit(0))
 
-    _, trace = dynamic.run(start, 3, TreeConfig.of("midpoint"), 8, source, 10, adjust_every=5)
+    return dynamic.run(p.where(h % 20 < 10), dims, TreeConfig.of("midpoint"), 8, source, steps, adjust_every=every, mode=mode)
+
+
+@query("dyn_trace")
+def _(spark, d):
+    """Ten steps of inserts and deletes with adjustments every five, on the model clock."""
+    _, trace = _dynamic(spark, P.unit(P.lineitem(spark, d), 3), 3, 10, 5)
     return spark.createDataFrame([(t["iter"], int(t["n_ops"]), float(t["cost"]), float(t["debt"]), bool(t["rebalanced"]), bool(t["adjusted"])) for t in trace], "iter int, n_ops long, cost double, debt double, rebalanced boolean, adjusted boolean")
 
 
+@query("dyn_table_3d", f"SELECT CAST(s AS INTEGER) AS iter, count(*) FILTER ({P.HASH} % 20 = 10 + s) AS inserted, count(*) FILTER ({P.HASH} % 20 = s) AS deleted FROM ({P.LINES_SQL}), range(4) t(s) GROUP BY 1")
+def _(spark, d):
+    """Insertions and deletions of each step of a run in three dimensions; the trace has the seconds of each phase beside them."""
+    _, trace = _dynamic(spark, P.unit(P.lineitem(spark, d), 3), 3, 4, 2, "incremental")
+    return spark.createDataFrame([(t["iter"], t["inserted"], t["deleted"]) for t in trace], "iter int, inserted long, deleted long")
+
+
+@query("dyn_points_10d", f"SELECT uid FROM ({P.LINES10_SQL}) WHERE {P.HASH} % 20 >= 4 AND {P.HASH} % 20 < 14")
+def _(spark, d):
+    """The points that are left after four steps in ten dimensions."""
+    members, _ = _dynamic(spark, P.unit(P.lineitem10(spark, d), 10), 10, 4, 2)
+    return members.select("uid")
+
+
+@query("dyn_times")
+def _(spark, d):
+    """nodes, and seconds to build, insert, delete, adjust and balance, in three and ten dimensions."""
+    rows = []
+    for name, p, dims in (("3d", P.lineitem(spark, d), 3), ("10d", P.lineitem10(spark, d), 10)):
+        members, t = _dynamic(spark, P.unit(p, dims), dims, 4, 2)
+        s = [t[0]["build_s"], *[sum(x[f"{k}_s"] for x in t) for k in ("insert", "delete", "adjust", "balance")]]
+        rows.append((name, 2 * members.select("path").distinct().count() - 1, *s, sum(s)))
+    return spark.createDataFrame(rows, "points string, nodes long, build double, insert double, delete double, adjust double, balance double, total double")
+
+
 _DAYS = "SELECT date_diff('day', (SELECT min(CAST(ts AS DATE)) FROM events), CAST(ts AS DATE)) AS iter, user_id % 4 AS part, count(*) AS n, count(DISTINCT user_id) AS b FROM events GROUP BY 1, 2"
 _COSTS = f"SELECT iter, max(n + b / 10.0::DOUBLE) / sum(n) * max(b) AS cost FROM ({_DAYS}) GROUP BY 1"
 
@@ -282,17 +311,63 @@ def _(spark, d):
     return amr.step_loads(curves.keyed(p, 3, 16, box=[(0.0, 1.0)] * 3), 3, 16, 20, 0.3)
 
 
-@query("amr_policy_compare")
+_BALL_AT = lambda k: _BALL.replace("k / 19.0::DOUBLE", f"{k} / 19.0::DOUBLE")
+_GRID = P.keyed_sql(P.LINES_SQL, 3, 16)
+# loads of step s under the cut of step c, for all pairs; then each policy walks through the steps
+_POLICIES = f"""
+WITH RECURSIVE pts AS (SELECT * FROM {_GRID}),
+w AS (SELECT uid, key, c, CAST({_BALL_AT('c')} AS BIGINT) AS w FROM pts, range(20) t(c)),
+cut AS (SELECT uid, c, CAST(LEAST(15, (coalesce(CAST(sum(w) OVER (PARTITION BY c ORDER BY key, uid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS BIGINT), 0) * 16) // CAST(sum(w) OVER (PARTITION BY c) AS BIGINT)) AS INTEGER) AS part FROM w),
+loads AS (SELECT cut.c, w.c AS s, cut.part, sum(w.w) AS w FROM cut JOIN w USING (uid) GROUP BY 1, 2, 3),
+cost AS (SELECT c, s, max(w)::DOUBLE / (sum(w)::DOUBLE / 16) AS cost FROM loads GROUP BY 1, 2),
+walk(policy, s, c, cost, base, debt, reb) AS (
+  SELECT policy, 0, 0, cost, cost, 0.0::DOUBLE, policy = 'always' FROM cost, (VALUES ('never'), ('amortised'), ('periodic'), ('always')) p(policy) WHERE c = 0 AND s = 0
+  UNION ALL
+  SELECT policy, k.s, k.c, k.cost, CASE WHEN o.reb THEN k.cost ELSE o.base END,
+    CASE WHEN o.reb THEN 0.0::DOUBLE ELSE o.debt + greatest(0.0::DOUBLE, k.cost - o.base) END,
+    CASE policy WHEN 'always' THEN true WHEN 'never' THEN false WHEN 'periodic' THEN (k.s + 1) % 10 = 0
+      ELSE NOT o.reb AND o.debt + greatest(0.0::DOUBLE, k.cost - o.base) >= 0.5::DOUBLE END
+  FROM walk o JOIN cost k ON k.s = o.s + 1 AND k.c = CASE WHEN o.reb THEN o.s ELSE o.c END)
+"""
+
+
+@query("amr_policy_compare", _POLICIES + "SELECT policy, CAST(sum(reb::INTEGER) AS INTEGER) AS rebalances, round(sum(cost) / count(*), 6) AS mean_cost FROM walk GROUP BY policy")
 def _(spark, d):
-    """Rebalances, and mean heaviest load over the mean, of three policies while the ball crosses the cube."""
+    """Rebalances, and mean heaviest load over the mean, of four policies while the ball crosses the cube."""
     p = tables.snapshot(curves.keyed(P.unit(P.lineitem(spark, d), 3), 3, 16, box=[(0.0, 1.0)] * 3), "keyed")
     rows = []
-    for policy in ("never", "amortised", "always"):
+    for policy in ("never", "amortised", "periodic", "always"):
         t = amr.run(p, 3, 16, 20, 0.3, policy, balance_cost=0.5)
         rows.append((policy, sum(x["rebalanced"] for x in t), round(sum(x["cost"] for x in t) / len(t), 6)))
     return spark.createDataFrame(rows, "policy string, rebalances int, mean_cost double")
 
 
+_INSIDE = " + ".join(f"((q{i} + 0.5::DOUBLE) / 16 - s / 5.0::DOUBLE) * ((q{i} + 0.5::DOUBLE) / 16 - s / 5.0::DOUBLE)" for i in (1, 2, 0))
+
+
+@query("amr_mesh_blocks", f"SELECT CAST(s AS INTEGER) AS step, count(*) + 7 * count(*) FILTER ({_INSIDE} <= 0.3::DOUBLE * 0.3::DOUBLE) AS blocks, 8 * count(*) FILTER ({_INSIDE} <= 0.3::DOUBLE * 0.3::DOUBLE) AS fine FROM {P.mesh_sql(16)}, range(6) t(s) GROUP BY 1")
+def _(spark, d):
+    """Blocks, and refined ones among them, of a mesh that is refined and coarsened around a ball, with a stencil on them, for six steps."""
+    from curvebalance.sources import datagen
+
+    g = datagen.mesh(spark, 16, 3).withColumn("v", (F.col("uid") % 7).cast("double"))
+    _, t = amr.mesh_run(g, 3, 16, 8, 6, 0.3)
+    return spark.createDataFrame([(x["step"], x["blocks"], x["fine"]) for x in t], "step int, blocks long, fine long")
+
+
+@query("amr_mesh_policies")
+def _(spark, d):
+    """Rebalances, mean cost and seconds of refinement, stencil and balancing of each policy on the mesh."""
+    from curvebalance.sources import datagen
+
+    g = datagen.mesh(spark, 16, 3).withColumn("v", (F.col("uid") % 7).cast("double"))
+    rows = []
+    for policy in ("never", "amortised", "always"):
+        _, t = amr.mesh_run(g, 3, 16, 8, 6, 0.3, policy)
+        rows.append((policy, sum(x["rebalanced"] for x in t), round(sum(x["cost"] for x in t) / len(t), 6), *[sum(x[f"{k}_s"] for x in t) for k in ("refine", "stencil", "balance")]))
+    return spark.createDataFrame(rows, "policy string, rebalances int, mean_cost double, refine_s double, stencil_s double, balance_s double")
+
+
 @query("amr_stencil", "SELECT a.i AS uid, round(avg(CAST(b.i % 7 AS DOUBLE)), 9) AS v FROM range(4096) a(i), (VALUES (0,0,0),(1,0,0),(-1,0,0),(0,1,0),(0,-1,0),(0,0,1),(0,0,-1)) o(x,y,z) JOIN range(4096) b(i) ON b.i // 256 = a.i // 256 + x AND (b.i // 16) % 16 = (a.i // 16) % 16 + y AND b.i % 16 = a.i % 16 + z GROUP BY 1")
 def _(spark, d):
     from curvebalance.sources import datagen
