@@ -191,9 +191,7 @@ def _by_table(code: Column, d: int, bits: int, inverse: bool) -> Column:
         return F.struct(below.alias("rest"), e.bitwiseAND(F.lit(0xFFFF)).alias("state"), F.shiftleft(key, d * levels).bitwiseOR(F.shiftright(e, 16).cast(long)).alias("key"))
 
     start = step(code, F.lit(0), F.lit(0).cast(long), first)
-    if not steps:
-        return start["key"]
-    return F.aggregate(F.array(*[F.lit(i) for i in range(steps)]), start, lambda a, _: step(a["rest"], a["state"], a["key"], per), lambda a: a["key"])
+    return F.aggregate(F.array(*[F.lit(i) for i in range(steps)]).cast("array<int>"), start, lambda a, _: step(a["rest"], a["state"], a["key"], per), lambda a: a["key"])
 
 
 def with_hilbert(df: DataFrame, code: str, d: int, bits: int, out: str = "key") -> DataFrame:
@@ -231,6 +229,26 @@ def gray_cell(key: Column, dims: int, bits: int) -> list[Column]:
     return morton_cell(key.bitwiseXOR(F.shiftrightunsigned(key, 1)), dims, bits)
 
 
+def hilbert_key_2d(x: Column, y: Column, bits: int) -> Column:
+    """The two-dimensional Hilbert key by a fold over the bits, highest first, without tables. State: 0 and 1 keep or swap
+    the axes, 2 and 3 do so on complemented bits."""
+    levels = F.array(*[F.lit(k) for k in range(bits - 1, -1, -1)])
+    one = F.lit(1).cast("long")
+
+    def step(a: Column, k: Column) -> Column:
+        u = F.call_function("shiftright", a["x"], k).bitwiseAND(one)
+        v = F.call_function("shiftright", a["y"], k).bitwiseAND(one)
+        flip = F.when(a["f"], one).otherwise(F.lit(0).cast("long"))
+        p = F.when(a["s"], v).otherwise(u).bitwiseXOR(flip)
+        q = F.when(a["s"], u).otherwise(v).bitwiseXOR(flip)
+        digit = (p * 3).bitwiseXOR(q)
+        low = q == 0
+        return F.struct(a["x"].alias("x"), a["y"].alias("y"), (F.shiftleft(a["key"], 2) + digit).alias("key"), F.when(low, ~a["s"]).otherwise(a["s"]).alias("s"), F.when(low & (p == 1), ~a["f"]).otherwise(a["f"]).alias("f"))
+
+    zero = F.struct(x.cast("long").alias("x"), y.cast("long").alias("y"), F.lit(0).cast("long").alias("key"), F.lit(False).alias("s"), F.lit(False).alias("f"))
+    return F.aggregate(levels, zero, step)["key"]
+
+
 def key_of(cells: list[Column], bits: int, curve: str) -> Column:
     if curve == "morton":
         return interleave(cells, bits)

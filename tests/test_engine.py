@@ -337,3 +337,116 @@ def test_plans_stay_distributed_and_pruned(spark, sf):
             assert "], [_r" in w or "_r#" in w, w
     scan = QUERIES["morton_orders"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "o_orderpriority" not in scan
+
+
+def test_hilbert_tables_equal_the_fold(spark):
+    """Keys from tables, as an expression and as columns, against the transform of coordinates; and their inverse."""
+    for d, bits in ((3, 1), (3, 2), (3, 5), (4, 3)):
+        g = datagen.mesh(spark, 1 << bits, d)
+        cells = [F.col(f"g{i}") for i in range(d)]
+        k = curves.with_hilbert(g.withColumn("code", curves.interleave(cells, bits)), "code", d, bits, "a").withColumn("b", curves.hilbert_key(cells, bits)).withColumn("c", curves._folded_key(cells, bits))
+        back = curves.hilbert_cell(F.col("a"), d, bits)
+        same = [x == y for x, y in zip(back, cells)]
+        for cond in [F.col("a") == F.col("c"), F.col("b") == F.col("c"), *same]:
+            assert k.where(~cond).isEmpty()
+
+
+def test_prefix_ranges_grow_with_rows(spark, monkeypatch):
+    """More rows have more ranges, up to those an expression tells apart and beyond; one key that overfills a range is split. Sums stay."""
+    from curvebalance.plans import prefix
+
+    df = spark.range(3000).select((F.col("id") * 7919 % 3000).alias("uid"), F.when(F.col("id") % 3 == 0, 5).otherwise(F.col("id") * 31 % 1000).cast("long").alias("key"), (F.col("id") % 5).alias("w"))
+    want, at = {}, 0
+    for r in sorted(df.collect(), key=lambda r: (r["key"], r["uid"])):
+        want[r["uid"]] = at
+        at += r["w"]
+    for rows, cuts, over in ((250_000, 256, 8), (30, 256, 100), (30, 50, 8), (300, 256, 2)):
+        monkeypatch.setattr(prefix, "RANGE_ROWS", rows)
+        monkeypatch.setattr(prefix, "CUTS", cuts)
+        monkeypatch.setattr(prefix, "OVERFULL", over)
+        monkeypatch.setattr(prefix, "FIRST", 8)
+        used = []
+        kept = prefix.ranges
+        monkeypatch.setattr(prefix, "ranges", lambda df, key, n: used.append(n) or kept(df, key, n))
+        got = prefix.with_prefix(df, "key", "w", "uid", rank="rank").collect()
+        monkeypatch.setattr(prefix, "ranges", kept)
+        assert {r["uid"]: r["prefix"] for r in got} == want and sorted(r["rank"] for r in got) == list(range(3000))
+        assert used == {(250_000, 256): [8], (30, 256): [8, 100], (30, 50): [8], (300, 256): [8, 10]}[rows, cuts]
+
+
+def test_new_points_descend_to_their_leaf(spark):
+    """A point inserted into a tree gets the leaf that planes lead to, also where no box is near; adjusted trees have the planes of their splits."""
+    from curvebalance.operators import dynamic
+
+    cfg = TreeConfig.of("midpoint", bucket_size=8)
+    p = datagen.uniform(spark, 600, 2) if hasattr(datagen, "uniform") else spark.range(600).select(F.col("id").alias("uid"), *[(F.pmod(F.xxhash64("id", F.lit(i)), F.lit(10007)) / 10007.0).alias(f"c{i}") for i in range(2)], F.lit(1).cast("long").alias("w"))
+    tree = kdtree.build(p, 2, cfg)
+    m = tree.members.cache()
+    planes = kdtree.split_planes(m, 2, cfg).cache()
+    inner = {r["path"]: (r["dim"], r["value"]) for r in planes.collect()} | tree.top.inner
+    for r in m.collect():  # the tree's own points
+        at = 1
+        while at in inner:
+            d, v = inner[at]
+            at = 2 * at + (r[f"c{d}"] > v)
+        assert at == r["path"]
+    new = spark.range(300).select((F.col("id") + 10_000).alias("uid"), *[(F.pmod(F.xxhash64("id", F.lit(9 + i)), F.lit(10007)) / 10007.0).alias(f"c{i}") for i in range(2)], F.lit(1).cast("long").alias("w"))
+    got = dynamic.locate_leaf(kdtree.assign_top(new, tree.top), m, planes, 2).collect()
+    assert len(got) == 300
+    for r in got:
+        at = 1
+        while at in inner:
+            d, v = inner[at]
+            at = 2 * at + (r[f"c{d}"] > v)
+        assert at == r["path"] and r["depth"] == kdtree.depth_of(r["path"])
+
+
+@pytest.mark.parametrize("mode", ["full", "incremental"])
+def test_dynamic_run_keeps_points_and_cuts_again(spark, mode):
+    from curvebalance.operators import dynamic
+
+    cfg = TreeConfig.of("midpoint", bucket_size=8)
+    p = spark.range(800).select(F.col("id").alias("uid"), *[(F.pmod(F.xxhash64("id", F.lit(i)), F.lit(10007)) / 10007.0).alias(f"c{i}") for i in range(2)], F.lit(1).cast("long").alias("w"))
+
+    def source(step):
+        ops = p.where(F.col("uid").between(400 + 100 * step, 499 + 100 * step)).withColumn("op", F.lit("insert")).unionByName(p.where(F.col("uid").between(50 * step, 50 * step + 49)).withColumn("op", F.lit("delete")))
+        return ops.withColumn("op_ts", F.lit(step)).withColumn("op_id", F.lit(0))
+
+    members, trace = dynamic.run(p.where("uid < 400"), 2, cfg, 4, source, 3, adjust_every=2, policy="always", mode=mode)
+    rows = members.collect()
+    assert {r["uid"] for r in rows} == set(range(150, 700)) and len(rows) == 550
+    loads = [sum(r["part"] == k for r in rows) for k in range(4)]
+    assert max(loads) - min(loads) <= 1 and all(t["moved"] > 0 and t["rebalanced"] for t in trace)
+    assert [(t["inserted"], t["deleted"]) for t in trace] == [(100, 50)] * 3 and trace[-1]["load_max"] == max(loads)
+
+
+def test_mesh_loop_refines_coarsens_and_smooths(spark):
+    from curvebalance.operators import amr
+
+    side, dims = 8, 2
+    mesh = datagen.mesh(spark, side, dims).withColumn("v", (F.col("uid") % 5).cast("double"))
+    blocks, trace = amr.mesh_run(mesh, dims, side, 4, 4, 0.4, "always")
+    state = {(0, x, y): float((x * side + y) % 5) for x in range(side) for y in range(side)}
+    for s in range(4):
+        c = s / 3
+        inside = {(x, y) for x in range(side) for y in range(side) if ((x + 0.5) / side - c) ** 2 + ((y + 0.5) / side - c) ** 2 <= 0.16}
+        new = {}
+        for (lv, x, y), v in state.items():
+            up = (x, y) if lv == 0 else (x // 2, y // 2)
+            if up in inside and lv == 0:
+                new |= {(1, 2 * x + i, 2 * y + j): v for i in (0, 1) for j in (0, 1)}
+            elif up in inside or lv == 0:
+                new[lv, x, y] = v
+            else:
+                kids = [state[1, 2 * up[0] + i, 2 * up[1] + j] for i in (0, 1) for j in (0, 1)]
+                new[0, *up] = sum(kids) / 4
+        near = ((0, 0), (1, 0), (-1, 0), (0, 1), (0, -1))
+        state = {}
+        for lv, x, y in new:
+            vals = [new[lv, x + i, y + j] for i, j in near if (lv, x + i, y + j) in new]
+            state[lv, x, y] = sum(vals) / len(vals)
+        assert trace[s]["blocks"] == len(state) and trace[s]["fine"] == sum(k[0] for k in state) and trace[s]["rebalanced"]
+    got = {(r["level"], r["g0"], r["g1"]): r["v"] for r in blocks.collect()}
+    assert got.keys() == state.keys() and all(abs(got[k] - state[k]) < 1e-9 for k in state)
+    loads = [r["count"] for r in blocks.groupBy("part").count().collect()]
+    assert max(loads) - min(loads) <= 1
