@@ -279,6 +279,17 @@ def _(spark, d):
     return metrics.speedup(t).select("size", "time", F.round("speedup", 6).alias("speedup"))
 
 
+_SLICED = f"(SELECT *, {P.part_expr(PARTS)} AS part FROM {_ORD})"
+
+
+@query("stored_in_order", f"SELECT uid, key, part FROM {_SLICED}")
+def _(spark, d):
+    """Slices written as files sorted by key, and read back."""
+    path = tables.shared_path(spark, "sorted")
+    io.write_sorted(slicing.slice_curve(curves.keyed(P.orders_by_lines(spark, d), 2, BITS), PARTS).select("uid", "key", "part"), path, "key", 4)
+    return spark.read.parquet(path)
+
+
 @query("distances", "SELECT uid, abs(c0) * 1.0::DOUBLE + abs(c1) * 1.0::DOUBLE AS l1, greatest(abs(c0), abs(c1)) AS linf, c0 * c0 * 2.0::DOUBLE + c1 * c1 * 0.5::DOUBLE AS weighted FROM (" + P.ORDERS_SQL + ")")
 def _(spark, d):
     """Distances of orders from the origin."""
@@ -363,6 +374,28 @@ def _(spark, d):
     return external.page_table(external.paginate(b, 65536))
 
 
+@query("page_cache")
+def _(spark, d):
+    """Page reads of every point, and faults behind a least-recently-used cache of 4 and of 64 pages. Points are dealt by hash to traces of about 5,000
+    reads, as many as there are; each trace, in the order of the hash, has a cache of its own and is replayed in one task."""
+    import pandas as pd
+
+    from curvebalance.operators import external, kdtree
+
+    tables.ship(spark)
+    k = tables.snapshot(knn.buckets(curves.keyed(P.lineitem(spark, d), 3, BITS), 32), "bucketed")
+    b = tables.snapshot(k.groupBy("bucket").agg(F.min("key").alias("key_lo"), F.count("*").alias("n")), "buckets")
+    h = kdtree.hash_unit(F.col("uid"))
+    traces = max(1, k.count() // 5000)
+    reads = k.join(external.paginate(b, 65536).select("bucket", "page"), "bucket").select((h % traces).cast("long").alias("trace"), h.cast("long").alias("at"), "uid", "page")
+
+    def run(g: pd.DataFrame) -> pd.DataFrame:
+        pages = g.sort_values(["at", "uid"])["page"].tolist()
+        return pd.DataFrame({"capacity": [4, 64], "reads": [len(pages)] * 2, "faults": [external.lru_faults(pages, c) for c in (4, 64)]})
+
+    return reads.groupBy("trace").applyInPandas(run, "capacity int, reads long, faults long").groupBy("capacity").agg(F.sum("reads").alias("reads"), F.sum("faults").alias("faults"))
+
+
 @query("page_faults", f"""
 WITH k AS (SELECT *, rank // 32 AS bucket FROM {P.prefix_sql(P.keyed_sql(P.LINES_SQL, 3, BITS))}),
 b AS (SELECT bucket, min(key) AS key_lo, count(*) * 40 AS bytes FROM k GROUP BY 1),

@@ -220,16 +220,16 @@ def _(spark, d):
 
 
 def _dynamic(spark, p, dims: int, steps: int, every: int, mode: str = "full"):
-    """Half of the points at first; each step inserts a twentieth and deletes another."""
+    """Half of the points at first; the steps insert the others, share by share, and delete the first, so every point is inserted."""
     p = tables.snapshot(p, "unit")
     h = kdtree.hash_unit(F.col("uid"))
 
     def source(step: int):
-        new = p.where(h % 20 == 10 + step).withColumn("op", F.lit("insert"))
-        old = p.where(h % 20 == step).withColumn("op", F.lit("delete"))
+        new = p.where(h % (2 * steps) == steps + step).withColumn("op", F.lit("insert"))
+        old = p.where(h % (2 * steps) == step).withColumn("op", F.lit("delete"))
         return new.unionByName(old).withColumn("op_ts", F.lit(step)).withColumn("op_id", F.lit(0))
 
-    return dynamic.run(p.where(h % 20 < 10), dims, TreeConfig.of("midpoint"), 8, source, steps, adjust_every=every, mode=mode)
+    return dynamic.run(p.where(h % (2 * steps) < steps), dims, TreeConfig.of("midpoint"), 8, source, steps, adjust_every=every, mode=mode)
 
 
 @query("dyn_trace")
@@ -239,14 +239,14 @@ def _(spark, d):
     return spark.createDataFrame([(t["iter"], int(t["n_ops"]), float(t["cost"]), float(t["debt"]), bool(t["rebalanced"]), bool(t["adjusted"])) for t in trace], "iter int, n_ops long, cost double, debt double, rebalanced boolean, adjusted boolean")
 
 
-@query("dyn_table_3d", f"SELECT CAST(s AS INTEGER) AS iter, count(*) FILTER ({P.HASH} % 20 = 10 + s) AS inserted, count(*) FILTER ({P.HASH} % 20 = s) AS deleted FROM ({P.LINES_SQL}), range(4) t(s) GROUP BY 1")
+@query("dyn_table_3d", f"SELECT CAST(s AS INTEGER) AS iter, count(*) FILTER ({P.HASH} % 8 = 4 + s) AS inserted, count(*) FILTER ({P.HASH} % 8 = s) AS deleted FROM ({P.LINES_SQL}), range(4) t(s) GROUP BY 1")
 def _(spark, d):
     """Insertions and deletions of each step of a run in three dimensions; the trace has the seconds of each phase beside them."""
     _, trace = _dynamic(spark, P.unit(P.lineitem(spark, d), 3), 3, 4, 2, "incremental")
     return spark.createDataFrame([(t["iter"], t["inserted"], t["deleted"]) for t in trace], "iter int, inserted long, deleted long")
 
 
-@query("dyn_points_10d", f"SELECT uid FROM ({P.LINES10_SQL}) WHERE {P.HASH} % 20 >= 4 AND {P.HASH} % 20 < 14")
+@query("dyn_points_10d", f"SELECT uid FROM ({P.LINES10_SQL}) WHERE {P.HASH} % 8 >= 4")
 def _(spark, d):
     """The points that are left after four steps in ten dimensions."""
     members, _ = _dynamic(spark, P.unit(P.lineitem10(spark, d), 10), 10, 4, 2)
@@ -414,6 +414,13 @@ def _elements(spark, d):
     return slicing.slice_curve(curves.keyed(c, 3, 16), 16)
 
 
+@query("element_nodes", f"SELECT e.part, count(*) AS nodes, count(DISTINCT n.l_orderkey) AS elements FROM lineitem n JOIN ({_EL}) e ON e.uid = n.l_orderkey GROUP BY 1")
+def _(spark, d):
+    """Nodes go with their element: nodes and elements of each part."""
+    n = meshes.element_parts(_nodes(spark, d), "l_orderkey", _elements(spark, d))
+    return n.groupBy("part").agg(F.count("*").alias("nodes"), F.count_distinct("l_orderkey").alias("elements"))
+
+
 @query("element_slices", f"SELECT part, count(*) AS elements, CAST(sum(w) AS BIGINT) AS nodes FROM ({_EL}) GROUP BY 1")
 def _(spark, d):
     return _elements(spark, d).groupBy("part").agg(F.count("*").alias("elements"), F.sum("w").alias("nodes"))
@@ -422,6 +429,12 @@ def _(spark, d):
 _DUAL = "SELECT a.e AS src, b.e AS dst, count(*) AS w FROM (SELECT DISTINCT l_orderkey AS e, l_partkey AS n FROM lineitem) a JOIN (SELECT DISTINCT l_orderkey AS e, l_partkey AS n FROM lineitem) b ON a.n = b.n AND a.e < b.e GROUP BY 1, 2"
 
 
+@query("dual_graph_pairs", f"WITH e AS ({_EL}), g AS ({_DUAL}) SELECT x.part AS src_part, y.part AS dst_part, count(*) AS n, CAST(sum(g.w) AS BIGINT) AS w FROM g JOIN e x ON x.uid = src JOIN e y ON y.uid = dst WHERE x.part <> y.part GROUP BY 1, 2")
+def _(spark, d):
+    """Cut edges of the dual graph between each two parts."""
+    return metrics.cut_edges(meshes.dual_graph(_nodes(spark, d), "l_orderkey", "l_partkey"), _elements(spark, d))
+
+
 @query("dual_graph_cut", f"WITH e AS ({_EL}), g AS ({_DUAL}), c AS (SELECT x.part AS p, y.part AS q, g.w FROM g JOIN e x ON x.uid = src JOIN e y ON y.uid = dst WHERE x.part <> y.part) SELECT part, CAST(sum(w) AS BIGINT) AS cut FROM (SELECT p AS part, w FROM c UNION ALL SELECT q, w FROM c) GROUP BY 1")
 def _(spark, d):
     g = meshes.dual_graph(_nodes(spark, d), "l_orderkey", "l_partkey")

@@ -450,3 +450,13 @@ def test_mesh_loop_refines_coarsens_and_smooths(spark):
     assert got.keys() == state.keys() and all(abs(got[k] - state[k]) < 1e-9 for k in state)
     loads = [r["count"] for r in blocks.groupBy("part").count().collect()]
     assert max(loads) - min(loads) <= 1
+
+
+def test_larger_caches_fault_less(spark, sf):
+    from curvebalance.operators import external
+
+    trace = [i * 7 % 30 for i in range(400)]
+    assert [external.lru_faults(trace, c) for c in (1, 30)] == [400, 30] and external.lru_faults([1, 2, 1, 3, 2], 2) == 4
+    rows = {r["capacity"]: r for r in QUERIES["page_cache"](spark, sf).collect()}
+    n = spark.read.parquet(f"{sf}/lineitem.parquet").count()
+    assert rows[4]["reads"] == rows[64]["reads"] == n and 0 < rows[64]["faults"] <= rows[4]["faults"] <= n
