@@ -213,7 +213,12 @@ def _(spark, d):
     return spmv.scatter(spmv.multiply(s, x), s, rows, PARTS)
 
 
-@query("spmv_power")
+_POWER = f"WITH b AS (SELECT row, col, sum(val) AS val FROM (SELECT row, col, val FROM ({PARTSUPP}) UNION ALL SELECT col, row, val FROM ({PARTSUPP})) GROUP BY 1, 2), x0 AS (SELECT DISTINCT row AS idx, 1.0::DOUBLE AS x FROM b)"
+for _k in range(3):
+    _POWER += f", y{_k} AS (SELECT row, sum(val::DOUBLE * x) AS y FROM b JOIN x{_k} ON col = idx GROUP BY 1), x{_k + 1} AS (SELECT row AS idx, y / (SELECT max(abs(y)) FROM y{_k}) AS x FROM y{_k})"
+
+
+@query("spmv_power", _POWER + " SELECT idx, round(x, 6) AS x FROM x3")
 def _(spark, d):
     m = partsupp(spark, d)
     r, c = shape(m)
@@ -236,7 +241,11 @@ def _(spark, d):
     return metrics.objective(cuts).select("max_cut", "total_cut", "max_in_degree", "max_out_degree")
 
 
-@query("partition_vertices")
+_CATEGORY = lambda c: f"(SELECT {c} AS v, row_number() OVER (ORDER BY {c}) AS k FROM (SELECT DISTINCT {c} FROM documents WHERE {c} IS NOT NULL))"
+_VERTICES = f"SELECT doc_id AS uid, CAST(coalesce(n_chars, 0) AS DOUBLE) AS c0, CAST(coalesce(a.k, 0) AS DOUBLE) AS c1, CAST(coalesce(b.k, 0) AS DOUBLE) AS c2, CAST(1 AS BIGINT) AS w FROM documents LEFT JOIN {_CATEGORY('lang')} a ON a.v = lang LEFT JOIN {_CATEGORY('source')} b ON b.v = source"
+
+
+@query("partition_vertices", f"SELECT CAST(p AS INTEGER) AS part, count(uid) AS n, CAST(coalesce(sum(w), 0) AS BIGINT) AS w FROM range({PARTS}) t(p) LEFT JOIN (SELECT uid, w, {P.part_expr(PARTS)} AS part FROM {P.prefix_sql(P.keyed_sql(_VERTICES, 3, 16))}) s ON s.part = p GROUP BY p")
 def _(spark, d):
     from curvebalance.functions.geometry import AttrSpec
 
