@@ -8,7 +8,8 @@ with the largest sum of scores less a penalty for each switch; runs of a languag
 Most texts have one language, and a bound shows it: if no run of words prefers another language to the best one by more than half a
 penalty, no switch can pay, and the best constant path is the optimum. Only the others go through the recursion.
 
-A word of a script that no learned language uses says nothing of languages; its letters count against the score.
+A word of a script that no learned language uses says nothing of languages; its letters count against the score. `learned` is the share of a
+text's letters that are in words of the other scripts: 1 for a mixture of learned languages, however small the share of each.
 
 Null or empty texts, and texts without any letter, are `und` with score 0. Words without letters carry no score. If there is nothing to
 learn from, all texts are `und`.
@@ -163,25 +164,30 @@ class Model:
         return self.labels([text or ""])[0]
 
     def labels(self, texts: list[str]) -> list[tuple[str, float, list[tuple[int, int, str]]]]:
+        return [f[:3] for f in self.judged(texts)]
+
+    def judged(self, texts: list[str]) -> list[tuple[str, float, list[tuple[int, int, str]], float]]:
+        """Labels of texts, with the share of letters in words of learned scripts."""
         if not self.langs:
-            return [("und", 0.0, [])] * len(texts)
-        return [self._label(ws) for ws in self.ready(texts)]
+            return [("und", 0.0, [], 0.0)] * len(texts)
+        return [self._judge(ws) for ws in self.ready(texts)]
 
-    def _label(self, ws: list[str]) -> tuple[str, float, list[tuple[int, int, str]]]:
+    def _judge(self, ws: list[str]) -> tuple[str, float, list[tuple[int, int, str]], float]:
         if not ws:
-            return "und", 0.0, []
+            return "und", 0.0, [], 0.0
         s, n, own = self.scores(ws)
         if not n.any():
-            return "und", 0.0, []
+            return "und", 0.0, [], 0.0
+        learned = float(own.sum() / n.sum())
         p = self.path(s)
         if p is None:
             best = int(s.sum(0).argmax())
-            return self.langs[best], float(own.sum() / n.sum()), [(0, len(ws), self.langs[best])]
+            return self.langs[best], learned, [(0, len(ws), self.langs[best])], learned
         share = np.bincount(p, weights=own, minlength=len(self.langs))
         best = int(share.argmax())
         at = np.flatnonzero(np.diff(p)) + 1
         spans = [(int(a), int(b), self.langs[p[a]]) for a, b in zip([0, *at], [*at, len(p)])]
-        return self.langs[best], float(share[best] / n.sum()), spans
+        return self.langs[best], float(share[best] / n.sum()), spans, learned
 
 
 def train(labelled: DataFrame, limit: int = TRAIN) -> Model:
@@ -224,22 +230,24 @@ def held_out(doc_id: Column) -> Column:
     return F.crc32(F.encode(doc_id.cast("string"), "utf-8")) % 4 == 2
 
 
-def predict(docs: DataFrame, model: Model, spans: bool = False) -> DataFrame:
-    """Adds lang_pred and score (and spans) to `docs`, of which only text is used."""
+def predict(docs: DataFrame, model: Model, spans: bool = False, learned: bool = False) -> DataFrame:
+    """Adds lang_pred and score (and spans, and learned, if asked for) to `docs`, of which only text is used. Columns of these names are replaced."""
     C.ship(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast((model.langs, model.logp, model.scripts))
-    keep = [c for c in docs.columns if c not in ("lang_pred", "score", "spans")]
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in keep) + ", lang_pred string, score double" + ", spans array<struct<first: int, end: int, lang: string>>" * spans
+    keep = [c for c in docs.columns if c not in ("lang_pred", "score", "spans", *["learned"] * learned)]
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in keep) + ", lang_pred string, score double" + ", spans array<struct<first: int, end: int, lang: string>>" * spans + ", learned double" * learned
 
     def run(batches):
         m = Model.__new__(Model)
         m.langs, m.logp, m.scripts = sent.value
         m._forget()
         for x in C.freed(batches):
-            found = [f for _, texts in T.slices_of(x.column("text")) for f in m.labels(texts)]
+            found = [f for _, texts in T.slices_of(x.column("text")) for f in m.judged(texts)]
             out = {c: x.column(c) for c in keep} | {"lang_pred": pa.array([f[0] for f in found], pa.string()), "score": pa.array([f[1] for f in found], pa.float64())}
             if spans:
                 out["spans"] = pa.array([[{"first": a, "end": b, "lang": g} for a, b, g in f[2]] for f in found], pa.list_(pa.struct([("first", pa.int32()), ("end", pa.int32()), ("lang", pa.string())])))
+            if learned:
+                out["learned"] = pa.array([f[3] for f in found], pa.float64())
             yield C.batch_of(out)
 
     return docs.select(*keep).mapInArrow(run, schema)
