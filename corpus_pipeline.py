@@ -12,18 +12,18 @@ from curvebalance.llm import common, jaccard_join, language_id, line_dedup, mixi
 
 #: Columns that stages read or write; all others pass through them under private names, so none clashes with a stage's own.
 USED = ("doc_id", "text", "lang", "source", "n_chars")
-#: The share of a document's letters that one language must have.
+#: The share of a document's letters that must be in words of scripts that learned languages use.
 LEAST_SHARE = 0.5
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps documents of which one learned language has half the letters at least; a null lang becomes that language. So texts without letters go, those
-    in scripts that no learned language uses, and mixtures in which no language has its half. Learns from the labelled rows of its input."""
+    """Keeps documents of which learned languages together may have half the letters at least; a null lang becomes that of most letters. So texts without
+    letters go, and those mostly in scripts that no learned language uses; mixtures of learned languages stay. Learns from the labelled rows of its input."""
     docs, names = common.apart(docs, USED)
     model = language_id.train(docs)
     if not model.langs:  # nothing to learn from: only texts without letters are rejected
         return common.restored(docs.where(F.col("text").rlike(r"\p{L}")), names)
-    found = language_id.predict(docs, model).where((F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SHARE))
+    found = language_id.predict(docs, model, learned=True).where((F.col("lang_pred") != "und") & (F.col("learned") >= LEAST_SHARE))
     return common.restored(found.withColumn("lang", F.coalesce("lang", "lang_pred")), names)
 
 
