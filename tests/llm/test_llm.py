@@ -655,6 +655,23 @@ def test_letters_of_unlearned_scripts_count_against_the_score(spark):
     assert abs(m.label("hello world приветмира")[1] - 0.5) < 1e-9 and m.label("hello world приветмира")[0] == "en"
 
 
+def test_language_stage_keeps_mixtures_and_rejects_unlearned_scripts(spark):
+    corpus_pipeline = pytest.importorskip("corpus_pipeline")
+    said = {"en": "hello world how are you today my friend ", "fr": "bonjour le monde comment allez vous aujourd hui ", "de": "guten morgen die welt wie geht es ihnen heute "}
+    other = "привет мир как дела сегодня "
+    mixed = "".join(said[g] * 12 for g in said)  # no language has half of it
+    mostly, partly = said["en"] * 2 + other * 20, said["en"] * 20 + other * 2
+    texts = [said[g] * 5 for g in said] * 4 + [mixed, other * 9, mostly, partly, "123 456", "", None]
+    df = docs(spark, texts, langs=["en", "fr", "de"] * 4 + [None] * 7)
+    m = language_id.train(df)
+    assert m.label(mixed)[1] < corpus_pipeline.LEAST_SHARE and m.judged([mixed])[0][3] == 1.0
+    got = {r["doc_id"]: r["lang"] for r in corpus_pipeline.language(spark, df, "").collect()}
+    at = {r["doc_id"]: r["text"] for r in df.collect()}
+    assert {at[i] for i in got} == {*(said[g] * 5 for g in said), mixed, partly} and None not in got.values()
+    p = {r["doc_id"]: r for r in language_id.predict(df.withColumn("learned", F.lit("own")), m).collect()}
+    assert all(r["learned"] == "own" for r in p.values())
+
+
 def test_language_edges(spark, odd):
     got = language_id.identify(odd.withColumn("score", F.lit(3))).collect()
     by = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in got}
