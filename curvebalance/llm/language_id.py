@@ -216,7 +216,7 @@ def train(labelled: DataFrame, limit: int = TRAIN) -> Model:
     total: dict[str, np.ndarray] = {}
     scripts: Counter = Counter()
     found = rows.repartition(8).mapInArrow(count, "lang string, counts binary, scripts array<string>, words array<long>")
-    for r in found.toLocalIterator():  # eight rows a language
+    for r in C.stash(found, "counts").toLocalIterator():  # eight rows a language, counted side by side and read a few at a time
         total[r["lang"]] = total.get(r["lang"], 0) + np.frombuffer(r["counts"], np.int64)
         for s, n in zip(r["scripts"], r["words"]):
             scripts[r["lang"], s] += n
