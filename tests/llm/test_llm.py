@@ -422,6 +422,59 @@ def test_webp_fixed_file():
         webp.decode(b"RIFF....WEBPVP8 ")
 
 
+def test_webp_images_side_by_side_are_as_one_by_one():
+    r = np.random.default_rng(3)
+    files = []
+    for h, w, colours in ((1, 1, 1), (9, 13, 2), (40, 64, 30), (64, 64, 256), (3, 200, 5)):
+        grey = r.integers(0, colours, (h, w)).astype(np.uint8)
+        grey[h // 2 :] = np.resize(grey.ravel()[: max(1, h * w // 7)], grey[h // 2 :].shape)
+        rgba = np.stack([grey, grey, grey, np.full_like(grey, 255)], 2)
+        files += [webp.encode(rgba, (2,)), webp.encode(rgba, (2,), references=False), webp.encode(rgba, (), 4), webp.encode(rgba, (2, 0), 0, True, 2)]
+        if colours <= 30:
+            files += [webp.encode(rgba, (3,)), webp.encode(r.integers(0, 256, (h, w, 4)).astype(np.uint8), (1,))]
+    for f, (p, w, h) in zip(files, webp.decode_many(files)):
+        assert (webp._samples(p, w, h) == webp.decode(f)).all()
+    assert webp.decode_many([]) == []
+
+
+@pytest.mark.parametrize("n", (64, 128, 4096, 4160, 12352))
+def test_webp_payloads_use_references_and_codes_of_their_own(n, monkeypatch):
+    monkeypatch.setattr(webp, "LANES", 3)
+    r = np.random.default_rng(n)
+    words = [bytes(r.integers(97, 123, k).astype(np.uint8)) for k in r.integers(1, 12, 300)]
+    prose = b" ".join(words[k] for k in r.integers(0, 300, n))[:n]
+    payloads = [bytes(n), prose, prose, r.integers(0, 256, n).astype(np.uint8).tobytes(), (b"abc" * n)[:n], bytes(range(256)) * (n // 256) + bytes(n % 256)]
+    media = [webp.store(x) for x in payloads]
+    assert [x.tobytes() for x in webp.load(media)] == payloads and media[1] == media[2]
+    assert all(len(m) == -(-n // webp.SEGMENT) for m in media)
+    for m, x in zip(media, payloads):
+        a = np.concatenate([webp.decode(f).reshape(-1, 4) for f in m])
+        assert a[:, 1].tobytes() == x and (a[:, 0] == a[:, 1]).all() and (a[:, 2] == a[:, 1]).all() and (a[:, 3] == 255).all()
+    if n >= 4096:
+        a = np.frombuffer(prose, np.uint8)[:4096]
+        start, length, d = webp._repeats(a)
+        assert len(start) and (length >= webp.LEAST).all() and (start[1:] >= (start + length)[:-1]).all()
+        assert all((a[p : p + k] == a[p - q : p - q + k]).all() for p, k, q in zip(start, length, d))
+        assert sum(map(len, media[1])) < 0.75 * n
+
+
+def test_webp_reference_before_the_image_raises():
+    w = webp.Writer()
+    webp._head(w, 64, 1)
+    w.put(0, 3)
+    codes = webp._put_code(w, [int(s in (0, 256 + 4)) for s in range(280)])
+    for s in (0, 0, 255):
+        w.put(0b101, 3)
+        w.put(s, 8)
+    webp._put_code(w, [1] + [0] * 39)
+    w.put(*codes[256 + 4])
+    f = webp.container(w.bytes() + bytes(8))
+    with pytest.raises(ValueError):
+        webp.decode(f)
+    with pytest.raises(ValueError):
+        webp.decode_many([f])
+
+
 def test_webp_columns(spark, odd):
     import hashlib
 
