@@ -444,7 +444,8 @@ def test_webp_payloads_use_references_and_codes_of_their_own(n, monkeypatch):
     words = [bytes(r.integers(97, 123, k).astype(np.uint8)) for k in r.integers(1, 12, 300)]
     prose = b" ".join(words[k] for k in r.integers(0, 300, n))[:n]
     payloads = [bytes(n), prose, prose, r.integers(0, 256, n).astype(np.uint8).tobytes(), (b"abc" * n)[:n], bytes(range(256)) * (n // 256) + bytes(n % 256)]
-    media = [webp.store(x) for x in payloads]
+    media = webp.store(payloads)
+    assert media == [webp.store([x])[0] for x in payloads] and webp.store([]) == []
     assert [x.tobytes() for x in webp.load(media)] == payloads and media[1] == media[2]
     assert all(len(m) == -(-n // webp.SEGMENT) for m in media)
     for m, x in zip(media, payloads):
@@ -452,7 +453,7 @@ def test_webp_payloads_use_references_and_codes_of_their_own(n, monkeypatch):
         assert a[:, 1].tobytes() == x and (a[:, 0] == a[:, 1]).all() and (a[:, 2] == a[:, 1]).all() and (a[:, 3] == 255).all()
     if n >= 4096:
         a = np.frombuffer(prose, np.uint8)[:4096]
-        start, length, d = webp._repeats(a)
+        start, length, d = webp._repeats(a, np.zeros(4096, np.int64), np.zeros(1, np.int64))
         assert len(start) and (length >= webp.LEAST).all() and (start[1:] >= (start + length)[:-1]).all()
         assert all((a[p : p + k] == a[p - q : p - q + k]).all() for p, k, q in zip(start, length, d))
         assert sum(map(len, media[1])) < 0.75 * n
