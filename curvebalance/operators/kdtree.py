@@ -211,7 +211,8 @@ def build_top(points: DataFrame, dims: int, cfg: TreeConfig, bits: int = 5) -> T
     else:
         rows = points.where(in_sample(F.col("uid"), cfg.sample_frac)).select(*[f"c{i}" for i in range(dims)], "w").collect()
         c = np.array([r[:-1] for r in rows], float).reshape(-1, dims)
-        n, w, grid = np.ones(len(rows), np.int64), np.array([r[-1] for r in rows], np.int64), 0
+        each = max(1, round(1 / cfg.sample_frac))  # points a sampled one stands for, so that cells too large for a task are seen
+        n, w, grid = np.full(len(rows), each, np.int64), np.array([r[-1] for r in rows], np.int64) * each, 0
     inner: dict[int, tuple[int, float]] = {}
     live = {1: np.arange(len(n))}
     while len(live) < cfg.k1:

@@ -139,5 +139,5 @@ def concurrent_trees(trees: list[tuple[int, list[int]]]) -> list[list[int]]:
 
 def intervals_table(coo: DataFrame, n: int, parts: int, side: str = "x") -> DataFrame:
     """part, side, lo, hi, owned: each part's own chunk and its required runs."""
-    own = coo.sparkSession.range(parts).select(F.col("id").cast("int").alias("part"), F.lit(side).alias("side"), F.expr(f"-((-id * {n}L) div {parts}L)").alias("lo"), F.expr(f"-((-(id + 1) * {n}L) div {parts}L) - 1").alias("hi"), F.lit(True).alias("owned"))
+    own = coo.sparkSession.range(parts).select(F.col("id").cast("int").alias("part"), F.lit(side).alias("side"), F.expr(f"(id * {n}L + {parts - 1}L) div {parts}L").alias("lo"), F.expr(f"((id + 1) * {n}L + {parts - 1}L) div {parts}L - 1").alias("hi"), F.lit(True).alias("owned"))
     return own.unionByName(required_intervals(coo, side).select("part", F.lit(side).alias("side"), "lo", "hi", F.lit(False).alias("owned")))

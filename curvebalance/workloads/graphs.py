@@ -161,6 +161,13 @@ def _(spark, d):
     return spmv.required_intervals(_sliced(spark, d)[0])
 
 
+@query("spmv_intervals_owned", f"WITH {_S}, d AS (SELECT DISTINCT part, col FROM s), g AS (SELECT *, col - row_number() OVER (PARTITION BY part ORDER BY col) AS run FROM d), n AS (SELECT max(col) + 1 AS n FROM m) SELECT CAST(i AS INTEGER) AS part, 'x' AS side, (i * n + {PARTS} - 1) // {PARTS} AS lo, ((i + 1) * n + {PARTS} - 1) // {PARTS} - 1 AS hi, true AS owned FROM n, range({PARTS}) t(i) UNION ALL SELECT part, 'x', min(col), max(col), false FROM g GROUP BY part, run")
+def _(spark, d):
+    """Each part's own chunk of the vector next to the runs it needs."""
+    s, n = _sliced(spark, d)
+    return spmv.intervals_table(s, n, PARTS)
+
+
 @query("spmv_dependents", f"WITH {_S} SELECT part, count(*) AS n FROM ({_DEP}) WHERE chunk <> part GROUP BY 1")
 def _(spark, d):
     s, n = _sliced(spark, d)

@@ -460,3 +460,72 @@ def test_larger_caches_fault_less(spark, sf):
     rows = {r["capacity"]: r for r in QUERIES["page_cache"](spark, sf).collect()}
     n = spark.read.parquet(f"{sf}/lineitem.parquet").count()
     assert rows[4]["reads"] == rows[64]["reads"] == n and 0 < rows[64]["faults"] <= rows[4]["faults"] <= n
+
+
+def _cloud(spark, n, seed=5):
+    c = np.random.default_rng(seed).random((n, 2))
+    return points(spark, [(i, float(x), float(y), 1) for i, (x, y) in enumerate(c)], 2)
+
+
+def test_cyclic_midpoint_paths_are_cells_of_the_unit_box(spark):
+    rows = kdtree.build(_cloud(spark, 900), 2, TreeConfig.of("midpoint", dim_rule="cyclic", box="cell", bucket_size=20, k1=8)).members.collect()
+    assert sorted(r["uid"] for r in rows) == list(range(900))
+    leaves = {}
+    for r in rows:
+        lo, hi = [0.0, 0.0], [1.0, 1.0]
+        for k, bit in enumerate(bin(r["path"])[3:]):
+            m = (lo[k % 2] + hi[k % 2]) / 2
+            (lo if bit == "1" else hi)[k % 2] = m
+        assert all(lo[i] <= r[f"c{i}"] <= hi[i] for i in range(2)) and r["depth"] == len(bin(r["path"])) - 3
+        leaves[r["path"]] = leaves.get(r["path"], 0) + 1
+    assert max(leaves.values()) <= 20
+    assert all(p >> k not in leaves for p in leaves for k in range(1, p.bit_length()))
+
+
+@pytest.mark.parametrize("mode", ["histogram", "sample"])
+def test_other_top_trees_keep_points_and_bound_leaves(spark, mode):
+    rows = kdtree.build(_cloud(spark, 900), 2, TreeConfig.of("median_sort", bucket_size=20, k1=8, top_mode=mode, sample_frac=0.3)).members.collect()
+    assert sorted(r["uid"] for r in rows) == list(range(900))
+    leaves = {}
+    for r in rows:
+        leaves.setdefault(r["path"], []).append(r["top_id"])
+    assert max(map(len, leaves.values())) <= 20 and len({t for x in leaves.values() for t in x}) > 1
+    assert all(p >> k not in leaves for p in leaves for k in range(1, p.bit_length()))
+
+
+def test_queries_are_binned_by_top_cell(spark):
+    t = kdtree.build(_cloud(spark, 400), 2, TreeConfig.of("midpoint", bucket_size=20, k1=8))
+    b = locate.bin_queries(_cloud(spark, 300, 6), t.top).select("uid", "top_id", F.spark_partition_id().alias("task")).collect()
+    assert sorted(r["uid"] for r in b) == list(range(300))
+    assert len({(r["top_id"], r["task"]) for r in b}) == len({r["top_id"] for r in b})
+
+
+def test_cells_are_sliced_in_order():
+    assert slicing.slice_cells([(4, 1), (5, 1), (6, 1), (7, 1)], 2) == {4: 0, 5: 0, 6: 1, 7: 1}
+    assert slicing.slice_cells([(1, 9), (2, 1), (3, 2)], 3) == {1: 0, 2: 2, 3: 2}
+    assert slicing.slice_cells([], 3) == {} and slicing.slice_cells([(1, 0)], 3) == {1: 0}
+
+
+def test_concurrent_trees_share_no_part():
+    trees = [(0, [1, 2]), (1, [3]), (2, [4]), (3, [4]), (5, [])]
+    rounds = spmv.concurrent_trees(trees)
+    assert sorted(o for r in rounds for o in r) == [0, 1, 2, 3, 5]
+    leaves = dict(trees)
+    for r in rounds:
+        used = [p for o in r for p in {o, *leaves[o]}]
+        assert len(used) == len(set(used))
+    assert rounds == [[0, 3, 5], [1, 2]]
+
+
+def test_tree_slices_of_a_matrix_have_equal_loads(spark):
+    r = np.random.default_rng(8)
+    cells = sorted({(int(a), int(b)) for a, b in r.integers(0, 40, (500, 2))})
+    coo = spark.createDataFrame([(a, b, 1) for a, b in cells], "row long, col long, val long")
+    got = graph.tree_partition(coo, 6, TreeConfig.of("midpoint", bucket_size=16, k1=4)).collect()
+    assert sorted((x["row"], x["col"]) for x in got) == cells
+    n = np.bincount([x["part"] for x in got], minlength=6)
+    assert n.max() - n.min() <= 1
+
+
+def test_intervals_with_owned_chunks(spark, sf):
+    assert oracle.compare(QUERIES["spmv_intervals_owned"](spark, sf), ORACLE_SQL["spmv_intervals_owned"], oracle.connect(sf)) is None

@@ -37,3 +37,17 @@ def test_bucket_watch_reports_splits(spark):
     s = spark.readStream.schema("cell long, op string").parquet(f"{d}/in")
     got = {r["cell"]: (r["n"], r["event"]) for r in maintain.drain(maintain.bucket_watch(s, 4), "watch", "update", f"{d}/ckpt").collect()}
     assert got == {1: (9, "split"), 2: (3, "none")}
+
+
+def test_repeated_operations_count_once(spark):
+    d = tempfile.mkdtemp()
+    rows = [(1, "2020-01-01 00:00:00"), (1, "2020-01-01 00:10:00"), (2, "2020-01-01 00:05:00"), (2, "2020-01-01 00:05:00")]
+    spark.createDataFrame(rows, "op_id long, op_ts string").select("op_id", F.col("op_ts").cast("timestamp")).coalesce(1).write.parquet(f"{d}/in")
+    s = spark.readStream.schema("op_id long, op_ts timestamp").parquet(f"{d}/in")
+    got = maintain.drain(maintain.deduplicated(s), "once", "append", f"{d}/ckpt").collect()
+    assert sorted(r["op_id"] for r in got) == [1, 2]
+
+
+def test_imbalance_over_time(spark):
+    load = spark.createDataFrame([(1, 0, 5), (2, 0, 3), (1, 60, 4)], "cell long, start_us long, n long")
+    assert sorted(map(tuple, windows.imbalance_over_time(load).collect())) == [(0, 5, 3), (60, 4, 4)]
