@@ -287,6 +287,39 @@ def test_exact_queries_leave_none_out(spark, sf, monkeypatch):
         assert oracle.compare(QUERIES[name](spark, sf), ORACLE_SQL[name], con) is None
 
 
+@pytest.mark.parametrize("exclude_self", [False, True])
+def test_search_prunes_and_equals_brute_force(monkeypatch, exclude_self):
+    r = np.random.default_rng(5)
+    c = np.round(r.random((6000, 3)) ** 2, 2)  # many equal distances
+    uid, ask = np.arange(6000), np.arange(0, 6000, 60)
+    by, starts = np.argsort(knn._codes(c), kind="stable"), np.arange(0, 6000, 32)
+    measured, squares = [], knn._sum_squares
+    monkeypatch.setattr(knn, "_sum_squares", lambda x: measured.append(len(x)) or squares(x))
+    need = 4 if exclude_self else 3
+    qi, at, d2 = knn._nearest(uid[by], c[by], starts, knn._box_levels(c[by], starts), ask, c[ask], np.full(100, np.inf), 3, need, exclude_self)
+    assert sum(measured) < 6000 * 100 / 5
+    for i, q in enumerate(ask):
+        far = squares(c[q] - c)
+        order = [u for u in np.lexsort((uid, far)) if not (exclude_self and u == q)][:3]
+        assert uid[by][at[qi == i]].tolist() == order and d2[qi == i].tolist() == far[order].tolist()
+
+
+def test_subtree_search_of_copies_meets_cells_not_pairs(spark):
+    p = datagen.uniform(spark, 900, 2)
+    p = p.unionByName(p.where("uid % 3 = 0")).cache()  # equal rows
+    tree = kdtree.build(p, 2, TreeConfig.of("midpoint", bucket_size=8, k1=8))
+    found = knn.by_subtree(tree, p.where("uid % 45 = 0").withColumnRenamed("uid", "qid"), 5, 0.08)
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "CoGroup" in plan  # points and queries meet in the cell's task; no table of pairs is made
+    rows = [(x["uid"], x["c0"], x["c1"]) for x in p.collect()]
+    got = [(x["qid"], x["rn"], x["uid"]) for x in found.orderBy("qid", "rn").collect()]
+    want = []
+    for q, x, y in {r for r in rows if r[0] % 45 == 0}:
+        near = sorted(((x - a) * (x - a) + (y - b) * (y - b), u) for u, a, b in rows for _ in range(2 - bool(q % 3)))
+        want += [(q, i + 1, u) for i, (d, u) in enumerate([n for n in near if n[0] <= 0.08 * 0.08][:5])]
+    assert got == sorted(want)
+
+
 def test_traces_have_all_stated_steps(spark, sf, monkeypatch):
     t = QUERIES["dyn_trace"](spark, sf).collect()
     assert len(t) == 10 and sum(x["adjusted"] for x in t) == 2 and all(x["n_ops"] for x in t)
