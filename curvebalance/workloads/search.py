@@ -95,8 +95,8 @@ def _(spark, d):
 
 @query("knn_exact", f"WITH pts AS ({_BUCKETS}) {_EXACT}")
 def _(spark, d):
-    k = _bucketed(spark, d)
-    return knn.exact(k, _asked(k), 3, K)
+    p = P.unit(P.lineitem(spark, d), 3)
+    return knn.exact(p, _asked(p), 3, K)
 
 
 def _recall_sql(c: int) -> str:

@@ -320,6 +320,21 @@ def test_subtree_search_of_copies_meets_cells_not_pairs(spark):
     assert got == sorted(want)
 
 
+def test_exact_search_takes_one_pass_and_counts_copies(spark, monkeypatch):
+    monkeypatch.setattr(knn, "CHUNK", 100)
+    p = datagen.uniform(spark, 600, 3)
+    p = p.unionByName(p.where("uid % 2 = 0")).cache()
+    q = p.where("uid % 20 = 4").withColumnRenamed("uid", "qid").unionByName(p.where("uid = 7").select((-F.col("uid")).alias("qid"), (F.col("c0") - 3).alias("c0"), "c1", (F.col("c2") + 2).alias("c2"), "w"))
+    monkeypatch.setattr(knn, "EXACT_QUERIES", 3)
+    found = knn.exact(p, q, 3, 6)
+    assert "CoGroup" in found._jdf.queryExecution().optimizedPlan().toString()  # not a pass of all points for each block of queries
+    got = [(x["qid"], x["rn"], x["uid"], x["d2"]) for x in found.orderBy("qid", "rn").collect()]
+    d2 = "(q.c0 - p.c0) * (q.c0 - p.c0) + (q.c1 - p.c1) * (q.c1 - p.c1) + (q.c2 - p.c2) * (q.c2 - p.c2)"
+    p.createOrReplaceTempView("_knn_p"), q.createOrReplaceTempView("_knn_q")
+    want = spark.sql(f"SELECT qid, rn, uid, round(d2, 12) FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY d2, uid) AS rn FROM (SELECT qid, uid, {d2} AS d2 FROM _knn_q q CROSS JOIN _knn_p p)) WHERE rn <= 6 ORDER BY qid, rn").collect()
+    assert got == [tuple(x) for x in want]
+
+
 def test_traces_have_all_stated_steps(spark, sf, monkeypatch):
     t = QUERIES["dyn_trace"](spark, sf).collect()
     assert len(t) == 10 and sum(x["adjusted"] for x in t) == 2 and all(x["n_ops"] for x in t)
