@@ -108,10 +108,11 @@ def _(spark, d):
     """Recall rises with the number of buckets searched on each side."""
     k = _bucketed(spark, d)
     q = tables.snapshot(_asked(k).select("qid", "c0", "c1", "c2", "bucket"), "queries")
-    e = knn.exact(k, q, 3, K)
+    near = tables.snapshot(knn.by_curves(k, q, 3, K, (0, 1, 2)), "near")
+    e = tables.snapshot(knn.exact(P.unit(P.lineitem(spark, d), 3), q, 3, K), "exact")
     out = None
     for c in (0, 1, 2):
-        r = metrics.knn_recall(knn.by_curve(k, q, 3, K, c), e, K).select(F.lit(c).alias("cutoff"), "k", "recall")
+        r = metrics.knn_recall(near.where(F.col("cutoff") == c), e, K).select(F.lit(c).alias("cutoff"), "k", "recall")
         out = r if out is None else out.unionByName(r)
     return out
 

@@ -335,6 +335,19 @@ def test_exact_search_takes_one_pass_and_counts_copies(spark, monkeypatch):
     assert got == [tuple(x) for x in want]
 
 
+def test_cutoffs_by_one_join_equal_each_alone(spark):
+    k = knn.buckets(curves.keyed(datagen.uniform(spark, 500, 2), 2, 10, box=[(0.0, 1.0)] * 2), 16).cache()
+    q = k.where("uid % 25 = 0").withColumnRenamed("uid", "qid").select("qid", "c0", "c1", "bucket")
+    q = q.unionByName(q.where("qid % 2 = 0").withColumn("bucket", F.col("bucket") + 1)).cache()  # one id in two buckets
+    rows = lambda df: sorted(map(tuple, df.select("qid", "rn", "uid", "d2").collect()))
+    every = knn.by_curves(k, q, 2, 4, (0, 1, 3)).cache()
+    for c in (0, 1, 3):
+        j = q.alias("q").join(k.alias("p"), F.abs(F.col("q.bucket") - F.col("p.bucket")) <= c)
+        d2 = sum(((F.col(f"q.c{i}") - F.col(f"p.c{i}")) * (F.col(f"q.c{i}") - F.col(f"p.c{i}")) for i in (1,)), (F.col("q.c0") - F.col("p.c0")) * (F.col("q.c0") - F.col("p.c0")))
+        want = knn._rank(j.select("qid", "uid", d2.alias("d2")), 4)
+        assert rows(every.where(F.col("cutoff") == c)) == rows(want) == rows(knn.by_curve(k, q, 2, 4, c))
+
+
 def test_traces_have_all_stated_steps(spark, sf, monkeypatch):
     t = QUERIES["dyn_trace"](spark, sf).collect()
     assert len(t) == 10 and sum(x["adjusted"] for x in t) == 2 and all(x["n_ops"] for x in t)
