@@ -481,6 +481,28 @@ def test_dynamic_run_keeps_points_and_cuts_again(spark, mode):
     assert [(t["inserted"], t["deleted"]) for t in trace] == [(100, 50)] * 3 and trace[-1]["load_max"] == max(loads)
 
 
+def test_policies_cut_one_order_again_without_writing_points(spark, monkeypatch):
+    from curvebalance.plans import tables
+
+    monkeypatch.setattr(amr, "BLOCK_ROWS", 4)
+    monkeypatch.setattr(amr, "BLOCKS", 8)
+    p = datagen.uniform(spark, 300, 2)
+    p = amr.ordered(curves.keyed(p.unionByName(p.where("uid < 40")), 2, 8, box=[(0.0, 1.0)] * 2), 2)  # equal rows
+    rows = sorted(map(tuple, p.select("rank", "c0", "c1").collect()))
+    assert [r[0] for r in rows] == list(range(340))
+    monkeypatch.setattr(tables, "snapshot", lambda *a: pytest.fail("a step writes the points"))
+    sums = amr.block_sums(p, 2, range(4), 4, 0.4)
+    for policy, known in (("always", None), ("amortised", sums), ("never", sums)):
+        cut = None
+        for s, x in enumerate(amr.run(p, 2, 5, 4, 0.4, policy, balance_cost=0.2, sums=known)):
+            w = [8 if (a - s / 3) ** 2 + (b - s / 3) ** 2 <= 0.4 * 0.4 else 1 for _, a, b in rows]
+            slices = [sum(w[:i]) * 5 // sum(w) for i in range(340)]
+            cut = cut or slices
+            assert x["loads"] == [sum(y for y, c in zip(w, cut) if c == k) for k in range(5)]
+            assert x["cost"] == max(x["loads"]) / (sum(w) / 5)
+            cut = slices if x["rebalanced"] else cut
+
+
 def test_mesh_loop_refines_coarsens_and_smooths(spark):
     from curvebalance.operators import amr
 
