@@ -20,3 +20,23 @@ def test_same_rows(spark, sf, con, name):
 
 def test_every_sql_has_a_query():
     assert set(ORACLE_SQL) <= set(QUERIES)
+
+
+@pytest.fixture(scope="module")
+def copies(sf, tmp_path_factory):
+    """The tables with three copies of line items, two of every fourth: their keys differ, their ids of points do not."""
+    import duckdb
+
+    to = tmp_path_factory.mktemp("copies")
+    shifted = "SELECT * REPLACE (l_orderkey + i * 100000 AS l_orderkey, 1 + (l_partkey + i * 7) % 200 AS l_partkey) FROM"
+    duckdb.execute(f"COPY ({shifted} '{sf}/lineitem.parquet', range(3) t(i) WHERE i < 2 OR l_orderkey % 4 > 0) TO '{to}/lineitem.parquet'")
+    duckdb.execute(f"COPY (SELECT * FROM '{sf}/part.parquet') TO '{to}/part.parquet'")
+    return str(to)
+
+
+EQUAL_IDS = ["kd_midpoint_lineitem", "kd_median_lineitem", "kd_10d", "kd_nodes", "kd_leaf_order"]
+
+
+@pytest.mark.parametrize("name", EQUAL_IDS)
+def test_same_rows_where_points_share_an_id(spark, copies, name):
+    assert oracle.compare(QUERIES[name](spark, copies), ORACLE_SQL[name], oracle.connect(copies)) is None
