@@ -34,7 +34,7 @@ def copies(sf, tmp_path_factory):
     return str(to)
 
 
-EQUAL_IDS = ["kd_midpoint_lineitem", "kd_median_lineitem", "kd_10d", "kd_nodes", "kd_leaf_order"]
+EQUAL_IDS = ["kd_midpoint_lineitem", "kd_median_lineitem", "kd_10d", "kd_nodes", "kd_leaf_order", "dyn_adjust", "dyn_adjust_tasks", "dyn_insert_delete", "dyn_points_10d", "dyn_table_3d"]
 
 
 @pytest.mark.parametrize("name", EQUAL_IDS)
