@@ -40,3 +40,14 @@ EQUAL_IDS = ["kd_midpoint_lineitem", "kd_median_lineitem", "kd_10d", "kd_nodes",
 @pytest.mark.parametrize("name", EQUAL_IDS)
 def test_same_rows_where_points_share_an_id(spark, copies, name):
     assert oracle.compare(QUERIES[name](spark, copies), ORACLE_SQL[name], oracle.connect(copies)) is None
+
+
+FROM_TABLES = ["amr_stencil", "curve_steps", "hilbert_mesh", "op_recursive", "op_table_function", "surface_to_volume"]
+
+
+@pytest.mark.parametrize("name", FROM_TABLES)
+def test_reads_a_given_table(spark, sf, con, name):
+    found = QUERIES[name](spark, sf)
+    assert "parquet" in found._jdf.queryExecution().executedPlan().toString().lower()
+    assert any(t in ORACLE_SQL[name] for t in ("lineitem", "orders"))
+    assert oracle.compare(found, ORACLE_SQL[name], con) is None
