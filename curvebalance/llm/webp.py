@@ -1,12 +1,15 @@
 """Lossless WebP: a decoder of the whole published format, and encoders.
 
 The decoder reads prefix codes (simple and normal), meta prefix codes, back-references, the colour cache, and inverts the predictor,
-cross-colour, subtract-green and palette transforms. `decode` takes one file and goes symbol by symbol. `decode_many` takes many: images with one
-group of codes, no colour cache and one symbol each for red, blue and alpha are read side by side, a symbol of each in a step of array operations,
+cross-colour, subtract-green and palette transforms. `decode` takes one file and goes symbol by symbol. `decode_many` takes many: images without
+colour cache and with one symbol each for red, blue and alpha are read side by side, a symbol of each in a step of array operations,
 and their back-references are followed together afterwards; all others go through `decode`.
 
-Payloads are kept as 8-bit grey samples, `SEGMENT` bytes an image, so a payload of any length is a list of small images. They are stored with
-the subtract-green transform, back-references and prefix codes made for the image.
+Payloads are kept as 8-bit grey samples, `SEGMENT` bytes an image, so a payload of any length is a list of small images. Each image gets the
+transforms that its samples ask for (subtract-green alone, a predictor after it, or a palette with several pixels bundled in one), back-references,
+one or two groups of prefix codes, and Huffman codes for the symbols as well as for the lengths of the codes. Two means of the format can't shorten
+a grey image: once red, blue and alpha have one symbol each, an entry of the colour cache only splits a green symbol in two, and after subtract-green a
+cross-colour transform has nothing left to take away.
 """
 
 from __future__ import annotations
@@ -32,8 +35,10 @@ LANES = 2048
 TOGETHER = 512
 #: Fewest bytes a back-reference of a payload's image stands for.
 LEAST = 5
-#: Longest code in a payload's image: one symbol of `SEGMENT` needs no longer one.
+#: Longest code in a payload's image, which bounds the tables of `decode_many`.
 LONGEST = 12
+#: Rows (as a power of two) of the blocks that share a group of codes.
+BLOCK = 4
 #: Fixed values of the format: the order in which the lengths of the code-length code stand.
 LENGTH_ORDER = (17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15)
 PREDICTOR, CROSS_COLOUR, SUBTRACT_GREEN, PALETTE = range(4)
@@ -96,7 +101,7 @@ def _simple(size: int, one: int, other: int) -> Code:
     return Code(lengths)
 
 
-@lru_cache(1024)
+@lru_cache(4096)
 def _lengths_code(count: int, bits: int) -> Code:
     """The code of code lengths, whose own lengths have three bits each."""
     inner = np.zeros(19, np.int64)
@@ -222,27 +227,35 @@ def _lookup(code: Code) -> np.ndarray:
     return np.repeat(code.symbols[order] << 4 | n[order], 1 << code.width - n[order])[_reversed(code.width)].astype(np.uint16)
 
 
-def _side_by_side(lanes: list[tuple[Bits, int, int, list[Code]]]) -> list[np.ndarray]:
-    """ARGB pixels of images (bits, width, pixels, codes) of which green and distances alone have codes of more than one symbol."""
-    streams = [b.data[b.at >> 3 :] for b, _, _, _ in lanes]
+def _side_by_side(lanes: list[tuple[Bits, int, int, list[list[Code]], list[list[int]] | None, int]]) -> list[np.ndarray]:
+    """ARGB pixels of images (bits, width, pixels, groups of codes, meta codes and their shift) of which green and distances alone have codes of more than
+    one symbol. All have meta codes, or none."""
+    streams = [x[0].data[x[0].at >> 3 :] for x in lanes]
     raw = np.frombuffer(b"".join(streams) + bytes(8), np.uint8)
     window = raw[:-7].astype(np.int64)  # the 56 bits from each byte on
     for k in range(1, 7):
         window |= raw[k : k - 7].astype(np.int64) << 8 * k
-    at = 8 * np.cumsum([0] + [len(x) for x in streams[:-1]]) + [b.at & 7 for b, _, _, _ in lanes]
+    at = 8 * np.cumsum([0] + [len(x) for x in streams[:-1]]) + [x[0].at & 7 for x in lanes]
     last = len(window) - 1
     tables, places, size = [], {}, 0
     firsts = []
-    for _, _, _, group in lanes:
-        for c in (group[0], group[4]):
+    for g in (g for x in lanes for g in x[3]):
+        for c in (g[0], g[4]):
             if id(c) not in places:
                 places[id(c)] = size
                 tables.append(_lookup(c))
                 size += len(tables[-1])
-            firsts.append(places[id(c)])
+            firsts.append((places[id(c)], (1 << c.width) - 1))
     table = np.concatenate(tables)
-    green, far = np.array(firsts).reshape(-1, 2).T
-    green_mask, far_mask = (np.array([(1 << g[k].width) - 1 for _, _, _, g in lanes]) for k in (0, 4))
+    of_group = np.array(firsts).reshape(-1, 4).T  # first place and mask of green, of distances
+    group = np.cumsum([0] + [len(x[3]) for x in lanes[:-1]])
+    green, green_mask, far, far_mask = of_group[:, group]
+    meta = None
+    if lanes[0][4] is not None:
+        meta = np.concatenate([np.ravel(x[4]) + g for x, g in zip(lanes, group.tolist())])
+        across = np.array([len(x[4][0]) for x in lanes])
+        block = np.cumsum([0] + [len(x[4]) * len(x[4][0]) for x in lanes[:-1]])
+        shift = np.array([x[5] for x in lanes])
     width, count = (np.array([x[k] for x in lanes]) for k in (1, 2))
     end = np.cumsum(count)
     begin = end - count
@@ -252,6 +265,9 @@ def _side_by_side(lanes: list[tuple[Bits, int, int, list[Code]]]) -> list[np.nda
     live = np.arange(len(lanes))
     i = begin.copy()
     while len(live):
+        if meta is not None:
+            y, x = np.divmod(i - begin[live], width)
+            green, green_mask, far, far_mask = of_group[:, meta[block[live] + (y >> shift[live]) * across[live] + (x >> shift[live])]]
         w = window[at >> 3] >> (at & 7)
         e = table[green + (w & green_mask)].astype(np.int64)
         s, n = e >> 4, e & 15
@@ -290,7 +306,7 @@ def _side_by_side(lanes: list[tuple[Bits, int, int, list[Code]]]) -> list[np.nda
             source[to] = new
             to = to[moved]
         value = value[source]
-    same = [int(g[1].symbols[0]) << 16 | int(g[2].symbols[0]) | int(g[3].symbols[0]) << 24 for _, _, _, g in lanes]
+    same = [int(g[1].symbols[0]) << 16 | int(g[2].symbols[0]) | int(g[3].symbols[0]) << 24 for g in (x[3][0] for x in lanes)]
     return np.split(value.astype(np.uint32) << np.uint32(8) | np.repeat(np.array(same, np.uint32), count), end[:-1])
 
 
@@ -360,6 +376,17 @@ def _colours(image: np.ndarray, shift: int, width: int, height: int, pixels: np.
     return pixels & np.uint32(0xFF00FF00) | new.astype(np.uint32) << np.uint32(16) | low.astype(np.uint32)
 
 
+def _sums(p: np.ndarray, height: int, left: bool) -> np.ndarray:
+    """Pixels from what a predictor that is the left neighbour everywhere, or the top one, has left of them."""
+    q = p.reshape(height, -1, 1).view(np.uint8).copy()  # a channel each
+    q[0, 0] += np.array([0xFF000000], np.uint32).view(np.uint8)
+    if left:
+        q[:, 0] = np.cumsum(q[:, 0], 0, dtype=np.uint8)
+    else:
+        q[0] = np.cumsum(q[0], 0, dtype=np.uint8)
+    return np.cumsum(q, 1 if left else 0, dtype=np.uint8).view(np.uint32).ravel()
+
+
 def _open(data: bytes) -> tuple[Bits, int, int, list, int]:
     """Bits of a lossless WebP file up to its main image, width and height, transforms to undo, and the main image's width."""
     if data[:4] != b"RIFF" or data[8:12] != b"WEBP":
@@ -402,7 +429,11 @@ def _undo(p: np.ndarray, height: int, todo: list) -> np.ndarray:
     """ARGB pixels before the transforms."""
     for kind, across, shift, image in reversed(todo):
         if kind == PREDICTOR:
-            modes, q = _modes(image, -(-across >> shift)), p.tolist()
+            modes = _modes(image, -(-across >> shift))
+            if {m for row in modes for m in row} in ({1}, {2}):
+                p = _sums(p, height, modes[0][0] == 1)
+                continue
+            q = p.tolist()
             for i in range(len(q)):
                 q[i] = _add(q[i], _predict(modes, shift, q, i, across))
             p = np.array(q, np.uint32)
@@ -434,17 +465,18 @@ def decode_many(files: list[bytes]) -> list[tuple[np.ndarray, int, int]]:
     """ARGB pixels, width and height of each of some lossless WebP files."""
     out: list = [None] * len(files)
     for first in range(0, len(files), LANES):
-        lanes, rest = [], []
+        lanes, rest = ([], []), ([], [])
         for k in range(first, min(first + LANES, len(files))):
             b, width, height, todo, across = _open(files[k])
-            codes = cache_bits, _, _, groups = _read_codes(b, across, height, True)
-            if cache_bits or len(groups) > 1 or any(c.width for c in groups[0][1:4]):
+            codes = cache_bits, meta, shift, groups = _read_codes(b, across, height, True)
+            if cache_bits or any(c.width or c.symbols[0] != d.symbols[0] for g in groups for c, d in zip(g[1:4], groups[0][1:4])):
                 out[k] = _undo(_read_symbols(b, across, across * height, *codes), height, todo), width, height
             else:
-                lanes.append((b, across, across * height, groups[0]))
-                rest.append((k, width, height, todo))
-        for (k, width, height, todo), p in zip(rest, _side_by_side(lanes) if lanes else ()):
-            out[k] = _undo(p, height, todo), width, height
+                lanes[meta is not None].append((b, across, across * height, groups, meta, shift))
+                rest[meta is not None].append((k, width, height, todo))
+        for some, those in zip(lanes, rest):
+            for (k, width, height, todo), p in zip(those, _side_by_side(some) if some else ()):
+                out[k] = _undo(p, height, todo), width, height
     return out
 
 
@@ -723,7 +755,7 @@ def _value_symbols(most: int) -> np.ndarray:
     return np.array([_prefix(max(v, 1)) for v in range(most + 1)]).T
 
 
-@lru_cache(2)
+@lru_cache(4)
 def _distance_codes(width: int, most: int) -> np.ndarray:
     """The number that stands for a distance: its place among the short ones, or 120 more than itself."""
     out = np.arange(most + 1) + 120
@@ -732,71 +764,196 @@ def _distance_codes(width: int, most: int) -> np.ndarray:
     return out
 
 
-def _complete(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Lengths of complete prefix codes of at least two symbols, one code a row, and the codes, turned around."""
-    n = np.zeros_like(counts)
-    used = counts > 0
-    share = counts.sum(1, keepdims=True) / np.maximum(counts, 1)
-    n[used] = np.maximum(np.ceil(np.log2(share[used])), 1)
-    order = np.argsort(np.where(used, -(counts << n), 1), 1, kind="stable")  # those rounded up most first
-    m = np.take_along_axis(n, order, 1)
-    left = (1 << LONGEST) - np.where(m, 1 << LONGEST - m, 0).sum(1)
-    while left.any():
-        for j in range(int(used.sum(1).max())):
-            room = 1 << LONGEST - m[:, j]
-            shorter = (m[:, j] > 1) & (room <= left)
-            m[:, j] -= shorter
-            left -= room * shorter
-    np.put_along_axis(n, order, m, 1)
+def _huffman(counts: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Huffman lengths of prefix codes, one code a row, and the codes, turned around. Codes get two symbols at least; in those with a length above `most`
+    small counts are raised until none is."""
+    few = np.flatnonzero((counts > 0).sum(1) < 2)
+    if len(few):
+        counts = counts.copy()
+        for s in (0, 1):
+            counts[few, s] += (counts[few] > 0).sum(1) < 2
+            few = few[(counts[few] > 0).sum(1) < 2]
+    n = _depths(counts)
+    floor = 1
+    while len(deep := np.flatnonzero(n.max(1, initial=0) > most)):
+        floor *= 2
+        n[deep] = _depths(np.where(counts[deep], np.maximum(counts[deep], floor), 0))
     order = np.argsort(np.where(n, n, 99), 1, kind="stable")
     m = np.take_along_axis(n, order, 1)
-    room = np.where(m, 1 << LONGEST - m, 0)
+    room = np.where(m, 1 << most - m, 0)
     codes = np.zeros_like(n)
-    np.put_along_axis(codes, order, _reversed(LONGEST)[np.cumsum(room, 1) - room & (1 << LONGEST) - 1], 1)
+    np.put_along_axis(codes, order, _reversed(most)[np.cumsum(room, 1) - room & (1 << most) - 1], 1)
     return n, codes
 
 
-#: The code of code lengths in a payload's image has four bits for each of these.
-INNER = [*range(LONGEST + 1), 16, 17, 18]
+def _depths(counts: np.ndarray) -> np.ndarray:
+    """Depth of each symbol (0 for unused ones) in the Huffman tree of each row, which has two used symbols at least; a step joins two nodes in all rows."""
+    k, size = counts.shape
+    used = (counts > 0).sum(1)
+    rows = np.argsort(-used, kind="stable")  # those with most symbols first, so that the rows of a step are the first ones
+    used = used[rows]
+    order = np.argsort(np.where(counts[rows] > 0, counts[rows], 1 << 40), 1, kind="stable")
+    size += 1  # a place behind the leaves, and behind the nodes, that is never taken
+    weight = np.full((k, 2 * size), 1 << 40)
+    weight[:, : size - 1] = np.take_along_axis(counts[rows], order, 1)
+    weight[:, :size][np.arange(size) >= used[:, None]] = 1 << 40
+    above = np.zeros(k * 2 * size, np.int64)
+    weight, base = weight.ravel(), np.arange(k) * 2 * size
+    leaf, node = base.copy(), base + size
+    joins = [int(x) for x in np.searchsorted(-used, -np.arange(2, int(used.max(initial=1)) + 1), "right")]  # rows with so many symbols
+    for j, r in enumerate(joins):
+        a, b, new = leaf[:r], node[:r], base[:r] + size + j
+        total = 0
+        for _ in range(2):
+            x, y = weight[a], weight[b]
+            low = x <= y
+            above[np.where(low, a, b)] = new
+            total = total + np.where(low, x, y)
+            a += low
+            b += ~low
+        weight[new] = total
+    depth = np.zeros(k * 2 * size, np.int64)
+    for j in range(len(joins) - 2, -1, -1):
+        at = base[: joins[j + 1]] + size + j
+        depth[at] = depth[above[at]] + 1
+    depth = np.where(np.arange(size - 1) < used[:, None], depth[above].reshape(k, 2 * size)[:, : size - 1] + 1, 0)
+    out = np.zeros(counts.shape, np.int64)
+    out[rows[:, None], order] = depth
+    return out
 
 
-@lru_cache(1)
-def _inner() -> tuple[int, int, np.ndarray]:
-    """How that code stands in the file: value and bits; its codes by symbol."""
-    w = Writer()
-    w.put(0, 1)
-    count = 1 + max(LENGTH_ORDER.index(s) for s in INNER)
-    w.put(count - 4, 4)
-    for s in LENGTH_ORDER[:count]:
-        w.put(4 * (s in INNER), 3)
-    w.put(0, 1)
-    codes = np.zeros(19, np.int64)
-    codes[INNER] = _reversed(4)
-    return w.value, w.n, codes
-
-
-def _length_tokens(n: np.ndarray) -> list[tuple[np.ndarray, ...]]:
-    """The code lengths of each row as (row, place, value, bits)."""
-    codes = _inner()[2]
-    row, at = np.nonzero(n)
-    out = [(row, at, codes[n[row, at]], np.full(len(row), 4))]
-    turn = np.diff(np.pad(n == 0, ((0, 0), (1, 1))).astype(np.int8), axis=1)
-    row, at = np.nonzero(turn == 1)
-    left = np.nonzero(turn == -1)[1] - at
-    while len(row):  # at most 138 zeros at a time
-        z = np.minimum(left, 138)
-        v = np.select([z > 10, z > 2, z > 1], [codes[18] | z - 11 << 4, codes[17] | z - 3 << 4, codes[0] | codes[0] << 4], codes[0])
-        out.append((row, at, v, np.select([z > 10, z > 2, z > 1], [11, 7, 8], 4)))
-        more = left > z
-        row, at, left = row[more], at[more] + 138, left[more] - 138
+def _length_tokens(n: np.ndarray) -> tuple[np.ndarray, ...]:
+    """The code lengths of each row in runs, as (row, place, symbol, extra value, extra bits)."""
+    turn = np.ones(n.shape, bool)
+    turn[:, 1:] = n[:, 1:] != n[:, :-1]
+    row, at = np.nonzero(turn)
+    v = n[row, at]
+    left = np.diff(np.append(row * n.shape[1] + at, n.size))
+    none = np.zeros_like(row)
+    some = v > 0
+    out = [(row[some], at[some], v[some], none[some], none[some])]
+    at, left = at + some, left - some
+    while len(row):
+        zero = v == 0
+        z = np.minimum(left, np.where(zero, 138, 6))
+        s = np.select([zero & (z > 10), zero & (z > 2), z > 2], [18, 17, 16], v)
+        run = z > 2
+        x, m = np.select([s == 18, run], [z - 11, z - 3], 0), np.select([s == 18, s == 17, run], [7, 3, 2], 0)
+        z = np.where(run, z, np.minimum(z, 1))
+        go = z > 0
+        out.append((row[go], at[go], s[go], x[go], m[go]))
+        row, at, left, v = row[go], (at + z)[go], (left - z)[go], v[go]
+    return tuple(map(np.concatenate, zip(*out)))
+
+
+def _put_lengths(n: np.ndarray) -> tuple[tuple[np.ndarray, ...], tuple[np.ndarray, ...]]:
+    """The lengths of each row's code as tokens: the code of code lengths as (value, bits) a row, and the lengths as (row, place, value, bits)."""
+    row, at, s, x, m = _length_tokens(n)
+    inner, codes = _huffman(np.bincount(row * 19 + s, minlength=19 * len(n)).reshape(-1, 19), 7)
+    inner_in_order = inner[:, LENGTH_ORDER]
+    count = np.maximum(19 - (inner_in_order[:, ::-1] > 0).argmax(1), 4)
+    value = count - 4 << 1 | (inner_in_order << 3 * np.arange(19)).sum(1) << 5
+    return (value, 6 + 3 * count), (row, at, codes[row, s] | x << inner[row, s], inner[row, s] + m)
+
+
+@lru_cache(2)
+def _plog(most: int) -> np.ndarray:
+    """x times its logarithm, for x up to `most`."""
+    x = np.arange(most + 1.0)
+    return x * np.log2(np.maximum(x, 1))
+
+
+def _cost(counts: np.ndarray) -> np.ndarray:
+    """Bits that symbols of these counts take by their entropy (a bit each at least, where they differ), and nearly those of their code; the symbols stand
+    along the last axis."""
+    p, n, used = _plog(SEGMENT), counts.sum(-1), (counts > 0).sum(-1)
+    return np.maximum(p[n] - p[counts].sum(-1), np.where(used > 1, n, 0)) + 6 * used
+
+
+#: Forms of a payload's image: grey samples, what the left or the top neighbour says of them less, or indices into a palette.
+GREY, LEFT, TOP, INDEXED = range(4)
+
+
+def _bundled(a: np.ndarray) -> tuple[np.ndarray, tuple[int, ...], int]:
+    """Samples of at most 16 values as indices, several in a pixel; the values, and the logarithm of how many."""
+    values = np.unique(a)
+    pack = 3 if len(values) <= 2 else 2 if len(values) <= 4 else 1
+    index = np.searchsorted(values, a).astype(np.uint8).reshape(-1, 1 << pack)
+    return (index << (8 >> pack) * np.arange(1 << pack, dtype=np.uint8)).sum(1, dtype=np.uint8), tuple(values.tolist()), pack
+
+
+def _forms(images: list[np.ndarray]) -> list[tuple[int, np.ndarray, int, tuple[int, ...]]]:
+    """The form of each image that takes the fewest bits by entropy: which it is, its pixels, the logarithm of how many samples they have, and the palette."""
+    size = np.array([len(a) for a in images])
+    k, rows = len(images), np.concatenate(images).reshape(-1, ROW)
+    head = (np.cumsum(size) - size) // ROW
+    left, top = rows.copy(), rows.copy()
+    left[:, 1:] -= rows[:, :-1]
+    top[1:] -= rows[:-1]
+    top[head] = left[head]
+    left[:, 0] = top[:, 0]
+    image = np.repeat(np.arange(k) << 8, size)
+    counts = [np.bincount(image + x.ravel(), minlength=k << 8).reshape(k, 256) for x in (rows, left, top)]
+    bits = np.stack([_cost(c) for c in counts], 1) + [0, 100, 100]
+    best = bits.argmin(1)
+    few = (counts[0] > 0).sum(1) <= 16
+    begin = head * ROW
+    out = []
+    for i, (a, form, n) in enumerate(zip(images, best.tolist(), size.tolist())):
+        if few[i]:
+            pixels, values, pack = _bundled(a)
+            if _cost(np.bincount(pixels)) + 50 + 12 * len(values) < bits[i, form]:
+                out.append((INDEXED, pixels, pack, values))
+                continue
+        out.append((form, (rows, left, top)[form].ravel()[begin[i] : begin[i] + n], 0, ()))
     return out
 
 
+@lru_cache(4096)
+def _lead(form: int, height: int, values: tuple[int, ...], cut: int) -> tuple[tuple[int, int], ...]:
+    """What stands before the codes of an image, as values of at most 48 bits: its head, the transforms, and the meta codes (from block row `cut` on the second group)."""
+    w = Writer()
+    _head(w, ROW, height)
+    w.put(1, 1)
+    if form == INDEXED:
+        w.put(PALETTE, 2)
+        w.put(len(values) - 1, 8)
+        t = [0xFF000000 | v << 16 | v << 8 | v for v in values]
+        _put_pixels(w, t[:1] + [_subtract(y, x) for x, y in zip(t, t[1:])], len(t), False)
+    else:
+        w.put(SUBTRACT_GREEN, 2)
+    if form in (LEFT, TOP):
+        w.put(1, 1)
+        w.put(PREDICTOR, 2)
+        w.put(7, 3)  # one block
+        _put_pixels(w, [form << 8], 1, False)
+    w.put(0, 2)  # no other transform, no colour cache
+    w.put(int(cut > 0), 1)
+    if cut:
+        w.put(BLOCK - 2, 3)
+        across = ROW >> BLOCK
+        _put_pixels(w, [int(y >= cut) << 8 for y in range(-(-height >> BLOCK)) for _ in range(across)], across, False)
+    return tuple((w.value >> i & (1 << 48) - 1, min(48, w.n - i)) for i in range(0, w.n, 48))
+
+
+def _cuts(counts: np.ndarray) -> np.ndarray:
+    """From which block row on the symbols of each image (image, block row, symbol) get a second group of codes; 0: one group is shorter."""
+    down = np.cumsum(counts, 1)
+    every = down[:, -1:]
+    bits = _cost(down[:, :-1]) + _cost(every - down[:, :-1]) + 200  # the meta codes, and the heads of a group
+    best = bits.argmin(1)
+    return np.where(np.take_along_axis(bits, best[:, None], 1)[:, 0] < _cost(every)[:, 0], best + 1, 0)
+
+
 def encode_grey(images: list[np.ndarray]) -> list[bytes]:
-    """Lossless WebP files of grey samples, `ROW` in a row and at most `SEGMENT` each, with subtract-green, back-references and codes of their own."""
+    """Lossless WebP files of grey samples, `ROW` in a row and at most `SEGMENT` each, with the transforms, back-references, groups and codes that suit each."""
     k = len(images)
-    size = np.array([len(a) for a in images])
-    a, image = np.concatenate(images).astype(np.int64), np.repeat(np.arange(k), size)
+    forms = _forms(images)
+    height = np.array([len(a) // ROW for a in images])
+    size = np.array([len(f[1]) for f in forms])
+    pack = np.array([f[2] for f in forms])
+    width = ROW >> pack
+    a, image = np.concatenate([f[1] for f in forms]).astype(np.int64), np.repeat(np.arange(k), size)
     begin = np.cumsum(size) - size
     start, length, d = _repeats(a, image, begin)
     turn = np.zeros(len(a) + 1, np.int8)
@@ -805,30 +962,42 @@ def encode_grey(images: list[np.ndarray]) -> list[bytes]:
     plain = np.flatnonzero(np.cumsum(turn[:-1], dtype=np.int8) == 0)
     own, of = image[plain], image[start]
     ls, lv, ln = _value_symbols(SEGMENT + 120)[:, length]
-    ds, dv, dn = _value_symbols(SEGMENT + 120)[:, _distance_codes(ROW, SEGMENT)[d]]
-    n, codes = _complete(np.bincount(np.concatenate([own * 280 + a[plain], of * 280 + 256 + ls]), minlength=280 * k).reshape(k, 280))
-    counts = np.bincount(of * 40 + ds, minlength=40 * k).reshape(k, 40)
-    many = np.flatnonzero((counts > 0).sum(1) > 1)
-    fn, fc = np.zeros((2, k, 40), np.int64)
+    ds, dv, dn = _value_symbols(SEGMENT + 120)[:, np.stack([_distance_codes(ROW >> p, SEGMENT) for p in range(4)])[pack[of], d]]
+    bands = -(-SEGMENT // ROW >> BLOCK)
+    own_band, of_band = (plain - begin[own]) // width[own] >> BLOCK, (start - begin[of]) // width[of] >> BLOCK
+    counts = np.bincount(np.concatenate([(own * bands + own_band) * 280 + a[plain], (of * bands + of_band) * 280 + 256 + ls]), minlength=280 * bands * k).reshape(k, bands, 280)
+    cut = np.where(width == ROW, _cuts(counts), 0)
+    # groups: the first of all images, then the second of those that have one
+    two = np.flatnonzero(cut)
+    second = np.zeros(k, np.int64)
+    second[two] = k + np.arange(len(two))
+    group_of = np.append(np.arange(k), two)
+    low = (np.arange(bands) < np.where(cut, cut, bands)[:, None])[:, :, None]
+    n, codes = _huffman(np.concatenate([np.where(low, counts, 0).sum(1), np.where(low, 0, counts).sum(1)[two]]), LONGEST)
+    own_group = np.where((cut[own] > 0) & (own_band >= cut[own]), second[own], own)
+    group = np.where((cut[of] > 0) & (of_band >= cut[of]), second[of], of)
+    counts = np.bincount(group * 40 + ds, minlength=40 * len(group_of)).reshape(-1, 40)
+    many, one = np.flatnonzero((counts > 0).sum(1) > 1), np.flatnonzero((counts > 0).sum(1) < 2)
+    fn, fc = np.zeros((2, len(group_of), 40), np.int64)
+    fn[many], fc[many] = _huffman(counts[many], LONGEST)
+    # (image, part of the file, place in it, value, bits)
+    lead = [(i, 0, j, v, m) for i, (f, h, c) in enumerate(zip(forms, height.tolist(), cut.tolist())) for j, (v, m) in enumerate(_lead(f[0], h, f[3], c))]
+    tokens = [tuple(np.array(lead, np.int64).T)]
+    every = np.arange(len(group_of))
+    part = 5 * (every >= k)
+    alpha = np.array([255 if f[0] == GREY else 0 for f in forms])[group_of]
+    simple = 0b101 | 0b101 << 11 | (0b101 | alpha << 3) << 22  # red, blue and alpha: one symbol of 8 bits each
+    (v, m), (r, at, lengths, bits) = _put_lengths(n)
+    tokens += [(group_of, part + 1, 0 * every, v, m), (group_of[r], part[r] + 2, at, lengths, bits), (group_of, part + 3, 0 * every, simple, np.full(len(every), 33))]
+    tokens.append((group_of[one], part[one] + 4, 0 * one, 0b101 | counts[one].argmax(1) << 3, np.full(len(one), 11)))
     if len(many):
-        fn[many], fc[many] = _complete(counts[many])
-    w = Writer()
-    _head(w, ROW, 1)
-    head, inner, inner_bits = w.value + (size // ROW - 1 << 22), *_inner()[:2]
-    w = Writer()
-    for one in (0, 0, 255):  # red and blue less green, and alpha: simple, one symbol of 8 bits
-        w.put(0b101, 3)
-        w.put(one, 8)
-    every, one = np.arange(k), np.flatnonzero((counts > 0).sum(1) < 2)
-    # (image, part of the file, place in it, value, bits); after the head: a transform, no other, neither colour cache nor meta codes
-    tokens = [(every, 0, 0, head | (1 | SUBTRACT_GREEN << 1) << 40, np.full(k, 46)), (every, 1, 0, np.full(k, inner), np.full(k, inner_bits))]
-    tokens += [(r, 2, at, v, m) for r, at, v, m in _length_tokens(n)]
-    tokens += [(every, 3, 0, np.full(k, w.value), np.full(k, w.n)), (one, 4, 0, 0b101 | counts[one].argmax(1) << 3, np.full(len(one), 11))]
-    tokens += [(many, 4, 0, np.full(len(many), inner), np.full(len(many), inner_bits))] + [(many[r], 5, at, v, m) for r, at, v, m in _length_tokens(fn[many])]
-    cv, cn, fv, fm = codes[of, 256 + ls], n[of, 256 + ls], fc[of, ds], fn[of, ds]
-    tokens += [(own, 6, plain - begin[own], codes[own, a[plain]], n[own, a[plain]]), (of, 6, start - begin[of], cv | lv << cn | fv << cn + ln | dv << cn + ln + fm, cn + ln + fm + dn)]
+        (v, m), (r, at, lengths, bits) = _put_lengths(fn[many])
+        tokens += [(group_of[many], part[many] + 4, 0 * many, v, m), (group_of[many][r], part[many][r] + 5, at, lengths, bits)]
+    cv, cn, fv, fm = codes[group, 256 + ls], n[group, 256 + ls], fc[group, ds], fn[group, ds]
+    tokens.append((own, np.full(len(own), 11), plain - begin[own], codes[own_group, a[plain]], n[own_group, a[plain]]))
+    tokens.append((of, np.full(len(of), 11), start - begin[of], cv | lv << cn | fv << cn + ln | dv << cn + ln + fm, cn + ln + fm + dn))
     bits = sum(np.bincount(t[0], t[4], k) for t in tokens).astype(np.int64)
-    tokens.append((every, 7, 0, np.zeros(k, np.int64), -bits % 8))
+    tokens.append((np.arange(k), np.full(k, 12), np.zeros(k, np.int64), np.zeros(k, np.int64), -bits % 8))
     order = np.argsort(np.concatenate([t[0] << 20 | t[1] << 16 | t[2] for t in tokens]), kind="stable")
     v, m = (np.concatenate([t[c] for t in tokens])[order] for c in (3, 4))
     at = np.arange(int(m.sum()), dtype=np.int32) - np.repeat((np.cumsum(m) - m).astype(np.int32), m)

@@ -459,6 +459,37 @@ def test_webp_payloads_use_references_and_codes_of_their_own(n, monkeypatch):
         assert sum(map(len, media[1])) < 0.75 * n
 
 
+def test_webp_payloads_get_the_transforms_and_groups_that_suit_them():
+    r = np.random.default_rng(5)
+    halves = np.concatenate([r.integers(0, 16, 2048), r.integers(0, 16, 2048) * 13 + 48]).astype(np.uint8)
+    walk = np.cumsum(r.integers(0, 3, 4096)).astype(np.uint8)
+    down = np.cumsum(r.integers(0, 3, (64, 64)), 0).astype(np.uint8).ravel()
+    few = [np.where(r.random(4096) < 0.1, 200, 3).astype(np.uint8), np.where(r.random(4096) < 0.1, r.integers(7, 11, 4096), 7).astype(np.uint8), np.where(np.arange(4096) % 2, 90, r.integers(91, 106, 4096)).astype(np.uint8)]
+    prose = np.frombuffer(" ".join(sentence(random.Random(4), 900).split())[:4096].encode(), np.uint8)
+    expected = {"plain": ([2], 1, prose), "left": ([2, 0], 1, walk), "top": ([2, 0], 1, down), "groups": ([2], 2, halves)} | {f"palette {k}": ([3], 1, a) for k, a in enumerate(few)}
+    for (name, (kinds, groups, a)), f in zip(expected.items(), webp.encode_grey([x[2] for x in expected.values()])):
+        b, width, height, todo, across = webp._open(f)
+        assert [t[0] for t in todo] == kinds and len(webp._read_codes(b, across, height, True)[3]) == groups, name
+        q = webp.decode(f)
+        assert (q[:, :, :3].reshape(-1, 3) == a[:, None]).all() and (q[:, :, 3] == 255).all() and (webp.load([[f]])[0] == a).all(), name
+        assert len(f) < 0.7 * len(a) or name == "groups", name
+    some = [r.integers(0, c, 64 * h).astype(np.uint8) * s for c in (1, 2, 5, 16, 17, 256) for h in (1, 2, 15, 16, 17, 64) for s in (1, 15)]
+    assert all((x == y).all() for x, y in zip(some, webp.load([[f] for f in webp.encode_grey(some)]), strict=True))
+
+
+def test_webp_codes_are_as_short_as_can_be():
+    r = np.random.default_rng(6)
+    for most, size in ((12, 280), (12, 40), (7, 19)):
+        counts = r.integers(1, 400, (60, size)) ** 2 // 99 * (r.random((60, size)) < r.random((60, 1)))
+        n, codes = webp._huffman(counts, most)
+        assert (np.where(n, 0.5**n, 0).sum(1) == 1).all() and n.max() <= most and ((n > 0) | (counts == 0)).all()
+        for c, a, b in zip(counts, n, codes):
+            if (c > 0).sum() > 1:
+                assert (a * c).sum() == (np.array(webp._lengths(c.tolist(), most)) * c).sum()
+                assert [(int(x), int(y)) for x, y in zip(b, a) if y] == [x for x in webp._codes(a.tolist()) if x[1]]
+    assert webp._huffman(np.array([[0, 0, 0], [5, 0, 0], [0, 0, 5]]), 12)[0].tolist() == [[1, 1, 0], [1, 1, 0], [1, 0, 1]]
+
+
 def test_webp_reference_before_the_image_raises():
     w = webp.Writer()
     webp._head(w, 64, 1)
